@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from landmark_kkm.llm import simhash
+from landmark_kkm.llm import linededup, sharding, simhash, sketches, warc
 from landmark_kkm.session import read_table, spread
 
 
@@ -14,8 +14,32 @@ def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")), radius=4, width=4)
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.line_report(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
+def op6_warc_reassembly(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = warc.round_trip(spark, spread(read_table(spark, sf_dir, "pages").select("page_id", "url", "html")))
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op8_scaled_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sketches.edited_pairs(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
+def op10_lpt_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard_documents(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")), shards=40)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
+    "op5_line_dedup": op5_line_dedup,
+    "op6_warc_reassembly": op6_warc_reassembly,
+    "op8_scaled_sketch": op8_scaled_sketch,
+    "op10_lpt_sharding": op10_lpt_sharding,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op5_line_dedup": linededup.LINE_SQL,
+    "op6_warc_reassembly": warc.WARC_SQL,
+}
