@@ -11,6 +11,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from landmark_kkm.llm.texts import slices
 from landmark_kkm.session import new_path, ship
 
 # Fixed values of the format.
@@ -85,7 +86,7 @@ def _line(value: str | None) -> bytes:
 
 def _write(batches: Iterator[pa.RecordBatch], segment_bytes: int) -> Iterator[pa.RecordBatch]:
     part, row = TaskContext.get().partitionId(), 0
-    for batch in batches:
+    for batch in (b for whole in batches for b in slices(whole, "html")):
         out: list[bytes] = []
         size = 0
         for page, url, html, digest, owner in zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "html", "digest", "owner"))):
@@ -149,11 +150,12 @@ def records_of(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
         at = end + 4 + length + 4
 
 
-_READ = pa.schema([("origin", pa.string()), ("segment", pa.int32()), ("total", pa.int64()), ("page_id", pa.int64()), ("url", pa.string()), ("type", pa.string()), ("digest", pa.string()), ("refers_to", pa.int64()), ("block", pa.binary())])
-_READ_DDL = "origin string, segment int, total long, page_id long, url string, type string, digest string, refers_to long, block binary"
+_READ = pa.schema([("origin", pa.string()), ("segment", pa.int32()), ("total", pa.int64()), ("page_id", pa.int64()), ("url", pa.string()), ("type", pa.string()), ("digest", pa.string()), ("refers_to", pa.int64()), ("block", pa.binary()), ("status", pa.string()), ("payload_bytes", pa.int64()), ("payload", pa.binary())])
+_READ_DDL = "origin string, segment int, total long, page_id long, url string, type string, digest string, refers_to long, block binary, status string, payload_bytes long, payload binary"
 
 
-def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _parse(batches: Iterator[pa.RecordBatch], payloads: bool) -> Iterator[pa.RecordBatch]:
+    """Rows of segments carry their blocks to be put together; records that are whole are decoded at once and carry only what is asked for."""
     bare = lambda x: (x or "").strip("<>")
     for batch in batches:
         for content in batch.column("content"):
@@ -170,7 +172,10 @@ def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     "page_id": int(page) if page else None, "url": head.get("warc-target-uri"), "type": kind,
                     "digest": head.get("warc-payload-digest", "").removeprefix("sha1:") or None, "refers_to": int(to.removeprefix("urn:page:")) if to else None, "block": block,
                 })
-                size += len(block)
+                if not rows[-1]["segment"]:
+                    whole = assembled(rows[-1:])
+                    rows[-1] |= {"block": None, "digest": whole["payload_digest"], "status": whole["status"], "payload_bytes": whole["payload_bytes"], "payload": whole["payload"] if payloads else None}
+                size += len(rows[-1]["block"] or rows[-1]["payload"] or b"")
                 if size > 8 << 20:
                     yield pa.RecordBatch.from_pylist(rows, schema=_READ)
                     rows, size = [], 0
@@ -223,7 +228,11 @@ def _assemble(batches: Iterator[pa.RecordBatch], payloads: bool) -> Iterator[pa.
 
     def close() -> None:
         nonlocal size
-        row = assembled(held)
+        first = held[0]
+        if first["status"]:
+            row = {"page_id": first["page_id"], "url": first["url"], "record_type": first["type"], "refers_to": first["refers_to"], "segments": 1, "status": first["status"], "payload_bytes": first["payload_bytes"], "payload_digest": first["digest"], "payload": first["payload"]}
+        else:
+            row = assembled(held)
         size += len(row["payload"] or b"") if payloads else 0
         done.append(row if payloads else row | {"payload": None})
 
@@ -248,7 +257,7 @@ def read_archives(spark: SparkSession, path: str, payloads: bool = True) -> Data
     fails keeps its row with a status other than ok. Files may be gzip or plain. A revisit has its payload's length and digest, not its bytes."""
     ship(spark)
     files = spark.read.format("binaryFile").load(path).select("content")
-    parsed = files.mapInArrow(_parse, _READ_DDL)
+    parsed = files.mapInArrow(lambda it: _parse(it, payloads), _READ_DDL)
     count = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
     return parsed.repartition(count, "origin").sortWithinPartitions("origin", "segment").mapInArrow(lambda it: _assemble(it, payloads), _OUT_DDL)
 
