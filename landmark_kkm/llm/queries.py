@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from landmark_kkm.llm import linededup, sharding, simhash, sketches, warc
+from landmark_kkm.llm import linededup, ppm, sharding, simhash, sketches, warc
 from landmark_kkm.session import read_table, spread
 
 
@@ -14,6 +14,10 @@ def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")), radius=4, width=4)
 
 
+def op2_ppm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm.score_documents(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.line_report(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
 
@@ -33,6 +37,7 @@ def op10_lpt_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
+    "op2_ppm_scoring": op2_ppm_scoring,
     "op5_line_dedup": op5_line_dedup,
     "op6_warc_reassembly": op6_warc_reassembly,
     "op8_scaled_sketch": op8_scaled_sketch,
