@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from landmark_kkm.llm import linededup, ppm, sharding, simhash, sketches, warc
+from landmark_kkm.llm import langid, linededup, ppm, sharding, simhash, sketches, toxicity, warc
 from landmark_kkm.session import read_table, spread
 
 
@@ -18,6 +18,11 @@ def op2_ppm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ppm.score_documents(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
 
 
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spread(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return toxicity.score_documents(docs, toxicity.learn(docs, read_table(spark, sf_dir, "labels")))
+
+
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.line_report(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
 
@@ -27,6 +32,11 @@ def op6_warc_reassembly(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spread(read_table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+    return langid.predict(docs, langid.learn(docs))
+
+
 def op8_scaled_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sketches.edited_pairs(spread(read_table(spark, sf_dir, "documents").select("doc_id", "text")))
 
@@ -38,8 +48,10 @@ def op10_lpt_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
     "op2_ppm_scoring": op2_ppm_scoring,
+    "op3_toxicity": op3_toxicity,
     "op5_line_dedup": op5_line_dedup,
     "op6_warc_reassembly": op6_warc_reassembly,
+    "op7_language_id": op7_language_id,
     "op8_scaled_sketch": op8_scaled_sketch,
     "op10_lpt_sharding": op10_lpt_sharding,
 }
