@@ -194,6 +194,14 @@ def drop_repeated_lines(docs: DataFrame, min_chars: int = MIN_CHARS, min_docs: i
     return met.mapInArrow(lambda it: _rewrite(it, _by_column, min_chars, names), out)
 
 
+def with_length(docs: DataFrame) -> DataFrame:
+    """docs with n_chars, where it has that column, set to the code points of its text."""
+    if "n_chars" not in docs.columns:
+        return docs
+    kind = docs.schema["n_chars"].dataType
+    return docs.withColumn("n_chars", F.char_length("text").cast(kind)).select(docs.columns)
+
+
 def line_report(docs: DataFrame) -> DataFrame:
     """(doc_id, n_lines, n_dropped, kept_sha256) of every document."""
     kept = drop_repeated_lines(docs.select("doc_id", "text"))
