@@ -34,7 +34,7 @@ SYMBOLS = 256
 COMMON = 1 << 20
 PIECE = 512
 END_KEY = np.int64(-1)
-_SLICE = 4 << 20
+_SLICE = 2 << 20
 
 
 def canonical(text: bytes) -> bytes:
@@ -76,7 +76,7 @@ class _Tally:
     def add(self, keys: np.ndarray, counts: np.ndarray) -> None:
         self.parts.append((keys, counts))
         self.rows += len(keys)
-        if self.rows > 3_000_000 and len(self.parts) > 1:
+        if self.rows > 1_500_000 and len(self.parts) > 1:
             self.parts = [self.total()]
             self.rows = 0
 
@@ -120,34 +120,31 @@ def _count_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 class Model:
     """The trie as tables: log10 of each symbol's probability and the next node, for each node."""
 
-    def __init__(self, counts: dict[tuple[int, int], dict[int, int]]):
-        """counts: (order, context bytes as a number) to {symbol: count}, of contexts whose suffixes and prefixes are there too."""
-        nodes = sorted(set(counts) | {(0, 0)})
-        at = {c: i for i, c in enumerate(nodes)}
-        seen = sorted({s for c in counts.values() for s in c})
+    def __init__(self, order: np.ndarray, context: np.ndarray, symbol: np.ndarray, count: np.ndarray):
+        """One entry for each symbol that a context has. With a context its suffixes and its beginnings are there too; contexts are bytes read as a number."""
+        key = order << 8 * (ORDER + 1) | context
+        nodes = np.unique(np.append(key, 0))
+        of, depth, bytes_of = np.searchsorted(nodes, key), nodes >> 8 * (ORDER + 1), nodes & (1 << 8 * (ORDER + 1)) - 1
+        seen = np.unique(np.append(symbol, START))  # texts begin with START, so nodes move by it, though it is never coded
         self.column = np.full(SYMBOLS, len(seen), np.int64)
         self.column[seen] = np.arange(len(seen))
         self.width = len(seen) + 2  # a column for unseen symbols, one for no symbol
         table = np.zeros((len(nodes), len(seen)), np.float32)
-        suffix, move = np.full(len(nodes), -1, np.int64), np.zeros((len(nodes), self.width), np.int32)
-
-        def longest(order: int, context: int) -> int:
-            for k in range(min(order, ORDER), -1, -1):
-                if (i := at.get((k, context & ((1 << 8 * k) - 1)))) is not None:
-                    return i
-            return at[0, 0]
-
-        for (order, context), i in at.items():
-            for s, n in counts.get((order, context), {}).items():
-                table[i, self.column[s]] = n
-            if order:
-                suffix[i] = longest(order - 1, context)
-            for s in seen:
-                move[i, self.column[s]] = longest(order + 1, context << 8 | s)
+        table[of, self.column[symbol]] = count
+        shorter = np.maximum(depth - 1, 0)
+        suffix = np.where(depth > 0, np.searchsorted(nodes, shorter << 8 * (ORDER + 1) | bytes_of & (1 << 8 * shorter) - 1), -1)
+        self.move = np.zeros((len(nodes), self.width), np.int32)
+        for k in range(ORDER + 1):  # a node moves as its suffix does, but for longer contexts that begin with it
+            own = np.flatnonzero(depth == k)
+            if k:
+                self.move[own, : len(seen)] = self.move[suffix[own], : len(seen)]
+            if k < ORDER:
+                grown = np.flatnonzero(depth == k + 1)
+                parent = np.searchsorted(nodes, k << 8 * (ORDER + 1) | bytes_of[grown] >> 8)
+                self.move[parent, self.column[bytes_of[grown] & 255]] = grown
         self.log = np.zeros((len(nodes), self.width), np.float32)
         for block in range(0, len(nodes), 4096):
             self.log[block : block + 4096, : len(seen) + 1] = self._distribution(table, suffix, np.arange(block, min(block + 4096, len(nodes))))
-        self.move = move
 
     @staticmethod
     def _distribution(table: np.ndarray, suffix: np.ndarray, node: np.ndarray) -> np.ndarray:
@@ -224,7 +221,6 @@ def fit(grams: DataFrame, contexts: int = CONTEXTS) -> Model:
     for k in range(ORDER + 1):
         pair = F.col("key").bitwiseAND(F.lit((1 << 8 * (k + 1)) - 1))
         levels.append(grams.groupBy(F.lit(k).alias("k"), F.shiftright(pair, 8).alias("context"), pair.bitwiseAND(F.lit(255)).alias("symbol")).agg(F.sum("n").alias("n")))
-    counts: dict[tuple[int, int], dict[int, int]] = {}
     sizes = reduce(DataFrame.unionByName, [x.groupBy("k", "context").agg(F.sum("n").alias("all")) for x in levels])
     kept = sizes.filter(F.col("all") * contexts >= total).select(F.floor(F.log2(F.col("all") * contexts / max(total, 1))).alias("step")).groupBy("step").count().collect()
     steps = sorted(((r["step"], r["count"]) for r in kept), reverse=True)
@@ -232,12 +228,11 @@ def fit(grams: DataFrame, contexts: int = CONTEXTS) -> Model:
     while sum(n for step, n in steps) * width > MOST_CELLS:
         contexts //= 2
         steps = [(step - 1, n) for step, n in steps if step >= 1]
+    parts = []
     for level in levels:
         whole = level.groupBy("context").agg(F.sum("n").alias("all")).filter(F.col("all") * contexts >= total).select("context")
-        part = level.join(whole, "context", "left_semi").select("k", "context", "symbol", "n").toPandas()
-        for k, context, symbol, n in part.itertuples(index=False):
-            counts.setdefault((k, context), {})[symbol] = n
-    return Model(counts)
+        parts.append(level.join(whole, "context", "left_semi").select("k", "context", "symbol", "n").toPandas().to_numpy(np.int64).reshape(-1, 4))
+    return Model(*np.concatenate(parts).T)
 
 
 def _score_rows(batches: Iterator[pa.RecordBatch], model, common, scale: tuple[float, float]) -> Iterator[pa.RecordBatch]:
