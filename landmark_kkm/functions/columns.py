@@ -37,9 +37,10 @@ def added(a: Column, b: Column) -> Column:
 
 
 def unit(x: Column) -> Column:
-    """x over its length; a zero vector stays."""
+    """x over its length; a zero vector stays. The length is bound once, as a lambda would evaluate it for each entry."""
     size = F.sqrt(dot(x, x))
-    return F.when(size > 0, scaled(x, 1.0 / size)).otherwise(as_doubles(x))
+    bound = F.array(F.struct(as_doubles(x).alias("v"), F.when(size > 0, 1.0 / size).otherwise(F.lit(1.0)).alias("by")))
+    return F.get(F.transform(bound, lambda s: F.transform(s["v"], lambda v: v * s["by"])), 0)
 
 
 def rbf(a: Column, b: Column, sigma: float) -> Column:

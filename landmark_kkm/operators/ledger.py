@@ -25,7 +25,7 @@ class CostLedger:
         self.rows.append(row)
 
     def seconds(self, stage: str) -> float:
-        return sum(r["seconds"] for r in self.rows if r["stage"] == stage)
+        return float(sum(r["seconds"] for r in self.rows if r["stage"] == stage))
 
     @property
     def embed_s(self) -> float:

@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+from zlib import crc32
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from landmark_kkm.functions import columns as C
+from landmark_kkm.operators.vectors import lists_of
+from landmark_kkm.session import ship
 from landmark_kkm.sources.tables import table
 
 # Categories of the one-hot features, in order.
@@ -93,18 +99,41 @@ def users(spark: SparkSession, sf_dir: str) -> DataFrame:
     return events.groupBy(F.col("user_id").alias("id")).agg(F.array(*features).alias("x"), F.max_by("event_type", F.struct("ts", "event_id")).alias("cls"))
 
 
+def gram_counts(texts: list[str | None], size: int, n: int = 3) -> np.ndarray:
+    """Counts of each text's lower-cased character n-grams by bucket, their CRC-32 modulo size; a text shorter than n is one gram, an empty one too."""
+    out = np.zeros((len(texts), size))
+    for row, text in enumerate(texts):
+        text = (text or "").lower()
+        points = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32).astype(np.int64)
+        if len(points) < n or n > 3:
+            grams = [text[i : i + n] for i in range(max(1, len(text) - n + 1))]
+            times = np.ones(len(grams))
+        else:
+            key = np.zeros(len(points) - n + 1, np.int64)
+            for i in range(n):
+                key = key << 21 | points[i : len(key) + i]
+            key, times = np.unique(key, return_counts=True)
+            grams = ["".join(chr(k >> 21 * (n - 1 - i) & 0x1FFFFF) for i in range(n)) for k in key.tolist()]
+        np.add.at(out[row], [crc32(g.encode("utf-8", "replace")) % size for g in grams], times)
+    return out
+
+
 def text_grams(spark: SparkSession, sf_dir: str, size: int = 512, n: int = 3) -> DataFrame:
     """documents as square-root counts of lower-cased character n-grams hashed to `size` buckets, of unit length; the class is lang.
 
-    Grams are cut, hashed and counted within the row."""
-    docs = table(spark, sf_dir, "documents", parallel=True)
-    text = F.lower(F.coalesce("text", F.lit("")))
-    at = F.sequence(F.lit(1), F.greatest(F.char_length(text) - (n - 1), F.lit(1)))
-    grams = F.transform(at, lambda i: F.pmod(F.crc32(F.encode(F.substring(text, i, F.lit(n)), "UTF-8")), F.lit(size)).cast("int"))
-    counts = docs.select(F.col("doc_id").alias("id"), F.col("lang").alias("cls"), F.explode(grams).alias("b")).groupBy("id", "cls", "b").count()
-    rows = counts.groupBy("id", "cls").agg(F.map_from_entries(F.collect_list(F.struct("b", F.sqrt(F.col("count").cast("double"))))).alias("m"))
-    x = F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0)))
-    return rows.select("id", C.unit(x).alias("x"), "cls")
+    One map over Arrow batches: a text's grams are counted where it is, and nothing is shuffled."""
+    ship(spark)
+    docs = table(spark, sf_dir, "documents", parallel=True).select(F.col("doc_id").alias("id"), F.col("text"), F.col("lang").alias("cls"))
+
+    def rows(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                x = np.sqrt(gram_counts(part.column("text").to_pylist(), size, n))
+                x /= np.sqrt((x * x).sum(1, keepdims=True))
+                yield pa.RecordBatch.from_arrays([part.column("id"), lists_of(x, pa.float64()), part.column("cls")], names=["id", "x", "cls"])
+
+    return docs.mapInArrow(rows, "id long, x array<double>, cls string")
 
 
 def text_sparse(spark: SparkSession, sf_dir: str, bits: int = 16) -> DataFrame:
