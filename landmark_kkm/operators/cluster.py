@@ -133,7 +133,8 @@ def cluster(
 ) -> ClusterModel:
     """A model of k clusters of ds (id, y). Each iteration is one job; what it moves is k sums and counts for each partition, and no lineage grows.
 
-    Stops after max_iter iterations, or (tol) once the share of rows that changed cluster is at most tol. empty "keep" leaves an empty cluster's
+    Stops after max_iter iterations, or (tol) once the share of rows that changed cluster is at most tol; changes are counted only with a tol, as that
+    takes each row's distances to the centroids before. empty "keep" leaves an empty cluster's
     centroid, "reseed_farthest" puts it on the row that is farthest from its own. combine=False ships every row to its cluster (for comparison only).
     reader takes the vectors from a batch, for embeddings that are not stored. The mean update lowers the l2 cost in each iteration; it need not lower the l1 cost."""
     if k < 1:
@@ -146,7 +147,7 @@ def cluster(
     sizes, before, history = np.zeros(k), None, []
     partitions = ds.rdd.getNumPartitions()
     for step in range(max_iter):
-        held = spark.sparkContext.broadcast((centroids, before, extra, reader))
+        held = spark.sparkContext.broadcast((centroids, before if tol is not None else None, extra, reader))
 
         def of(batch, held=held):
             now, old, more, read = held.value
@@ -172,7 +173,7 @@ def cluster(
             for c, r in zip(np.flatnonzero(sizes == 0), far):
                 new[c] = np.array(r["far_y"])
         changed, n = sum(r["changed"] for r in rows), sizes.sum()
-        history.append({"iter": step, "cost": float(sum(r["sse"] for r in rows)), "changed": int(changed), "shift": float(np.abs(new - centroids).max()), "empty": int((sizes == 0).sum())})
+        history.append({"iter": step, "cost": float(sum(r["sse"] for r in rows)), "changed": int(changed) if tol is not None else None, "shift": float(np.abs(new - centroids).max()), "empty": int((sizes == 0).sum())})
         before, centroids = centroids, new
         if tol is not None and step and changed <= tol * max(n, 1):
             break

@@ -70,6 +70,7 @@ def one_run(ds: DataFrame, w: Workload, method: str, l: int, seed: int, m: int |
     rows = ds.select("id", "x", "cls")
     if method == "sample_propagate":
         with ledger.timed("cluster"):
+            loop.pop("init", None)
             result = _forced(baselines.sample_propagate(rows, kernel, w.k, l, seed=seed, landmarks=landmarks).transform(rows))
     else:
         discrepancy = "l2"
