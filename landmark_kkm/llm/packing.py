@@ -176,7 +176,7 @@ def pack_instance(spark, lengths: list[int], capacity: int, islands: int = ISLAN
 
     ddl = "island int, seed int, bins array<array<int>>"
     for epoch in range(epochs):
-        if any(len(members[0]) == least for members in state) or len(lengths) < 2:
+        if len(lengths) < 2 or epoch and any(len(members[0]) == least for members in state):
             break
         rows = [(i, epoch * islands + i, [list(b) for b in m]) for i, members in enumerate(state) for m in members]
         found: dict[int, list[Bins]] = {}
@@ -239,8 +239,6 @@ def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, instance: int
     if not rest:
         return out
     plain = best_fit_histogram(counts, capacity)
-    if sum(n for _, n in plain) == -(-sum(s * n for s, n in counts.items()) // capacity):
-        return out + plain
     times = max(1, rest // instance)
     drawn = [s for s, n in sorted(counts.items()) for _ in range(n // times)]
     found: Counter = Counter(pack_instance(spark, drawn, capacity, **how)) if drawn else Counter()
@@ -253,7 +251,7 @@ def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, instance: int
             for s in b:
                 left[s] -= n * times
     scaled = used + best_fit_histogram({s: n for s, n in left.items() if n}, capacity)
-    return out + min(plain, scaled, key=lambda p: sum(n for _, n in p))
+    return out + min(scaled, plain, key=lambda p: sum(n for _, n in p))  # the evolved packing, unless it is no help on the whole
 
 
 class Places:
