@@ -13,7 +13,7 @@ from landmark_kkm import workloads
 from landmark_kkm.functions import columns as C
 from landmark_kkm.functions.columns import rounded
 from landmark_kkm.functions.kernels import HistogramIntersection, Jaccard, Kernel, Laplacian, Linear, Neural, Polynomial, Rbf, cosine, self_tuned_sigma
-from landmark_kkm.operators import baselines, measures, relational
+from landmark_kkm.operators import baselines, measures, properties, relational
 from landmark_kkm.operators.cluster import cluster
 from landmark_kkm.operators.coefficients import KernelColumns, Nystrom, NystromEnsemble, StableProjection, centred
 from landmark_kkm.operators.embed import embed
@@ -284,6 +284,29 @@ def q_prop3_modes(spark, sf_dir):
     return both.agg(rounded(F.max(C.squared_l2(F.col("fused"), F.col("rounds")))).alias("rounds_gap"), rounded(F.max(C.squared_l2(F.col("fused"), F.col("staged")))).alias("staged_gap"))
 
 
+@query("q_family_checks", "SELECT family, true AS linear, true AS kernelized, true AS blocks FROM (VALUES ('nystrom'), ('stable'), ('ensemble')) t(family)")
+def q_family_checks(spark, sf_dir):
+    ds, rows = _dense(spark, sf_dir), []
+    for name, family in (("nystrom", Nystrom(50)), ("stable", StableProjection(100)), ("ensemble", NystromEnsemble(40, 2))):
+        report = properties.check_family(family, ds, Rbf(1.0))
+        rows.append((name, report["linear"] < 1e-9, report["kernelized"] < 1e-9, bool(report["blocks"])))
+    return spark.createDataFrame(rows, "family string, linear boolean, kernelized boolean, blocks boolean")
+
+
+@query("q_reconstruct_pairs", f"WITH l AS {_lm(30)} SELECT a.lid AS i, b.lid AS j, {_ROUND.format('exp(-pow(list_distance(a.lx, b.lx), 2) / 2e0)')} AS value FROM l a, l b")
+def q_reconstruct_pairs(spark, sf_dir):
+    ds = _dense(spark, sf_dir).select("id", "x")
+    sample = sample_landmarks(ds, 30)
+    y = embed(sample, Nystrom(30).fit(collect_landmarks(sample), Rbf(1.0)), Rbf(1.0), kind="double").cache()
+    pairs = y.select(F.col("id").alias("i")).crossJoin(F.broadcast(y.select(F.col("id").alias("j"))))
+    return properties.reconstruct_pairs(y, pairs).withColumn("value", rounded(F.col("value")))
+
+
+@query("q_stable_norm")
+def q_stable_norm(spark, sf_dir):
+    return properties.stable_norm(_dense(spark, sf_dir), 2, 1000)
+
+
 @query("q_ensemble_concat", f"WITH l AS {_lm(4)} SELECT vec_id AS id, pos::INTEGER AS block, {_ROUND.format('exp(-pow(list_distance(embedding::DOUBLE[], lx), 2) / 2e0) / 2')} AS y FROM embeddings, l")
 def q_ensemble_concat(spark, sf_dir):
     ds = _dense(spark, sf_dir).select("id", "x")
@@ -635,21 +658,26 @@ def q_vector_sum(spark, sf_dir):
 # --- streams --------------------------------------------------------------------------------------------------------------------
 
 
-@query("q_stream_windows", "SELECT time_bucket(INTERVAL 6 HOUR, ts) AS start, event_type, count(*)::BIGINT AS n FROM events GROUP BY ALL")
+def _stamp(name: str):
+    """A time as text, which engines compare alike."""
+    return F.date_format(name, "yyyy-MM-dd HH:mm:ss").alias(name)
+
+
+@query("q_stream_windows", "SELECT strftime(time_bucket(INTERVAL 6 HOUR, ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*)::BIGINT AS n FROM events GROUP BY ALL")
 def q_stream_windows(spark, sf_dir):
     stream = streams.windowed_mix(streams.read_stream(spark, sf_dir, "events"), "ts", "event_type", "6 hours")
-    return streams.run_available(stream, "complete").select("start", "event_type", "n")
+    return streams.run_available(stream, "complete").select(_stamp("start"), "event_type", "n")
 
 
 @query(
     "q_stream_sessions",
     """WITH b AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events),
     s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM b)
-    SELECT user_id, min(ts) AS start, count(*)::BIGINT AS n FROM s GROUP BY user_id, s""",
+    SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*)::BIGINT AS n FROM s GROUP BY user_id, s""",
 )
 def q_stream_sessions(spark, sf_dir):
     stream = streams.sessions(streams.read_stream(spark, sf_dir, "events"), "ts", "user_id")
-    return streams.run_available(stream, "complete").select("user_id", "start", "n")
+    return streams.run_available(stream, "complete").select("user_id", _stamp("start"), "n")
 
 
 @query("q_stream_scoring", ORACLE_SQL["q_assign"])
@@ -728,6 +756,39 @@ def _workload(name: str, **how):
     return lambda spark, sf_dir: workloads.run(spark, sf_dir, name, **how)
 
 
+@query("q_agreement")
+def q_agreement(spark, sf_dir):
+    """(method, l, agreement, beta_ratio): the share of rows whose nearest centroid is the exact one, for clusters taken from lang."""
+    ds = features.text_grams(spark, sf_dir).cache()
+    rows = collect_landmarks(sample_landmarks(ds.select("id", "x"), 2000))
+    names = {r.id: r.cls for r in ds.select("id", "cls").collect()} if ds.count() <= 20_000 else {}
+    classes = sorted(set(names.values()))
+    labels = np.array([classes.index(names[i]) for i in rows.ids])
+    kernel, out = Rbf(self_tuned_sigma(rows.rows)), []
+    for l in (50, 100, 300):
+        lm = _landmarks(ds, l)
+        for name, family in (("nystrom", Nystrom(1000)), ("stable", StableProjection(1000)), ("stable_eigen", StableProjection(1000, root="eigen"))):
+            blocks = family.fit(lm, kernel)
+            report = measures.discrepancy_report(rows, labels, len(classes), blocks, kernel, family.discrepancy, family.beta(blocks))
+            out.append((name, l, report["agreement"], report["beta_ratio"]))
+    return spark.createDataFrame(out, "method string, l int, agreement double, beta_ratio double")
+
+
+@query("q_ablations")
+def q_ablations(spark, sf_dir):
+    return workloads.ablations(spark, sf_dir)
+
+
+@query("q_scaling_l")
+def q_scaling_l(spark, sf_dir):
+    return workloads.run(spark, sf_dir, "w6", (100, 200, 300), methods=("nystrom", "stable"), m=100, max_iter=2)
+
+
+@query("q_runs_ttest")
+def q_runs_ttest(spark, sf_dir):
+    return workloads.ttest_table(workloads.run(spark, sf_dir, "w2", (50,), seeds=3, methods=("nystrom", "stable", "fourier"), m=100, max_iter=5))
+
+
 for _name in ("w1", "w2", "w3", "w4"):
     query(f"q_{_name}")(_workload(_name, l=(50,), max_iter=5))
 for _name in ("w5", "w6", "w7"):

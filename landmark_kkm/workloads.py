@@ -164,7 +164,7 @@ def ablations(spark: SparkSession, sf_dir: str, l: int = 100) -> DataFrame:
     def tried(what: str, setting: str, family, mode: str = "fused", **how) -> None:
         began = time.perf_counter()
         y = _forced(embed(ds, family.fit(landmarks, kernel), kernel, mode))
-        model = cluster(y, w.k, family.discrepancy, max_iter=how.pop("max_iter", 10), **how)
+        model = cluster(y, w.k, family.discrepancy, max_iter=how.pop("max_iter", 4), **how)
         nmi = measures.nmi(model.transform(y)).first()["nmi"]
         y.unpersist()
         out.append((what, setting, float(nmi), time.perf_counter() - began))

@@ -501,3 +501,29 @@ def test_queries_match_their_sql(spark, sf_dir):
         assert columns == sorted(theirs.columns)
         row = lambda r: tuple(round(v, 5) if isinstance(v, float) else v for v in r)
         assert sorted(map(str, map(row, mine.select(columns).collect()))) == sorted(map(str, map(row, theirs.select(", ".join(columns)).fetchall()))), name
+
+
+def test_family_checks(dense):
+    from landmark_kkm.operators.properties import check_family
+
+    for family in (Nystrom(50), StableProjection(200), NystromEnsemble(40, 2)):
+        report = check_family(family, dense, K.Rbf(1.0))
+        assert report["linear"] < 1e-9 and report["kernelized"] < 1e-9 and report["blocks"] and 0 <= report["discrepancy"]["agreement"] <= 1
+
+
+def test_stable_norms_and_pairs(spark, dense):
+    from landmark_kkm.operators.properties import reconstruct_pairs, stable_norm, with_local_scale
+
+    few = dense.filter("id < 40")
+    x = numpy_rows(few, "x")
+    two = np.array([r.norm for r in stable_norm(few, 2, 4000).orderBy("id").collect()])
+    one = np.array([r.norm for r in stable_norm(few, 1, 4000).orderBy("id").collect()])
+    assert np.allclose(two, np.linalg.norm(x, axis=1), rtol=0.08) and np.allclose(one, np.abs(x).sum(1), rtol=0.15)
+    with pytest.raises(ValueError):
+        stable_norm(few, 3, 10)
+    y = embed(few, Nystrom(40).fit(collect_landmarks(few.select("id", "x")), K.Rbf(1.0)), K.Rbf(1.0), kind="double")
+    pairs = spark.createDataFrame([(0, 1), (3, 3)], "i long, j long")
+    found = {(r.i, r.j): r.value for r in reconstruct_pairs(y, pairs).collect()}
+    assert found[3, 3] == pytest.approx(1) and found[0, 1] == pytest.approx(np.exp(-((x[0] - x[1]) ** 2).sum() / 2))
+    local = numpy_rows(with_local_scale(dense, sample=500), "x")
+    assert local.shape == (500, 65) and (local[:, -1] > 0).all()
