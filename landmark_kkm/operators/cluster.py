@@ -159,9 +159,10 @@ def cluster(
             return best.astype(np.int64), y, weight, cost[np.arange(len(best)), best], changed
 
         if combine:
-            rows = merged(ds.mapInArrow(lambda it, of=of: summed_by_key(it, of), PARTIAL_DDL), partitions)
+            far = empty == "reseed_farthest"
+            rows = merged(ds.mapInArrow(lambda it, of=of, far=far: summed_by_key(it, of, far), PARTIAL_DDL), partitions)
         else:
-            rows = _uncombined(ds, of)
+            rows = _uncombined(ds, of, empty == "reseed_farthest")
         held.destroy()
         new, sizes = centroids.copy(), np.zeros(k)
         for r in rows:
@@ -180,7 +181,7 @@ def cluster(
     return ClusterModel(centroids, sizes, discrepancy, history, extra, reader)
 
 
-def _uncombined(ds: DataFrame, of) -> list:
+def _uncombined(ds: DataFrame, of, far: bool = False) -> list:
     """The same sums with every row sent to its cluster: n vectors move where k sums for each partition would do."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -188,7 +189,7 @@ def _uncombined(ds: DataFrame, of) -> list:
 
         for batch in batches:
             for i in range(batch.num_rows):
-                held = Partials()
+                held = Partials(far)
                 held.add(*of(batch.slice(i, 1)))
                 yield held.batch()
 

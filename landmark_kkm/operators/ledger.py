@@ -50,8 +50,8 @@ def embed_bytes(blocks: list[CoefficientBlock], workers: int = 1) -> int:
 
 
 def iteration_bytes(partitions: int, k: int, m: int) -> int:
-    """At most k sums of m numbers and k counts leave each partition in an iteration (and k farthest rows with their cost, 8 bytes a number)."""
-    return partitions * k * (2 * m + 5) * 8
+    """At most k rows leave each partition in an iteration: a sum of m numbers, and five numbers besides, 8 bytes each."""
+    return partitions * k * (m + 5) * 8
 
 
 def centroid_bytes(k: int, m: int, workers: int = 1) -> int:

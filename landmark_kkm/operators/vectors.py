@@ -32,10 +32,11 @@ def lists_of(rows: np.ndarray, kind: pa.DataType) -> pa.Array:
 
 
 class Partials:
-    """Sums of vectors by key inside a partition; at most one row for each key leaves it."""
+    """Sums of vectors by key inside a partition; at most one row for each key leaves it. The farthest vector goes along only where it is asked for."""
 
-    def __init__(self):
+    def __init__(self, far: bool = False):
         self.held: dict[int, list] = {}
+        self.far = far
 
     def add(self, keys: np.ndarray, y: np.ndarray, weight: np.ndarray, cost: np.ndarray, changed: np.ndarray) -> None:
         order = np.argsort(keys, kind="stable")
@@ -43,7 +44,7 @@ class Partials:
         first = np.flatnonzero(np.append(True, keys[1:] != keys[:-1])) if len(keys) else []
         for a, b in zip(first, [*first[1:], len(keys)]):
             far = int(np.argmax(cost[a:b])) + a
-            row = [weight[a:b] @ y[a:b], weight[a:b].sum(), weight[a:b] @ cost[a:b], int(changed[a:b].sum()), cost[far], y[far]]
+            row = [weight[a:b] @ y[a:b], weight[a:b].sum(), weight[a:b] @ cost[a:b], int(changed[a:b].sum()), cost[far], y[far] if self.far else y[:0, 0]]
             old = self.held.get(int(keys[a]))
             if old:
                 row = [old[0] + row[0], old[1] + row[1], old[2] + row[2], old[3] + row[3], *max((old[4:], row[4:]), key=lambda x: x[0])]
@@ -73,9 +74,9 @@ def merged(partials: DataFrame, partitions: int) -> list:
     return sorted(partials.groupBy("key").applyInArrow(lambda t: _merge(t), PARTIAL_DDL).collect(), key=lambda r: r["key"])
 
 
-def summed_by_key(batches: Iterator[pa.RecordBatch], of) -> Iterator[pa.RecordBatch]:
+def summed_by_key(batches: Iterator[pa.RecordBatch], of, far: bool = False) -> Iterator[pa.RecordBatch]:
     """The partials of a partition; of(batch) gives (keys, y, weight, cost, changed)."""
-    held = Partials()
+    held = Partials(far)
     for batch in batches:
         if batch.num_rows:
             held.add(*of(batch))

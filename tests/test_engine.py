@@ -347,7 +347,7 @@ def test_costs_follow_the_formulas():
     s = choices.Scale(n=10**6, row_bytes=8000, l=500, d=1000, m=500, k=100)
     assert choices.iteration_shuffle_bytes(s) < choices.iteration_shuffle_bytes(s, 128 << 20)
     assert choices.store_embedding(s) and not choices.store_embedding(choices.Scale(10**6, 80, 10, 10, 500, 10))
-    assert iteration_bytes(10, 4, 50) == 10 * 4 * 105 * 8 and exact_bytes(1000) == 8_000_000
+    assert iteration_bytes(10, 4, 50) == 10 * 4 * 55 * 8 and exact_bytes(1000) == 8_000_000
     ledger = CostLedger()
     with ledger.timed("embed", broadcast_bytes=3):
         pass
