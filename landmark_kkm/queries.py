@@ -582,11 +582,11 @@ def q_join_interval(spark, sf_dir):
 
 @query(
     "q_join_asof",
-    "SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'login' GROUP BY ALL) v ON e.user_id = v.user_id AND e.ts >= v.ts",
+    "SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'signup' GROUP BY ALL) v ON e.user_id = v.user_id AND e.ts >= v.ts",
 )
 def q_join_asof(spark, sf_dir):
     e = table(spark, sf_dir, "events")
-    versions = e.filter("event_type = 'login'").select("user_id", "ts", F.col("event_id").alias("version"))
+    versions = e.filter("event_type = 'signup'").select("user_id", "ts", F.col("event_id").alias("version"))
     return relational.asof_join(e.select("event_id", "user_id", "ts"), versions, "ts", "ts", ["user_id"], ["version"]).select("event_id", "version")
 
 
@@ -655,6 +655,34 @@ def q_vector_sum(spark, sf_dir):
     return relational.vector_sum(rows, "cluster", "embedding").select("cluster", "n", F.posexplode("sum").alias("p", "v")).select("cluster", "p", rounded(F.col("v")).alias("value"), "n")
 
 
+@query("q_pivot", "SELECT user_id, count(*) FILTER (event_type = 'click')::BIGINT AS click, count(*) FILTER (event_type = 'purchase')::BIGINT AS purchase, count(*) FILTER (event_type = 'view')::BIGINT AS view FROM events GROUP BY user_id")
+def q_pivot(spark, sf_dir):
+    counts = table(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "purchase", "view"]).agg(F.count(F.lit(1)))
+    return counts.na.fill(0)
+
+
+@query("q_listagg", "SELECT o_custkey, string_agg(o_orderkey::VARCHAR, ',' ORDER BY o_orderkey) AS orders FROM orders GROUP BY o_custkey")
+def q_listagg(spark, sf_dir):
+    rows = table(spark, sf_dir, "orders").groupBy("o_custkey").agg(F.sort_array(F.collect_list("o_orderkey")).alias("k"))
+    return rows.select("o_custkey", F.array_join(F.transform("k", lambda k: k.cast("string")), ",").alias("orders"))
+
+
+@query("q_join_hints", "SELECT o_orderpriority, count(*)::BIGINT AS lines, round(sum(l_quantity), 2) + 0e0 AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY o_orderpriority")
+def q_join_hints(spark, sf_dir):
+    t = lambda n: table(spark, sf_dir, n)
+    lines = t("lineitem").select("l_orderkey", "l_partkey", "l_quantity")
+    orders, part = t("orders").select("o_orderkey", "o_orderpriority").hint("merge"), t("part").select("p_partkey").hint("shuffle_hash")
+    met = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(part, F.col("l_partkey") == F.col("p_partkey"))
+    return met.groupBy("o_orderpriority").agg(F.count("*").alias("lines"), rounded(F.sum("l_quantity"), 2).alias("quantity"))
+
+
+@query("q_sketches")
+def q_sketches(spark, sf_dir):
+    """Approximate counts and quantiles beside exact ones, by class."""
+    rows = table(spark, sf_dir, "lineitem").select("l_returnflag", "l_partkey", "l_extendedprice")
+    return rows.groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.countDistinct("l_partkey").alias("exact_parts"), F.percentile_approx("l_extendedprice", [0.5, 0.9], 1000).alias("prices"))
+
+
 # --- streams --------------------------------------------------------------------------------------------------------------------
 
 
@@ -784,6 +812,17 @@ def q_scaling_l(spark, sf_dir):
     return workloads.run(spark, sf_dir, "w6", (100, 200, 300), methods=("nystrom", "stable"), m=100, max_iter=2)
 
 
+@query("q_scaling_k")
+def q_scaling_k(spark, sf_dir):
+    both = [workloads.run(spark, sf_dir, w, (200,), methods=("nystrom", "stable"), m=100, max_iter=2) for w in ("w6", "w7")]
+    return both[0].unionByName(both[1])
+
+
+@query("q_total")
+def q_total(spark, sf_dir):
+    return workloads.total(spark, sf_dir, 200)
+
+
 @query("q_runs_ttest")
 def q_runs_ttest(spark, sf_dir):
     return workloads.ttest_table(workloads.run(spark, sf_dir, "w2", (50,), seeds=3, methods=("nystrom", "stable", "fourier"), m=100, max_iter=5))

@@ -18,7 +18,6 @@ from landmark_kkm.sources.tables import table
 RETURN_FLAGS = ("A", "N", "R")
 LINE_STATUS = ("F", "O")
 ORDER_STATUS = ("F", "O", "P")
-REGION_COUNT, NATION_COUNT, BRAND_COUNT = 5, 25, 25
 
 
 def hash_id(*columns: str) -> Column:
@@ -88,9 +87,6 @@ def behaviour(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t("customer").join(maps, F.col("c_custkey") == F.col("o_custkey"), "left").select(F.col("c_custkey").alias("id"), F.coalesce("x", empty).alias("x"), F.col("c_mktsegment").alias("cls"))
 
 
-EVENT_TYPES = ("click", "login", "purchase", "signup", "view")
-
-
 def users(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Users with counts of their event types (by name), of events by hour, and the mean value."""
     events = table(spark, sf_dir, "events", parallel=True)
