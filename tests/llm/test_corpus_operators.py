@@ -67,6 +67,26 @@ def test_fingerprints_and_components_match_brute_force(spark):
     assert [found[i].component_id for i in range(len(texts))] == group
 
 
+@pytest.mark.parametrize("n", [0, 1, 2, 255, 256, 511, simhash.CHUNK + 300])
+def test_majorities_count_every_hash(n):
+    hashes = np.random.default_rng(n).integers(0, 1 << 64, (3, n), dtype=np.uint64)
+    bits = (hashes[:, :, None] >> np.arange(64, dtype=np.uint64)) & np.uint64(1)
+    brute = [sum(1 << b for b in range(64) if 2 * int(row[:, b].sum()) > n) for row in bits]
+    assert simhash.majorities(hashes).tolist() == brute
+    assert [simhash.majority(row) for row in hashes] == brute
+
+
+def test_wide_fingerprints_tell_similarities_apart():
+    rng, near, far = np.random.default_rng(5), 0, 0
+    for _ in range(50):
+        shared = rng.integers(0, 1 << 64, 400, dtype=np.uint64)
+        other = lambda n: np.concatenate([shared, rng.integers(0, 1 << 64, n, dtype=np.uint64)])
+        apart = lambda n: sum(int(np.bitwise_count(a)) for a in simhash.wide_majorities(other(n)) ^ simhash.wide_majorities(other(n)))
+        near += apart(22) <= simhash.WIDE_RADIUS  # a similarity of 0.9
+        far += apart(133) <= simhash.WIDE_RADIUS  # a similarity of 0.6
+    assert near == 50 and far == 0
+
+
 @pytest.mark.parametrize("radius,blocks", [(4, 5), (4, 6), (8, 10)])
 def test_pigeonhole_keys_lose_no_pair(radius, blocks):
     masks = [m & (1 << 64) - 1 for m in simhash.masks_for(blocks, radius)]
