@@ -1,7 +1,7 @@
 """SimHash near-duplicates: fingerprints, BK-trees over shards of fingerprints, components.
 
 Trees are not broadcast: all fingerprints together have no size bound. A pigeonhole key sends each fingerprint to every shard
-that any partner within the radius must share, and each task builds the trees of its shards and follows only the edges whose
+that any partner within the radius must share (near copies by similarity: to the shards of its bands of least hashes), and each task builds the trees of its shards and follows only the edges whose
 key lies within the radius of the query's distance. The pairs found in a shard leave it as a spanning forest, never as all pairs.
 """
 
@@ -24,14 +24,21 @@ BITS = 64
 #: Expected fingerprints in a shard, above which a longer key is taken.
 SHARD_ROWS = 64
 #: Columns of the wide fingerprint, 64 bits each.
-WIDE = [f"w{j}" for j in range(8)]
+WIDE = [f"w{j}" for j in range(16)]
 #: Eight lanes of a byte, for counting bits 0, 8, 16, ... of 64 at once; a lane counts up to 255 hashes.
 LANES, LANE_ROWS, CHUNK = np.uint64(0x0101010101010101), 255, 1 << 13
+#: Hashes up to which bits are unpacked instead.
+FEW = 800
+#: Bands of least hashes that choose the shards of near copies. At a similarity s two texts share a band with probability 1 - (1 - s**4)**16: 0.9998 at 0.8.
+BANDS, BAND_ROWS = 16, 4
 
 
 def majorities(hashes: np.ndarray) -> np.ndarray:
     """The 64-bit fingerprint of each row of hashes (rows, n): a bit is 1 if set in over half of the n; 0 for no hashes."""
     rows, n = hashes.shape
+    if rows * n <= FEW:
+        bits = np.unpackbits(np.ascontiguousarray(hashes).view(np.uint8).reshape(rows, n, 8), axis=2, bitorder="little")
+        return np.packbits(2 * bits.sum(1, dtype=np.int64) > n, axis=1, bitorder="little").view(np.uint64).ravel()
     count = np.zeros((rows, 8, 8), np.int64)
     for at in range(0, n, CHUNK):
         part = hashes[:, at : at + CHUNK]
@@ -51,10 +58,23 @@ def wide_majorities(hashes: np.ndarray) -> np.ndarray:
     return majorities(np.stack([mix(hashes, j + 1) for j in range(len(WIDE))]))
 
 
+def band_keys(hashes: np.ndarray) -> np.ndarray:
+    """One key for each band: a hash of BAND_ROWS least hashes, each under another order (the hashes xor a fixed word)."""
+    orders = mix(np.arange(BANDS * BAND_ROWS, dtype=np.uint64), 7)
+    least = np.full(len(orders), np.iinfo(np.uint64).max)
+    for at in range(0, len(hashes), CHUNK):
+        np.minimum(least, (hashes[None, at : at + CHUNK] ^ orders[:, None]).min(1), out=least)
+    least = least.reshape(BANDS, BAND_ROWS)
+    key = np.arange(BANDS, dtype=np.uint64)
+    for j in range(BAND_ROWS):
+        key = mix(key ^ least[:, j], j + 1)
+    return key
+
+
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch], width: int, wide: bool, keep: list[str]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for batch in slices(whole, "text"):
-            prints, more = [], [[] for _ in WIDE]
+            prints, more, bands = [], [[] for _ in WIDE], []
             for text in as_bytes(batch.column("text")):
                 words = words_of(text)
                 hashes = shingle_hashes(words, width)
@@ -62,20 +82,24 @@ def _fingerprint_batches(batches: Iterator[pa.RecordBatch], width: int, wide: bo
                     prints.append(majority(shingle_hashes(list(set(words)), 1)))
                     for column, word in zip(more, wide_majorities(hashes)):
                         column.append(word)
+                    bands.append(band_keys(hashes))
                 else:
                     prints.append(majority(hashes))
             columns = [batch.column(k) for k in keep] + [pa.array(np.array(x, dtype=np.uint64).view(np.int64)) for x in ([prints, *more] if wide else [prints])]
-            yield pa.RecordBatch.from_arrays(columns, names=[*keep, "fp", *(WIDE if wide else [])])
+            if wide:
+                keys = np.concatenate(bands).view(np.int64)
+                columns.append(pa.ListArray.from_arrays(pa.array(np.arange(0, len(keys) + 1, BANDS, dtype=np.int32)), pa.array(keys)))
+            yield pa.RecordBatch.from_arrays(columns, names=[*keep, "fp", *([*WIDE, "bands"] if wide else [])])
 
 
 def fingerprints(docs: DataFrame, width: int = 4, wide: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp) of every row, fp a signed view of the 64 bits. Null and wordless texts get 0.
 
-    wide: fp is taken over the distinct words, which near copies hardly change, and w0 to w7 hold 512 bits over the
-    `width`-word shingles, whose differing share estimates the angle between shingle sets.
+    wide: fp is taken over the distinct words, which near copies hardly change, and w0 to w15 hold 1024 bits over the
+    `width`-word shingles, whose differing share estimates the angle between shingle sets; bands holds the keys of its shards.
     """
     ship(docs.sparkSession)
-    schema = "doc_id long, fp long" + "".join(f", {w} long" for w in WIDE if wide)
+    schema = "doc_id long, fp long" + ("".join(f", {w} long" for w in WIDE) + ", bands array<long>" if wide else "")
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return rows.mapInArrow(lambda it: _fingerprint_batches(it, width, wide, ["doc_id"]), schema)
 
@@ -193,14 +217,24 @@ def _forest_edges(batches: Iterator[pa.RecordBatch], radius: int, wide_radius: i
         yield pa.RecordBatch.from_arrays([pa.array(rep[linked]), pa.array(rep[label[linked]])], names=["u", "v"])
 
 
-def link(prints: DataFrame, radius: int, wide_radius: int | None = None) -> DataFrame:
-    """prints with component_id: the least doc_id reachable over links of at most `radius` differing bits (and, with wide_radius,
-    at most that many of the 512 wide bits). Equal fingerprints are one node; a null doc_id takes the component of its fingerprint.
-    """
-    same = ["fp", *(WIDE if wide_radius is not None else [])]
-    nodes = materialize(prints.filter("doc_id is not null").groupBy(*same).agg(F.min("doc_id").alias("rep")), "nodes")
+def _pigeonhole_shards(nodes: DataFrame, radius: int) -> DataFrame:
+    """nodes with shard, once for each key of agreeing blocks: any two within the radius meet in one shard at least."""
     masks = masks_for(blocks_for(nodes.count(), radius), radius)
-    shards = nodes.withColumn("shard", F.explode(F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(m).cast("long"))) for i, m in enumerate(masks)])))
+    return nodes.withColumn("shard", F.explode(F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(m).cast("long"))) for i, m in enumerate(masks)])))
+
+
+def link(prints: DataFrame, radius: int, wide_radius: int | None = None) -> DataFrame:
+    """prints with component_id: the least doc_id reachable over links of at most `radius` differing bits. With wide_radius a link
+    also needs at most that many differing bits of the 1024 wide ones, and is sought among fingerprints that share a band: a
+    similarity of 0.8 or more is met with a chance of 0.9998, and a text goes to BANDS shards however many texts there are.
+
+    Equal fingerprints are one node; a null doc_id takes the component of its fingerprint."""
+    wide = wide_radius is not None
+    same = ["fp", *(WIDE if wide else [])]
+    least = F.min(F.struct("doc_id", "bands")) if wide else F.min(F.struct("doc_id"))
+    kept = prints.filter("doc_id is not null").groupBy(*same).agg(least.alias("least"))
+    nodes = materialize(kept.select(*same, F.col("least.doc_id").alias("rep"), *([F.col("least.bands").alias("bands")] if wide else [])), "nodes")
+    shards = nodes.select(*same, "rep", F.explode("bands").alias("shard")) if wide else _pigeonhole_shards(nodes, radius)
     count = max(int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), nodes.sparkSession.sparkContext.defaultParallelism)
     edges = shards.repartition(count, "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius, wide_radius), "u long, v long")
     found = components(edges)
@@ -219,10 +253,10 @@ def near_duplicates(docs: DataFrame, radius: int = 4, width: int = 4) -> DataFra
     )
 
 
-#: Differing bits of 512 at a shingle-set similarity of 0.8: cosine 0.8 * 2 / 1.8, angle 0.476, 512 * 0.476 / pi = 77.6, plus about half a deviation (8.1).
-WIDE_RADIUS = 82
+#: Differing bits of 1024 at a shingle-set similarity of 0.8: cosine 0.8 * 2 / 1.8, angle 0.476, 1024 * 0.476 / pi = 155.2, plus three quarters of a deviation (11.5).
+WIDE_RADIUS = 164
 #: Differing bits between the word fingerprints of such copies.
-WORD_RADIUS = 8
+WORD_RADIUS = 10
 
 
 def drop_near_duplicates(docs: DataFrame, width: int = 5, radius: int = WORD_RADIUS, wide_radius: int = WIDE_RADIUS) -> DataFrame:

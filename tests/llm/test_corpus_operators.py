@@ -76,6 +76,18 @@ def test_majorities_count_every_hash(n):
     assert [simhash.majority(row) for row in hashes] == brute
 
 
+def test_similar_sets_share_a_band_and_others_do_not():
+    rng, met, strange = np.random.default_rng(6), 0, 0
+    for n in (1, 9, 400, simhash.CHUNK + 90):
+        for _ in range(25):
+            shared = rng.integers(0, 1 << 64, n, dtype=np.uint64)
+            mine, other = (np.concatenate([shared, rng.integers(0, 1 << 64, n // 9, dtype=np.uint64)]) for _ in range(2))
+            met += bool((simhash.band_keys(mine) == simhash.band_keys(other)).any())
+            strange += bool((simhash.band_keys(mine) == simhash.band_keys(rng.integers(0, 1 << 64, n, dtype=np.uint64))).any())
+    assert met == 100 and strange == 0
+    assert len(simhash.band_keys(np.zeros(0, np.uint64))) == simhash.BANDS
+
+
 def test_wide_fingerprints_tell_similarities_apart():
     rng, near, far = np.random.default_rng(5), 0, 0
     for _ in range(50):
