@@ -231,9 +231,12 @@ def link(prints: DataFrame, radius: int, wide_radius: int | None = None) -> Data
     Equal fingerprints are one node; a null doc_id takes the component of its fingerprint."""
     wide = wide_radius is not None
     same = ["fp", *(WIDE if wide else [])]
-    least = F.min(F.struct("doc_id", "bands")) if wide else F.min(F.struct("doc_id"))
-    kept = prints.filter("doc_id is not null").groupBy(*same).agg(least.alias("least"))
-    nodes = materialize(kept.select(*same, F.col("least.doc_id").alias("rep"), *([F.col("least.bands").alias("bands")] if wide else [])), "nodes")
+    groups = prints.filter("doc_id is not null").groupBy(*same)
+    if wide:
+        kept = groups.agg(F.min(F.struct("doc_id", "bands")).alias("least")).select(*same, F.col("least.doc_id").alias("rep"), "least.bands")
+    else:
+        kept = groups.agg(F.min("doc_id").alias("rep"))
+    nodes = materialize(kept, "nodes")
     shards = nodes.select(*same, "rep", F.explode("bands").alias("shard")) if wide else _pigeonhole_shards(nodes, radius)
     count = max(int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), nodes.sparkSession.sparkContext.defaultParallelism)
     edges = shards.repartition(count, "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius, wide_radius), "u long, v long")
