@@ -3,6 +3,7 @@
 Trees are not broadcast: all fingerprints together have no size bound. A pigeonhole key sends each fingerprint to every shard
 that any partner within the radius must share (near copies by similarity: to the shards of its bands of least hashes), and each task builds the trees of its shards and follows only the edges whose
 key lies within the radius of the query's distance. The pairs found in a shard leave it as a spanning forest, never as all pairs.
+Where copies are meant by similarity, what trees find are candidates only: they leave as groups, and the shingle sets of their texts decide.
 """
 
 from __future__ import annotations
@@ -31,6 +32,8 @@ LANES, LANE_ROWS, CHUNK = np.uint64(0x0101010101010101), 255, 1 << 13
 FEW = 800
 #: Bands of least hashes that choose the shards of near copies. At a similarity s two texts share a band with probability 1 - (1 - s**4)**16: 0.9998 at 0.8.
 BANDS, BAND_ROWS = 16, 4
+#: Near copies share 4 of 5 of their shingles.
+SHARED, PARTS = 4, 5
 
 
 def majorities(hashes: np.ndarray) -> np.ndarray:
@@ -59,11 +62,11 @@ def wide_majorities(hashes: np.ndarray) -> np.ndarray:
 
 
 def band_keys(hashes: np.ndarray) -> np.ndarray:
-    """One key for each band: a hash of BAND_ROWS least hashes, each under another order (the hashes xor a fixed word)."""
-    orders = mix(np.arange(BANDS * BAND_ROWS, dtype=np.uint64), 7)
+    """One key for each band: a hash of BAND_ROWS least hashes, each under another order (the hashes times an odd word: xor would deal the few hashes of a short text too unevenly)."""
+    orders = mix(np.arange(BANDS * BAND_ROWS, dtype=np.uint64), 7) | np.uint64(1)
     least = np.full(len(orders), np.iinfo(np.uint64).max)
     for at in range(0, len(hashes), CHUNK):
-        np.minimum(least, (hashes[None, at : at + CHUNK] ^ orders[:, None]).min(1), out=least)
+        np.minimum(least, (hashes[None, at : at + CHUNK] * orders[:, None]).min(1), out=least)
     least = least.reshape(BANDS, BAND_ROWS)
     key = np.arange(BANDS, dtype=np.uint64)
     for j in range(BAND_ROWS):
@@ -74,32 +77,33 @@ def band_keys(hashes: np.ndarray) -> np.ndarray:
 def _fingerprint_batches(batches: Iterator[pa.RecordBatch], width: int, wide: bool, keep: list[str]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for batch in slices(whole, "text"):
-            prints, more, bands = [], [[] for _ in WIDE], []
+            prints, more, sizes, bands = [], [[] for _ in WIDE], [], []
             for text in as_bytes(batch.column("text")):
-                words = words_of(text)
-                hashes = shingle_hashes(words, width)
+                hashes = shingle_hashes(words_of(text), width)
                 if wide:
-                    prints.append(majority(shingle_hashes(list(set(words)), 1)))
+                    hashes = np.unique(hashes)
+                    prints.append(majority(hashes))
+                    sizes.append(len(hashes))
                     for column, word in zip(more, wide_majorities(hashes)):
                         column.append(word)
                     bands.append(band_keys(hashes))
                 else:
                     prints.append(majority(hashes))
-            columns = [batch.column(k) for k in keep] + [pa.array(np.array(x, dtype=np.uint64).view(np.int64)) for x in ([prints, *more] if wide else [prints])]
+            columns = [batch.column(k) for k in keep] + [pa.array(np.array(x, dtype=np.uint64).view(np.int64)) for x in ([prints, *more, sizes] if wide else [prints])]
             if wide:
                 keys = np.concatenate(bands).view(np.int64)
                 columns.append(pa.ListArray.from_arrays(pa.array(np.arange(0, len(keys) + 1, BANDS, dtype=np.int32)), pa.array(keys)))
-            yield pa.RecordBatch.from_arrays(columns, names=[*keep, "fp", *([*WIDE, "bands"] if wide else [])])
+            yield pa.RecordBatch.from_arrays(columns, names=[*keep, "fp", *([*WIDE, "size", "bands"] if wide else [])])
 
 
 def fingerprints(docs: DataFrame, width: int = 4, wide: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp) of every row, fp a signed view of the 64 bits. Null and wordless texts get 0.
 
-    wide: fp is taken over the distinct words, which near copies hardly change, and w0 to w15 hold 1024 bits over the
-    `width`-word shingles, whose differing share estimates the angle between shingle sets; bands holds the keys of its shards.
+    wide: fp is taken over the distinct shingles, of which there are `size`, and w0 to w15 hold 1024 bits more, whose differing
+    share estimates the angle between shingle sets; bands holds the keys of its shards.
     """
     ship(docs.sparkSession)
-    schema = "doc_id long, fp long" + ("".join(f", {w} long" for w in WIDE) + ", bands array<long>" if wide else "")
+    schema = "doc_id long, fp long" + ("".join(f", {w} long" for w in WIDE) + ", size long, bands array<long>" if wide else "")
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return rows.mapInArrow(lambda it: _fingerprint_batches(it, width, wide, ["doc_id"]), schema)
 
@@ -200,20 +204,82 @@ def unite(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             label[:] = up
 
 
-def _forest_edges(batches: Iterator[pa.RecordBatch], radius: int, wide_radius: int | None) -> Iterator[pa.RecordBatch]:
+def _shard_labels(table: pa.Table, radius: int, wide_radius: int | None) -> tuple[np.ndarray, np.ndarray]:
+    """(rep, label) of a table of whole shards; label is the first row of the class that links within the radius make in a shard."""
+    key = table.column("shard").to_numpy()
+    rep = table.column("rep").to_numpy()
+    prints = table.column("fp").to_numpy().view(np.uint64)
+    wide = [table.column(w).to_numpy().view(np.uint64) for w in WIDE] if wide_radius is not None else []
+    size = table.column("size").to_numpy() if wide else None
+    starts = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
+    forest, label = Forest(prints, starts), np.arange(len(key))
+    for q, node in forest.earlier_within(np.arange(len(key)), radius):
+        if wide:
+            small, large = np.minimum(size[q], size[node]), np.maximum(size[q], size[node])
+            near = PARTS * small >= SHARED * large  # no similarity is above the ratio of the sizes
+            q, node = q[near], node[near]
+            near = sum(np.bitwise_count(w[q] ^ w[node]).astype(np.int64) for w in wide) <= wide_radius
+            q, node = q[near], node[near]
+        unite(label, q, node)
+    return rep, label
+
+
+def _forest_edges(batches: Iterator[pa.RecordBatch], radius: int) -> Iterator[pa.RecordBatch]:
+    for table in whole_groups(batches, "shard"):
+        rep, label = _shard_labels(table, radius, None)
+        linked = np.flatnonzero(label != np.arange(len(label)))
+        yield pa.RecordBatch.from_arrays([pa.array(rep[linked]), pa.array(rep[label[linked]])], names=["u", "v"])
+
+
+def _candidate_groups(batches: Iterator[pa.RecordBatch], radius: int, wide_radius: int) -> Iterator[pa.RecordBatch]:
+    """(grp, rep) of every class of two rows or more in a shard; grp is a hash of the class's reps, so that shards that find the same class name it alike."""
     for table in whole_groups(batches, "shard"):
-        key = table.column("shard").to_numpy()
-        rep = table.column("rep").to_numpy()
-        prints = table.column("fp").to_numpy().view(np.uint64)
-        wide = [table.column(w).to_numpy().view(np.uint64) for w in WIDE] if wide_radius is not None else []
+        rep, label = _shard_labels(table, radius, wide_radius)
+        name = np.zeros(len(label), np.uint64)
+        np.add.at(name, label, mix(rep.view(np.uint64), 1))
+        many = np.bincount(label, minlength=len(label))[label] > 1
+        yield pa.RecordBatch.from_arrays([pa.array(mix(name, 2)[label[many]].view(np.int64)), pa.array(rep[many])], names=["grp", "rep"])
+
+
+def _set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for batch in slices(whole, "text"):
+            sets = [np.unique(shingle_hashes(words_of(text), width)).view(np.int64) for text in as_bytes(batch.column("text"))]
+            ends = np.cumsum([0, *map(len, sets)])
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("grps"), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(sets)))], names=["rep", "grps", "hashes"])
+
+
+def similar(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The classes that links of similarity SHARED / PARTS or more make of the sets that lie one after the other in values: the least member of each set's class."""
+    label, ends = np.arange(len(sizes)), np.cumsum(sizes)
+    order = np.argsort(values, kind="stable")
+    first = np.append(True, values[order][1:] != values[order][:-1])
+    owner = np.repeat(label, sizes)[order]  # of each hash in turn, the sets that have it
+    begin = np.flatnonzero(first)
+    count = np.diff(np.append(begin, len(values)))
+    run = np.empty(len(values), np.int64)
+    run[order] = np.cumsum(first) - 1
+    for i, end in enumerate(ends):
+        if not label.any():
+            break
+        mine = run[end - sizes[i] : end]
+        fan = count[mine]
+        at = np.arange(fan.sum()) - np.repeat(np.cumsum(fan) - fan, fan) + np.repeat(begin[mine], fan)
+        shared = np.bincount(owner[at], minlength=len(sizes))
+        near = np.flatnonzero((shared > 0) & (PARTS * shared >= SHARED * (sizes[i] + sizes - shared)))
+        unite(label, np.full(len(near), i), near)
+    return label
+
+
+def _confirmed_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for table in whole_groups(batches, "grp", 2000):
+        key, rep = table.column("grp").to_numpy(), table.column("rep").to_numpy()
+        lists = table.column("hashes").combine_chunks()
+        values, sizes = lists.flatten().to_numpy(), lists.value_lengths().to_numpy().astype(np.int64)
+        ends = np.append(0, np.cumsum(sizes))
         starts = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
-        forest, label = Forest(prints, starts), np.arange(len(key))
-        for q, node in forest.earlier_within(np.arange(len(key)), radius):
-            if wide:
-                near = sum(np.bitwise_count(w[q] ^ w[node]).astype(np.int64) for w in wide) <= wide_radius
-                q, node = q[near], node[near]
-            unite(label, q, node)
-        linked = np.flatnonzero(label != np.arange(len(key)))
+        label = np.concatenate([a + similar(values[ends[a] : ends[b]], sizes[a:b]) for a, b in zip(starts, np.append(starts[1:], len(key)))])
+        linked = np.flatnonzero(rep[label] != rep)
         yield pa.RecordBatch.from_arrays([pa.array(rep[linked]), pa.array(rep[label[linked]])], names=["u", "v"])
 
 
@@ -223,24 +289,39 @@ def _pigeonhole_shards(nodes: DataFrame, radius: int) -> DataFrame:
     return nodes.withColumn("shard", F.explode(F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(m).cast("long"))) for i, m in enumerate(masks)])))
 
 
-def link(prints: DataFrame, radius: int, wide_radius: int | None = None) -> DataFrame:
-    """prints with component_id: the least doc_id reachable over links of at most `radius` differing bits. With wide_radius a link
-    also needs at most that many differing bits of the 1024 wide ones, and is sought among fingerprints that share a band: a
-    similarity of 0.8 or more is met with a chance of 0.9998, and a text goes to BANDS shards however many texts there are.
+def _tasks(rows: DataFrame) -> int:
+    return max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.sparkSession.sparkContext.defaultParallelism)
+
+
+def link(prints: DataFrame, radius: int) -> DataFrame:
+    """prints with component_id: the least doc_id reachable over links of at most `radius` differing bits.
 
     Equal fingerprints are one node; a null doc_id takes the component of its fingerprint."""
-    wide = wide_radius is not None
-    same = ["fp", *(WIDE if wide else [])]
-    groups = prints.filter("doc_id is not null").groupBy(*same)
-    if wide:
-        kept = groups.agg(F.min(F.struct("doc_id", "bands")).alias("least")).select(*same, F.col("least.doc_id").alias("rep"), "least.bands")
-    else:
-        kept = groups.agg(F.min("doc_id").alias("rep"))
-    nodes = materialize(kept, "nodes")
-    shards = nodes.select(*same, "rep", F.explode("bands").alias("shard")) if wide else _pigeonhole_shards(nodes, radius)
-    count = max(int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), nodes.sparkSession.sparkContext.defaultParallelism)
-    edges = shards.repartition(count, "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius, wide_radius), "u long, v long")
-    found = components(edges)
+    nodes = materialize(prints.filter("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")), "nodes")
+    shards = _pigeonhole_shards(nodes, radius)
+    edges = shards.repartition(_tasks(nodes), "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius), "u long, v long")
+    return _labelled(prints, nodes, components(edges), ["fp"])
+
+
+def link_similar(prints: DataFrame, docs: DataFrame, width: int, radius: int, wide_radius: int) -> DataFrame:
+    """prints (wide) with component_id: the least doc_id reachable over links of a shingle-set similarity of SHARED / PARTS or more.
+
+    Candidates share a band (at that similarity with a chance of 0.9998; a text goes to BANDS shards however many texts there are), differ in at most
+    `radius` bits of fp and `wide_radius` of the wide ones. Groups of candidates that several shards find are kept once; each gets the shingle sets of
+    its texts, taken from docs (doc_id, text), and a link is made where the sets say so. Equal fingerprints are one node."""
+    same = ["fp", *WIDE, "size"]
+    least = prints.groupBy(*same).agg(F.min(F.struct("doc_id", "bands")).alias("least"))
+    nodes = materialize(least.select(*same, F.col("least.doc_id").alias("rep"), "least.bands"), "nodes")
+    shards = nodes.select(*same, "rep", F.explode("bands").alias("shard")).repartition(_tasks(nodes), "shard").sortWithinPartitions("shard", "rep")
+    groups = materialize(shards.mapInArrow(lambda it: _candidate_groups(it, radius, wide_radius), "grp long, rep long").distinct(), "groups")
+    named = groups.groupBy("rep").agg(F.collect_list("grp").alias("grps")).hint("merge")  # one plan at every size: a broadcast of reps would grow with the corpus
+    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text")).join(named, "rep")
+    sets = texts.mapInArrow(lambda it: _set_batches(it, width), "rep long, grps array<long>, hashes array<long>").filter(F.size("hashes") > 0)
+    dealt = sets.select(F.explode("grps").alias("grp"), "rep", "hashes").repartition(_tasks(nodes), "grp").sortWithinPartitions("grp", "rep")
+    return _labelled(prints, nodes, components(dealt.mapInArrow(_confirmed_edges, "u long, v long")), same)
+
+
+def _labelled(prints: DataFrame, nodes: DataFrame, found: DataFrame, same: list[str]) -> DataFrame:
     reps = nodes.join(found, nodes.rep == found.node, "left").select(*same, F.coalesce("component", "rep").alias("component_id"))
     return prints.join(reps, same, "left")
 
@@ -258,16 +339,16 @@ def near_duplicates(docs: DataFrame, radius: int = 4, width: int = 4) -> DataFra
 
 #: Differing bits of 1024 at a shingle-set similarity of 0.8: cosine 0.8 * 2 / 1.8, angle 0.476, 1024 * 0.476 / pi = 155.2, plus three quarters of a deviation (11.5).
 WIDE_RADIUS = 164
-#: Differing bits between the word fingerprints of such copies.
-WORD_RADIUS = 10
+#: Differing bits of a candidate pair: no shape of two sets at 0.8 has a mean above 165 of 1024 from six shingles on, or 192 with fewer (ties of the
+#: majority count as 0), so this is six deviations and more above it, or nearly four; and of 64 bits, four and a half above the mean of 12.
+CANDIDATE_WIDE, CANDIDATE_RADIUS = WIDE_RADIUS + 76, 26
 
 
-def drop_near_duplicates(docs: DataFrame, width: int = 5, radius: int = WORD_RADIUS, wide_radius: int = WIDE_RADIUS) -> DataFrame:
-    """docs without all but the least doc_id of each group of near copies (estimated similarity of five-word shingles 0.8 or more).
+def drop_near_duplicates(docs: DataFrame, width: int = 5, radius: int = CANDIDATE_RADIUS, wide_radius: int = CANDIDATE_WIDE) -> DataFrame:
+    """docs without all but the least doc_id of each group of near copies (links of an exact similarity of five-word shingle sets of 0.8 or more).
 
     Rows without words, which have no shingle to compare, and rows with a null doc_id stay. Of repeated rows of one doc_id that stays, all stay."""
-    spark = docs.sparkSession
-    prints = materialize(fingerprints(docs, width, wide=True).filter("doc_id is not null and not (fp = 0 and w0 = 0 and w1 = 0)"), "prints")
-    drop = link(prints, radius, wide_radius).filter("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct()
+    prints = materialize(fingerprints(docs, width, wide=True).filter("doc_id is not null and size > 0"), "prints")
+    drop = link_similar(prints, docs, width, radius, wide_radius).filter("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct()
     drop = materialize(drop, "gone")
     return docs.join(drop, docs["doc_id"] == drop["gone"], "left_anti")

@@ -130,6 +130,22 @@ def test_near_copies_go_and_clean_documents_stay(spark):
     assert kept == set(range(40)) | {61, 62}
 
 
+def test_appended_truncated_and_short_copies_go_by_exact_similarity(spark):
+    rng = np.random.default_rng(5)
+    text = lambda n: [f"w{rng.integers(50000)}" for _ in range(n)]
+    texts = []
+    for n, more in [(100, 19), (100, 24), (50, 9), (300, 70), (8, 1), (9, 1), (10, 1), (12, 1), (100, 26), (300, 80), (8, 2), (12, 3)] * 8:
+        base = text(n)
+        texts += [base, base + text(more)]
+        whole = text(n + more)
+        texts += [whole, whole[:n]]
+    texts += [line * 12 for line in (text(15),)] + [texts[0][:90] * 3]
+    shingles = [{tuple(t[i : i + 5]) for i in range(max(1, len(t) - 4))} for t in texts]
+    gone = {j for i in range(len(texts)) for j in range(i + 1, len(texts)) if len(shingles[i] & shingles[j]) >= 0.8 * len(shingles[i] | shingles[j])}
+    kept = {r.doc_id for r in simhash.drop_near_duplicates(frame(spark, [" ".join(t) for t in texts])).select("doc_id").collect()}
+    assert set(range(len(texts))) - kept == gone and 100 < len(gone) < 200
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], DDL)
     assert simhash.near_duplicates(none).count() == 0
