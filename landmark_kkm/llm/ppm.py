@@ -1,45 +1,42 @@
 """Prediction by partial matching over bytes: context trie, escapes, symbol exclusion; code lengths in log10.
 
-Training counts every window of ORDER + 1 bytes of the corpus; shorter contexts follow by summing. Contexts with a share of at
-least 1/CONTEXTS of all positions form the trie, so each order has CONTEXTS nodes at most. A node's distribution over the next
-byte, escapes and exclusions worked out, is a row of a table, and reading a text is a walk through nodes: many pieces of texts
-take a step together. `adaptive_log10` is the form that learns only from the text itself.
+The trie holds every context of up to ORDER bytes that the training texts have, and no task or driver holds it whole: a row for each
+window (context and symbol), from the longest order down, each order summed from the next longer one in one shuffle. Along with the
+trained windows go those that only held-out texts have, with a count of 0, so that each window that is ever asked for has a row, and
+its code length follows from its own row and those of its suffixes. A scan cuts its texts into chunks of bounded size; a chunk asks for
+its distinct windows and words, packed by buckets of their hashes, and the answers meet its texts. So what is counted grows with the
+corpus, and what a task holds does not. `adaptive_log10` is the form that learns only from the text itself.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
-from functools import reduce
+from functools import cache
 from math import log10
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from landmark_kkm.llm.texts import slices, words_of
+from landmark_kkm.llm.texts import as_bytes, mix, release, slices
 from landmark_kkm.session import materialize, ship
 
 ORDER = 5
-CONTEXTS = 1 << 18
-#: Table cells (nodes times symbols, 8 bytes each) up to which the model is broadcast; beyond, rarer contexts are left out.
-MOST_CELLS = 24_000_000
 #: Bytes that UTF-8 never has: before the text, and after it.
 START, END = 0xFE, 0xFF
 SYMBOLS = 256
-#: Words with a share of at least 1/COMMON of all tokens (COMMON at most) are broadcast; the others meet their counts by a shuffle.
-COMMON = 1 << 20
-PIECE = 512
-END_KEY = np.int64(-1)
-_SLICE = 2 << 20
-
-
-def canonical(text: bytes) -> bytes:
-    """What the model reads: the lower-cased words, one space between."""
-    return b" ".join(words_of(text))
+#: Text bytes of a chunk, which one task scores, and of a bucket: the requests of all chunks for the windows of a bucket meet in one task.
+CHUNK_BYTES, BUCKET_BYTES = 24 << 20, 16 << 20
+LEAST_BUCKETS = 32
+_SLICE = 1 << 20
+TEXT, GRAM, WORD = -1, 0, 1
 
 
 def held_out(id_col: str = "doc_id", folds: int = 10, held: int = 0):
@@ -47,148 +44,263 @@ def held_out(id_col: str = "doc_id", folds: int = 10, held: int = 0):
     return F.coalesce(F.crc32(F.encode(F.col(id_col).cast("string"), "UTF-8")) % folds == held, F.lit(True))
 
 
-def _words(batch: pa.RecordBatch) -> tuple[np.ndarray, pa.Array]:
-    """(row of each word, words) of a slice."""
+def _words(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of each word, index of each word, 64-bit keys of the distinct words) of a slice."""
     lists = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(batch.column("text"), "")))
     rows, words = pc.list_parent_indices(lists), pc.list_flatten(lists)
     full = pc.greater(pc.binary_length(words), 0)
-    return rows.filter(full).to_numpy(zero_copy_only=False), words.filter(full)
-
+    coded = words.filter(full).dictionary_encode()
+    keys = np.array([xxhash.xxh64_intdigest(w, 7) for w in coded.dictionary.cast(pa.binary()).to_pylist()], dtype=np.uint64).view(np.int64)
+    return rows.filter(full).to_numpy(zero_copy_only=False).astype(np.int64), coded.indices.to_numpy(zero_copy_only=False), keys
 
-def _keys(words: pa.Array) -> np.ndarray:
-    """A 64-bit key for each of the words (few, as they are distinct)."""
-    return np.array([xxhash.xxh64_intdigest(w, 7) for w in words.cast(pa.binary()).to_pylist()], dtype=np.uint64).view(np.int64)
 
-
-def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    order = np.argsort(keys, kind="stable")
-    keys, counts = keys[order], counts[order]
-    first = np.flatnonzero(np.append(True, keys[1:] != keys[:-1])) if len(keys) else np.zeros(0, np.int64)
-    return keys[first], np.add.reduceat(counts, first) if len(keys) else counts
+def _keys_of(data: np.ndarray) -> np.ndarray:
+    key = np.zeros(max(0, len(data) - ORDER), np.int64)
+    for i in range(ORDER + 1):
+        key = key << 8 | data[i : len(data) - ORDER + i]
+    return key
+
+
+def windows(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(text, window) of every byte and end mark of the texts, in blocks: the ORDER + 1 bytes that end there, A-Z lower-cased, as one number."""
+    pad, end = bytes([START]) * ORDER, bytes([END])
+    block, size = [], 0
+    for i, text in enumerate([*texts, None]):
+        if block and (text is None or size + len(text) > _SLICE):
+            data = np.frombuffer(b"".join(pad + texts[j].lower() + end for j in block), np.uint8)
+            keys = _keys_of(data)[data[ORDER:] != START]
+            yield np.repeat(block, [len(texts[j]) + 1 for j in block]), keys
+            block, size = [], 0
+        if text is None:
+            return
+        if len(text) > _SLICE:
+            data = np.frombuffer(pad + text.lower() + end, np.uint8)
+            for at in range(0, len(data) - ORDER, _SLICE):
+                keys = _keys_of(data[at : at + ORDER + _SLICE])
+                yield np.full(len(keys), i), keys
+        else:
+            block.append(i)
+            size += len(text) + ORDER
 
 
 class _Tally:
-    """Counts by key, merged now and then so that memory follows the distinct keys."""
+    """Counts by key; memory follows the distinct keys."""
 
     def __init__(self):
-        self.parts, self.rows = [], 0
+        self.parts, self.rows, self.least = [], 0, 400_000
 
     def add(self, keys: np.ndarray, counts: np.ndarray) -> None:
-        self.parts.append((keys, counts))
-        self.rows += len(keys)
-        if self.rows > 1_500_000 and len(self.parts) > 1:
+        code, found = pd.factorize(keys)
+        self.parts.append((found, np.bincount(code, weights=counts, minlength=len(found)).astype(np.int64)))
+        self.rows += len(found)
+        if self.rows > self.least and len(self.parts) > 1:
             self.parts = [self.total()]
-            self.rows = 0
+            self.rows = len(self.parts[0][0])
+            self.least = 2 * self.rows + 400_000
 
     def total(self) -> tuple[np.ndarray, np.ndarray]:
-        return _summed(np.concatenate([p[0] for p in self.parts] or [np.zeros(0, np.int64)]), np.concatenate([p[1] for p in self.parts] or [np.zeros(0, np.int64)]))
+        if not self.parts:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        code, found = pd.factorize(np.concatenate([p[0] for p in self.parts]))
+        return found, np.bincount(code, weights=np.concatenate([p[1] for p in self.parts]), minlength=len(found)).astype(np.int64)
 
 
-def _texts(rows: np.ndarray, words: pa.Array, count: int) -> list[bytes]:
-    """The canonical text of each row of a slice."""
-    offsets = np.searchsorted(rows, np.arange(count + 1)).astype(np.int32)
-    return pc.binary_join(pa.ListArray.from_arrays(pa.array(offsets), words.cast(pa.binary())), b" ").to_pylist()
+def _bucket_of(kind: int, keys: np.ndarray, buckets: int) -> np.ndarray:
+    """Windows of one context share a bucket."""
+    hashed = mix((keys >> 8).view(np.uint64), 3) if kind == GRAM else keys.view(np.uint64)
+    return (hashed % np.uint64(buckets)).astype(np.int32)
 
 
-def windows(texts: list[bytes]) -> np.ndarray:
-    """The ORDER + 1 bytes that end at each byte or end mark of each text, as one number."""
-    pad = bytes([START]) * ORDER
-    data = np.frombuffer(b"".join(pad + t + bytes([END]) for t in texts), np.uint8)
-    key = np.zeros(max(0, len(data) - ORDER), np.int64)
-    for i in range(ORDER + 1):
-        key = key << 8 | data[i : len(data) - ORDER + i]
-    return key[data[ORDER:] != START]
+@cache
+def _codec() -> pa.Codec:
+    return pa.Codec("zstd", compression_level=1)
 
 
-def _count_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    tokens, grams, docs = _Tally(), _Tally(), 0
+def _packed(values: np.ndarray, rising: bool = False) -> bytes:
+    """The values as bytes: the first bytes of all, then the second ones, and so on, compressed; for rising keys the steps between them."""
+    values = np.diff(values, prepend=np.zeros(1, values.dtype)) if rising else np.ascontiguousarray(values)
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes()
+    return len(planes).to_bytes(8, "little") + _codec().compress(planes, asbytes=True)
+
+
+def _unpacked(data: bytes, kind=np.int64, rising: bool = False) -> np.ndarray:
+    planes = _codec().decompress(data[8:], int.from_bytes(data[:8], "little"), asbytes=True)
+    values = np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+    return np.cumsum(values) if rising else values
+
+
+def _joined(parts: list[np.ndarray], kind=np.int64) -> np.ndarray:
+    return np.concatenate(parts) if parts else np.zeros(0, kind)
+
+
+REQUEST_DDL = "chunk long, kind int, bucket int, keys binary, counts binary"
+_REQUEST = pa.schema([("chunk", pa.int64()), ("kind", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
+
+
+def _request_rows(batches: Iterator[pa.RecordBatch], buckets: int, chunk_bytes: int) -> Iterator[pa.RecordBatch]:
+    """For each chunk: its texts, in compressed slices, and its distinct windows and words with their counts in training texts (0 for those that only held-out texts have)."""
+    release()
+    base, number = TaskContext.get().partitionId() << 24, 0
+    tallies, size = (_Tally(), _Tally()), 0
     for whole in batches:
         for batch in slices(whole, "text", _SLICE):
-            rows, words = _words(batch)
-            coded = pc.value_counts(words)
-            tokens.add(_keys(coded.field("values")), coded.field("counts").to_numpy())
-            grams.add(*np.unique(windows(_texts(rows, words, batch.num_rows)), return_counts=True))
-            docs += batch.num_rows
-    tokens.add(np.array([END_KEY]), np.array([docs]))
-    for kind, (keys, counts) in enumerate((tokens.total(), grams.total())):
-        for at in range(0, len(keys), 1 << 20):
-            part = slice(at, at + (1 << 20))
-            n = len(keys[part])
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, np.int32)), pa.array(keys[part]), pa.array(counts[part])], names=["kind", "key", "n"])
-
-
-class Model:
-    """The trie as tables: log10 of each symbol's probability and the next node, for each node."""
-
-    def __init__(self, order: np.ndarray, context: np.ndarray, symbol: np.ndarray, count: np.ndarray):
-        """One entry for each symbol that a context has. With a context its suffixes and its beginnings are there too; contexts are bytes read as a number."""
-        key = order << 8 * (ORDER + 1) | context
-        nodes = np.unique(np.append(key, 0))
-        of, depth, bytes_of = np.searchsorted(nodes, key), nodes >> 8 * (ORDER + 1), nodes & (1 << 8 * (ORDER + 1)) - 1
-        seen = np.unique(np.append(symbol, START))  # texts begin with START, so nodes move by it, though it is never coded
-        self.column = np.full(SYMBOLS, len(seen), np.int64)
-        self.column[seen] = np.arange(len(seen))
-        self.width = len(seen) + 2  # a column for unseen symbols, one for no symbol
-        table = np.zeros((len(nodes), len(seen)), np.float32)
-        table[of, self.column[symbol]] = count
-        shorter = np.maximum(depth - 1, 0)
-        suffix = np.where(depth > 0, np.searchsorted(nodes, shorter << 8 * (ORDER + 1) | bytes_of & (1 << 8 * shorter) - 1), -1)
-        self.move = np.zeros((len(nodes), self.width), np.int32)
-        for k in range(ORDER + 1):  # a node moves as its suffix does, but for longer contexts that begin with it
-            own = np.flatnonzero(depth == k)
-            if k:
-                self.move[own, : len(seen)] = self.move[suffix[own], : len(seen)]
-            if k < ORDER:
-                grown = np.flatnonzero(depth == k + 1)
-                parent = np.searchsorted(nodes, k << 8 * (ORDER + 1) | bytes_of[grown] >> 8)
-                self.move[parent, self.column[bytes_of[grown] & 255]] = grown
-        self.log = np.zeros((len(nodes), self.width), np.float32)
-        for block in range(0, len(nodes), 4096):
-            self.log[block : block + 4096, : len(seen) + 1] = self._distribution(table, suffix, np.arange(block, min(block + 4096, len(nodes))))
-
-    @staticmethod
-    def _distribution(table: np.ndarray, suffix: np.ndarray, node: np.ndarray) -> np.ndarray:
-        """Walk from each node to shorter contexts: each symbol that a context has gives half a count to the escape; symbols of longer contexts are excluded."""
-        out = np.zeros((len(node), table.shape[1]))
-        excluded, escape = np.zeros(out.shape, bool), np.ones(len(node))
-        while (node >= 0).any():
-            count = np.where(excluded | (node < 0)[:, None], 0.0, table[node])
-            total, kinds = count.sum(1), (count > 0).sum(1)
-            some = total > 0
-            share = np.divide(escape, 2 * total, out=np.zeros_like(escape), where=some)
-            out += np.maximum(2 * count - 1, 0) * share[:, None]
-            escape = np.where(some, share * kinds, escape)
-            excluded |= count > 0
-            node = np.where(node >= 0, suffix[node], -1)
-        rest = escape / (SYMBOLS - excluded.sum(1))
-        return np.log10(np.column_stack([np.where(excluded, out, rest[:, None]), rest]))
-
-    def score(self, texts: list[bytes]) -> np.ndarray:
-        """log10 probability of each text with its end mark. Texts go in pieces that begin ORDER symbols early, which is enough to be at the right node."""
-        pieces, owner = [], []
-        for i, t in enumerate(texts):
-            data = bytes([START]) * ORDER + t + bytes([END])
-            for at in range(0, len(data) - ORDER, PIECE):
-                pieces.append(data[at : at + ORDER + PIECE])
-                owner.append(i)
-        if not pieces:
-            return np.zeros(0)
-        lengths = np.array([len(p) for p in pieces])
-        order = np.argsort(-lengths, kind="stable")
-        symbols = np.full((len(pieces), int(lengths.max())), self.width - 1, np.int32)
-        for row, i in enumerate(order):
-            symbols[row, : lengths[i]] = self.column[np.frombuffer(pieces[i], np.uint8)]
-        symbols = np.ascontiguousarray(symbols.T)
-        alive = np.searchsorted(-lengths[order], -np.arange(1, len(symbols) + 1), side="right")
-        log, move = self.log.ravel(), self.move.ravel()
-        node, total = np.zeros(len(pieces), np.int64), np.zeros(len(pieces))
-        for step, column in enumerate(symbols):
-            n = alive[step]
-            at = node[:n] * self.width + column[:n]
-            if step >= ORDER:
-                total[:n] += log[at]
-            node[:n] = move[at]
-        return np.bincount(np.array(owner)[order], weights=total, minlength=len(texts))
+            texts = as_bytes(batch.column("text"))
+            train = batch.column("train").to_numpy(zero_copy_only=False).astype(np.int64)
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, batch.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", compression_level=1))) as writer:
+                writer.write_batch(batch)
+            yield pa.RecordBatch.from_pylist([{"chunk": base + number, "kind": TEXT, "bucket": TEXT, "keys": sink.getvalue().to_pybytes()}], schema=_REQUEST)
+            for owner, keys in windows(texts):
+                tallies[GRAM].add(keys, train[owner])
+            rows, code, keys = _words(batch)
+            tallies[WORD].add(keys[code], train[rows])
+            size += sum(map(len, texts)) + 16 * len(texts)
+            if size >= chunk_bytes:
+                yield from _requests(tallies, base + number, buckets)
+                tallies, size, number = (_Tally(), _Tally()), 0, number + 1
+    yield from _requests(tallies, base + number, buckets)
+    del tallies
+    release()
+
+
+def _requests(tallies: tuple[_Tally, _Tally], chunk: int, buckets: int) -> Iterator[pa.RecordBatch]:
+    for kind, tally in zip((GRAM, WORD), tallies):
+        keys, counts = tally.total()
+        if not len(keys):
+            continue
+        order = np.argsort(keys)
+        keys, counts = keys[order], counts[order]
+        bucket = _bucket_of(kind, keys, buckets)
+        order = np.argsort(bucket, kind="stable")
+        names, first = np.unique(bucket[order], return_index=True)
+        rows = [{"chunk": chunk, "kind": kind, "bucket": int(b), "keys": _packed(keys[part], True), "counts": _packed(counts[part])} for b, part in zip(names, np.split(order, first[1:]))]
+        yield pa.RecordBatch.from_pylist(rows, schema=_REQUEST)
+
+
+def _summed(table: pa.Table) -> pa.Table:
+    """The counts of a bucket, over all chunks."""
+    keys, counts = ([_unpacked(x, rising=c == "keys") for x in table.column(c).to_pylist()] for c in ("keys", "counts"))
+    code, keys = pd.factorize(_joined(keys))
+    counts = np.bincount(code, weights=_joined(counts), minlength=len(keys)).astype(np.int64)
+    kind, bucket = (np.full(len(keys), table.column(c)[0].as_py(), np.int32) for c in ("kind", "bucket"))
+    return pa.table({"kind": kind, "bucket": bucket, "key": keys, "n": counts})
+
+
+def _answered(asked: pa.Table, known: pa.Table) -> pa.Table:
+    """The values of the keys that each chunk asked for, in its order: code lengths in single precision, counts of words in double."""
+    if not asked.num_rows:
+        return pa.table({"chunk": pa.array([], pa.int64()), "kind": pa.array([], pa.int32()), "keys": pa.array([], pa.binary()), "answers": pa.array([], pa.binary())})
+    index = pd.Index(known.column("key").to_numpy())
+    values = known.column("value").to_numpy().astype(ANSWER[asked.column("kind")[0].as_py()])
+    out = [_packed(values[index.get_indexer(_unpacked(keys, rising=True))]) for keys in asked.column("keys").to_pylist()]
+    return pa.table({"chunk": asked.column("chunk"), "kind": asked.column("kind"), "keys": asked.column("keys"), "answers": pa.array(out, pa.binary())})
+
+
+ANSWER = {GRAM: np.float32, WORD: np.float64}
+
+
+def code_lengths(grams: DataFrame) -> DataFrame:
+    """grams (key, n), each window once, n its count in training, with value: log10 of the probability of its symbol after its context.
+
+    A context gives half a count of each of its symbols to the escape; symbols of longer contexts are excluded in shorter ones. All symbols of a
+    context are in its suffix too, so what is left there is the suffix's total less the counts, there, of the context's symbols. Where the trie has
+    none, the 256 less the symbols known are alike. A context never seen in training passes to its suffix at no cost."""
+    top, missed, level = None, [], grams
+    for k in range(ORDER, 0, -1):
+        rows = level.select("key", "n", F.shiftright("key", 8).alias("node"), F.col("key").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("sub"))
+        seen = F.when(F.col("n") > 0, 1)
+        if k > 1:
+            rows = rows.withColumn("up", F.shiftright("sub", 8)).repartition("up")
+            suffix, context, entry = (Window.partitionBy(*c) for c in (("up",), ("up", "node"), ("up", "sub")))
+            rows = rows.withColumn("short", F.sum("n").over(entry))
+            rows = rows.withColumn("up_all", F.sum("n").over(suffix)).withColumn("up_kinds", F.size(F.collect_set(F.when(F.col("n") > 0, F.col("sub"))).over(suffix)))
+        else:  # the root: 256 symbols at most
+            root = rows.groupBy(F.col("sub").alias("root_sub")).agg(F.sum("n").alias("short"))
+            found = root.agg(F.sum("short"), F.sum((F.col("short") > 0).cast("long"))).first()
+            unseen = -log10(SYMBOLS - (found[1] or 0))
+            context = Window.partitionBy("node")
+            rows = rows.join(F.broadcast(root), F.col("sub") == F.col("root_sub")).withColumn("up_all", F.lit(found[0] or 0)).withColumn("up_kinds", F.lit(found[1] or 0))
+        rows = rows.withColumn("all", F.sum("n").over(context)).withColumn("kinds", F.coalesce(F.sum(seen).over(context), F.lit(0)))
+        rows = rows.withColumn("taken", F.coalesce(F.sum(F.when(F.col("n") > 0, F.col("short"))).over(context), F.lit(0)))
+        left = F.col("up_all") - F.col("taken")
+        escape = F.log10((F.col("up_kinds") - F.col("kinds")) / (2 * left))
+        part = F.when(left <= 0, F.lit(0.0)).when(F.col("short") > 0, F.log10((2 * F.col("short") - 1) / (2 * left))).otherwise(escape)
+        own = F.when(F.col("n") > 0, F.log10((2 * F.col("n") - 1) / (2 * F.col("all")))).otherwise(F.when(F.col("all") > 0, F.log10(F.col("kinds") / (2 * F.col("all")))).otherwise(F.lit(0.0)))
+        rows = rows.select("key", "sub", "n", F.when(F.col("n") == 0, part).alias("part"), (F.col("short") == 0).alias("more"), *([own.alias("own")] if k == ORDER else []))
+        rows = materialize(rows, "order")
+        top = rows if top is None else top
+        missed.append(rows.filter("n = 0").select("key", "sub", "part", "more"))
+        level = rows.groupBy(F.col("sub").alias("key")).agg(F.sum("n").alias("n"))
+    below = missed.pop().select("key", (F.col("part") + F.when(F.col("more"), F.lit(unseen)).otherwise(F.lit(0.0))).alias("below"))
+    while missed:
+        rows = missed.pop().join(below.withColumnRenamed("key", "sub"), "sub", "left")
+        below = rows.select("key", (F.col("part") + F.when(F.col("more"), F.col("below")).otherwise(F.lit(0.0))).alias("below"))
+    known = top.filter("n > 0").select("key", F.col("own").alias("value"))
+    return known.unionByName(top.filter("n = 0").join(below, "key").select("key", (F.col("own") + F.col("below")).alias("value")))
+
+
+SCORE_DDL = "doc_id long, n_tokens long, n_known long, base_score double, score double"
+
+
+_SCORED = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
+
+
+def _score_rows(texts: pa.Table, answers: pa.Table, ends: int, below: float) -> pa.Table:
+    """The texts of a chunk, by the answers to it."""
+    release()
+    kinds, keys, values = (answers.column(c).to_pylist() for c in ("kind", "keys", "answers"))
+    index, value = {}, {}
+    for kind in (GRAM, WORD):
+        mine = [i for i, k in enumerate(kinds) if k == kind]
+        index[kind] = pd.Index(_joined([_unpacked(keys[i], rising=True) for i in mine]))
+        value[kind] = _joined([_unpacked(values[i], ANSWER[kind]) for i in mine], float).astype(float)
+    out = []
+    for blob in texts.column("keys").to_pylist():
+        for batch in pa.ipc.open_stream(blob):
+            n = batch.num_rows
+            score = np.zeros(n)
+            for owner, found in windows(as_bytes(batch.column("text"))):
+                score += np.bincount(owner, weights=value[GRAM][index[GRAM].get_indexer(found)], minlength=n)
+            rows, code, words = _words(batch)
+            found = value[WORD][index[WORD].get_indexer(words)] if len(words) else np.zeros(0)
+            base = np.bincount(rows, weights=(np.log10(found + 0.1) - below)[code], minlength=n) + log10(ends + 0.1) - below
+            n_known = np.bincount(rows, weights=(found > 0)[code], minlength=n).astype(np.int64) + (ends > 0)
+            n_tokens = np.bincount(rows, minlength=n).astype(np.int64) + 1
+            out.append(pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n_tokens), pa.array(n_known), pa.array(base), pa.array(score)], schema=_SCORED))
+    return pa.Table.from_batches(out, _SCORED)
+
+
+def score_documents(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES, bucket_bytes: int = BUCKET_BYTES) -> DataFrame:
+    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every document.
+
+    The model and the word counts come from all rows whose crc32(doc_id as text) mod 10 is not 0; rows with a null doc_id are held out. base_score
+    is the smoothed unigram log10 probability of the tokens (words and one end), score the byte model's log10 probability of the whole text, A-Z
+    lower-cased, white space and all, with an end mark. Null and empty texts have one token. Repeated rows each come back. An empty table gives no
+    rows; without training rows score is that of uniform bytes. Words are counted by 64-bit keys. Other columns are ignored.
+
+    Sizes decide on the number of chunks and buckets alone, not on results."""
+    spark = docs.sparkSession
+    ship(spark)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    size, ends = rows.agg(F.sum(F.octet_length("text")), F.sum((~held_out()).cast("long"))).first()
+    size, ends = size or 0, ends or 0
+    buckets = max(LEAST_BUCKETS, -(-size // bucket_bytes))
+    asked = rows.withColumn("train", ~held_out()).mapInArrow(lambda it: _request_rows(it, buckets, chunk_bytes), REQUEST_DDL)
+    asked = materialize(asked, "asked")
+    requests = asked.filter(F.col("kind") != TEXT)
+    counts = materialize(requests.groupBy("kind", "bucket").applyInArrow(_summed, "kind int, bucket int, key long, n long"), "counts")
+    words = counts.filter(F.col("kind") == WORD)
+    total, kinds = words.agg(F.sum("n"), F.sum((F.col("n") > 0).cast("long"))).first()
+    total, kinds = (total or 0) + ends, (kinds or 0) + (ends > 0)
+    below = float(np.log10(total + 0.1 * (kinds + 1)))
+    grams = counts.filter(F.col("kind") == GRAM)
+    values = code_lengths(grams.select("key", "n")).join(grams.select("key", "bucket"), "key").select(F.lit(GRAM).alias("kind"), "bucket", "key", "value")
+    values = values.unionByName(words.select("kind", "bucket", "key", F.col("n").cast("double").alias("value")))
+    answers = requests.select("chunk", "kind", "bucket", "keys").groupBy("kind", "bucket").cogroup(values.groupBy("kind", "bucket"))
+    answers = answers.applyInArrow(_answered, "chunk long, kind int, keys binary, answers binary")
+    texts = asked.filter(F.col("kind") == TEXT).select("chunk", "keys")
+    scored = texts.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(lambda t, a: _score_rows(t, a, ends, below), "doc_id long, n_tokens long, n_known long, base_score double, score double")
+    return scored.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")
 
 
 def adaptive_log10(text: bytes, order: int = ORDER) -> float:
@@ -211,106 +323,3 @@ def adaptive_log10(text: bytes, order: int = ORDER) -> float:
         for k in range(order + 1):
             tries[k][data[i - k : i]][data[i]] += 1
     return total
-
-
-def fit(grams: DataFrame, contexts: int = CONTEXTS) -> Model:
-    """grams (key, n): windows and their counts. Contexts under a share of 1/contexts of all positions are left out, at every size alike,
-    and where that would still be a table of over MOST_CELLS cells, those under twice that share, and so on."""
-    total = grams.agg(F.sum("n")).first()[0] or 0
-    levels = []
-    for k in range(ORDER + 1):
-        pair = F.col("key").bitwiseAND(F.lit((1 << 8 * (k + 1)) - 1))
-        levels.append(grams.groupBy(F.lit(k).alias("k"), F.shiftright(pair, 8).alias("context"), pair.bitwiseAND(F.lit(255)).alias("symbol")).agg(F.sum("n").alias("n")))
-    sizes = reduce(DataFrame.unionByName, [x.groupBy("k", "context").agg(F.sum("n").alias("all")) for x in levels])
-    kept = sizes.filter(F.col("all") * contexts >= total).select(F.floor(F.log2(F.col("all") * contexts / max(total, 1))).alias("step")).groupBy("step").count().collect()
-    steps = sorted(((r["step"], r["count"]) for r in kept), reverse=True)
-    width = min(SYMBOLS, levels[0].select("symbol").distinct().count()) + 2
-    while sum(n for step, n in steps) * width > MOST_CELLS:
-        contexts //= 2
-        steps = [(step - 1, n) for step, n in steps if step >= 1]
-    parts = []
-    for level in levels:
-        whole = level.groupBy("context").agg(F.sum("n").alias("all")).filter(F.col("all") * contexts >= total).select("context")
-        parts.append(level.join(whole, "context", "left_semi").select("k", "context", "symbol", "n").toPandas().to_numpy(np.int64).reshape(-1, 4))
-    return Model(*np.concatenate(parts).T)
-
-
-def _score_rows(batches: Iterator[pa.RecordBatch], model, common, scale: tuple[float, float]) -> Iterator[pa.RecordBatch]:
-    known, found = common.value
-    ends, below = scale
-    for whole in batches:
-        for batch in slices(whole, "text", _SLICE):
-            rows, words = _words(batch)
-            tokens = np.bincount(rows, minlength=batch.num_rows)
-            coded = words.dictionary_encode()
-            keys = _keys(coded.dictionary)
-            at = np.searchsorted(known, keys)
-            hit = np.append(known, END_KEY)[at] == keys
-            log = np.where(hit, np.log10(np.append(found, 0)[at] + 0.1) - below, 0.0)
-            code = coded.indices.to_numpy()
-            base = np.bincount(rows, weights=log[code], minlength=batch.num_rows) + np.log10(ends + 0.1) - below
-            n_known = np.bincount(rows, weights=hit[code], minlength=batch.num_rows).astype(np.int64) + (ends > 0)
-            score = model.value.score(_texts(rows, words, batch.num_rows))
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), batch.column("print"), pa.array(tokens.astype(np.int64) + 1), pa.array(n_known), pa.array(base), pa.array(score)],
-                names=["doc_id", "print", "n_tokens", "n_known", "base_score", "score"],
-            )
-
-
-def _rare_rows(batches: Iterator[pa.RecordBatch], common) -> Iterator[pa.RecordBatch]:
-    known, _ = common.value
-    for whole in batches:
-        for batch in slices(whole, "text", _SLICE):
-            rows, words = _words(batch)
-            coded = words.dictionary_encode()
-            keys = _keys(coded.dictionary)
-            rare = np.append(known, END_KEY)[np.searchsorted(known, keys)] != keys
-            code = coded.indices.to_numpy()
-            keep = rare[code]
-            pair, times = np.unique(rows[keep].astype(np.int64) * max(1, len(keys)) + code[keep], return_counts=True)
-            row = pa.array(pair // max(1, len(keys)))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(row), batch.column("print").take(row), pa.array(keys[pair % max(1, len(keys))]), pa.array(times)], names=["doc_id", "print", "key", "times"])
-
-
-def score_documents(docs: DataFrame, contexts: int = CONTEXTS, common_share: int = COMMON) -> DataFrame:
-    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every document.
-
-    The model and the word counts come from all rows whose crc32(doc_id as text) mod 10 is not 0; rows with a null doc_id are held out. base_score
-    is the smoothed unigram log10 probability of the tokens (words and one end), score the byte model's log10 probability of the words with single
-    spaces and an end mark. Null and empty texts have one token. Repeated rows each come back. An empty table gives no rows; without training rows
-    score is that of uniform bytes. Words are counted by 64-bit keys."""
-    spark = docs.sparkSession
-    ship(spark)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    counted = rows.filter(~held_out()).select("text").mapInArrow(_count_rows, "kind int, key long, n long")
-    counted = materialize(counted.groupBy("kind", "key").agg(F.sum("n").alias("n")), "counts")
-    words = counted.filter("kind = 0 and n > 0").select("key", "n")
-    total, kinds, ends = words.agg(F.sum("n"), F.count("*"), F.sum(F.when(F.col("key") == int(END_KEY), F.col("n")))).first()
-    total, ends = total or 0, ends or 0
-    below = float(np.log10(total + 0.1 * (kinds + 1)))
-    often = words.filter((F.col("n") * common_share >= total) & (F.col("key") != int(END_KEY))).toPandas().sort_values("key")
-    common = spark.sparkContext.broadcast((often["key"].to_numpy(np.int64), often["n"].to_numpy(np.int64)))
-    model = spark.sparkContext.broadcast(fit(counted.filter("kind = 1").select("key", "n"), contexts))
-
-    rows = rows.withColumn("print", F.xxhash64("text"))
-    ddl = "doc_id long, print long, n_tokens long, n_known long, base_score double, score double"
-    scored = rows.mapInArrow(lambda it: _score_rows(it, model, common, (float(ends), below)), ddl).withColumn("rows", F.lit(1))
-    rare = rows.mapInArrow(lambda it: _rare_rows(it, common), "doc_id long, print long, key long, times long")
-    rare = rare.join(words, "key", "left").groupBy("doc_id", "print").agg(
-        F.sum(F.when(F.col("n") > 0, F.col("times")).otherwise(0)).alias("n_known"),
-        F.sum(F.col("times") * (F.log10(F.coalesce("n", F.lit(0)) + 0.1) - below)).alias("base_score"),
-    )
-    none = {"n_tokens": F.lit(None).cast("long"), "score": F.lit(None).cast("double"), "rows": F.lit(0)}
-    both = scored.unionByName(rare.select("doc_id", "print", "n_known", "base_score", *[v.alias(k) for k, v in none.items()]))
-    # a row that comes r times has added its common words r times and its rare words r times, so each sum is r times that of one row
-    summed = both.groupBy("doc_id", "print").agg(F.sum("rows").alias("r"), *[F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")])
-    each = summed.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("r").cast("int"))))
-    return each.select(
-        "doc_id",
-        held_out().alias("held_out"),
-        (F.col("n_tokens") / F.col("r")).cast("long").alias("n_tokens"),
-        (F.col("n_known") / F.col("r")).cast("long").alias("n_known"),
-        F.lit(total).cast("long").alias("train_tokens"),
-        (F.col("base_score") / F.col("r")).alias("base_score"),
-        (F.col("score") / F.col("r")).alias("score"),
-    )

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +14,14 @@ import xxhash
 SEPARATORS = b" \t\n\x0b\x0c\r"
 
 
+def release() -> None:
+    """Give memory that is free back to the system: workers are used again, and what one task had held would count against the next."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc has it
+    if trim:
+        trim(0)
+
+
 def as_bytes(column) -> list[bytes]:
     """UTF-8 bytes of a string column, an empty string for null."""
     return [b"" if x is None else x for x in column.cast(pa.binary()).to_pylist()]

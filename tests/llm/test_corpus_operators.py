@@ -253,24 +253,61 @@ def test_ppm_distributions_add_to_one_and_base_matches(spark):
     assert rows[30].score > rows[5].score
 
 
-def test_ppm_model_is_a_distribution_and_walks_like_lookup():
-    texts = [b"abracadabra", b"abra cadabra", b"candelabra", b""] * 50
-    keys, n = np.unique(ppm.windows(texts), return_counts=True)
-    rows = []
-    for k in range(ppm.ORDER + 1):
-        pair, at = np.unique(keys & (1 << 8 * (k + 1)) - 1, return_inverse=True)
-        rows += [(k, int(p) >> 8, int(p) & 255, int(c)) for p, c in zip(pair, np.bincount(at, weights=n))]
-    model = ppm.Model(*np.array(rows, dtype=np.int64).T)
-    seen = model.width - 2
-    mass = (10.0 ** model.log[:, :seen]).sum(1) + (ppm.SYMBOLS - seen) * 10.0 ** model.log[:, seen]
-    assert np.allclose(mass, 1, atol=1e-4)
-    long = b"abracadabra" * 300
-    whole = model.score([long])[0]
-    old, ppm.PIECE = ppm.PIECE, 10**6
-    try:
-        assert whole == pytest.approx(model.score([long])[0], rel=1e-6)
-    finally:
-        ppm.PIECE = old
+def walked(texts, trained):
+    """log10 probability of each text by a literal walk: longest context first, symbols of longer contexts excluded, half counts to the escape."""
+    tries = [{} for _ in range(ppm.ORDER + 1)]
+    data = [bytes([ppm.START]) * ppm.ORDER + t + bytes([ppm.END]) for t in texts]
+    for d in (d for d, yes in zip(data, trained) if yes):
+        for i in range(ppm.ORDER, len(d)):
+            for k in range(ppm.ORDER + 1):
+                node = tries[k].setdefault(d[i - k : i], {})
+                node[d[i]] = node.get(d[i], 0) + 1
+
+    def log_of(d, i):
+        p, excluded = 1.0, set()
+        for k in range(ppm.ORDER, -1, -1):
+            left = {s: n for s, n in tries[k].get(d[i - k : i], {}).items() if s not in excluded}
+            if d[i] in left:
+                return log10(p * (2 * left[d[i]] - 1) / (2 * sum(left.values())))
+            if left:
+                p *= len(left) / (2 * sum(left.values()))
+                excluded |= set(left)
+        return log10(p / (ppm.SYMBOLS - len(excluded)))
+
+    return [sum(log_of(d, i) for i in range(ppm.ORDER, len(d))) for d in data], log_of
+
+
+def test_ppm_score_matches_a_literal_walk(spark):
+    rng = np.random.default_rng(8)
+    texts = ["".join(rng.choice(list("abcde \n"), rng.integers(0, 60))) for _ in range(150)] + ["The  CAT\nsat", "neverséen ☃ zzz", "", None] * 8 + ["abcabc" * 200]
+    lowered = [(t or "").encode().lower() for t in texts]
+    held = [zlib.crc32(str(i).encode()) % 10 == 0 for i in range(len(texts))]
+    expected, _ = walked(lowered, [not h for h in held])
+    for how in ({}, {"chunk_bytes": 100, "bucket_bytes": 64}):
+        rows = {r.doc_id: r for r in ppm.score_documents(frame(spark, texts), **how).collect()}
+        assert [rows[i].score for i in range(len(texts))] == pytest.approx(expected, rel=1e-6)
+    assert sum(held[i] for i in range(150, len(texts))) > 0
+
+
+def test_ppm_walk_is_a_distribution_and_windows_are_cut_alike(monkeypatch):
+    texts = [b"abracadabra", b"abra cadabra", b"candelabra", b""] * 5
+    _, log_of = walked(texts, [True] * len(texts))
+    for context in (b"abrac", b"bcdef", b"zzzzz"):
+        assert sum(10.0 ** log_of(context + bytes([s]), ppm.ORDER) for s in range(256)) == pytest.approx(1)
+    texts = [b"x" * 5000, b"", b"aB" * 700]
+    whole = list(ppm.windows(texts))
+    monkeypatch.setattr(ppm, "_SLICE", 64)
+    parts = list(ppm.windows(texts))
+    assert len(parts) > len(whole)
+    for at in (0, 1):
+        assert np.array_equal(np.concatenate([x[at] for x in whole]), np.concatenate([x[at] for x in parts]))
+
+
+def test_ppm_without_training_rows_is_uniform(spark):
+    docs = spark.createDataFrame([(None, "abc", 1), (None, "abc", 2), (None, None, 3)], "doc_id long, text string, chunk int")
+    rows = ppm.score_documents(docs).collect()
+    assert sorted(r.score for r in rows) == pytest.approx(sorted([-4 * log10(256), -4 * log10(256), -log10(256)]))
+    assert all(r.held_out and r.train_tokens == 0 and r.n_known == 0 for r in rows)
     assert ppm.adaptive_log10(b"ab" * 100) > ppm.adaptive_log10(bytes(range(32, 127)) * 2 + b"0123456789")
 
 
