@@ -12,7 +12,6 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
-from functools import cache
 from math import log10
 
 import numpy as np
@@ -25,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from landmark_kkm.llm.texts import as_bytes, mix, release, slices
+from landmark_kkm.llm.texts import as_bytes, joined, mix, packed, release, slices, unpacked
 from landmark_kkm.session import materialize, ship
 
 ORDER = 5
@@ -111,28 +110,6 @@ def _bucket_of(kind: int, keys: np.ndarray, buckets: int) -> np.ndarray:
     return (hashed % np.uint64(buckets)).astype(np.int32)
 
 
-@cache
-def _codec() -> pa.Codec:
-    return pa.Codec("zstd", compression_level=1)
-
-
-def _packed(values: np.ndarray, rising: bool = False) -> bytes:
-    """The values as bytes: the first bytes of all, then the second ones, and so on, compressed; for rising keys the steps between them."""
-    values = np.diff(values, prepend=np.zeros(1, values.dtype)) if rising else np.ascontiguousarray(values)
-    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes()
-    return len(planes).to_bytes(8, "little") + _codec().compress(planes, asbytes=True)
-
-
-def _unpacked(data: bytes, kind=np.int64, rising: bool = False) -> np.ndarray:
-    planes = _codec().decompress(data[8:], int.from_bytes(data[:8], "little"), asbytes=True)
-    values = np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
-    return np.cumsum(values) if rising else values
-
-
-def _joined(parts: list[np.ndarray], kind=np.int64) -> np.ndarray:
-    return np.concatenate(parts) if parts else np.zeros(0, kind)
-
-
 REQUEST_DDL = "chunk long, kind int, bucket int, keys binary, counts binary"
 _REQUEST = pa.schema([("chunk", pa.int64()), ("kind", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
 
@@ -173,15 +150,15 @@ def _requests(tallies: tuple[_Tally, _Tally], chunk: int, buckets: int) -> Itera
         bucket = _bucket_of(kind, keys, buckets)
         order = np.argsort(bucket, kind="stable")
         names, first = np.unique(bucket[order], return_index=True)
-        rows = [{"chunk": chunk, "kind": kind, "bucket": int(b), "keys": _packed(keys[part], True), "counts": _packed(counts[part])} for b, part in zip(names, np.split(order, first[1:]))]
+        rows = [{"chunk": chunk, "kind": kind, "bucket": int(b), "keys": packed(keys[part], True), "counts": packed(counts[part])} for b, part in zip(names, np.split(order, first[1:]))]
         yield pa.RecordBatch.from_pylist(rows, schema=_REQUEST)
 
 
 def _summed(table: pa.Table) -> pa.Table:
     """The counts of a bucket, over all chunks."""
-    keys, counts = ([_unpacked(x, rising=c == "keys") for x in table.column(c).to_pylist()] for c in ("keys", "counts"))
-    code, keys = pd.factorize(_joined(keys))
-    counts = np.bincount(code, weights=_joined(counts), minlength=len(keys)).astype(np.int64)
+    keys, counts = ([unpacked(x, rising=c == "keys") for x in table.column(c).to_pylist()] for c in ("keys", "counts"))
+    code, keys = pd.factorize(joined(keys))
+    counts = np.bincount(code, weights=joined(counts), minlength=len(keys)).astype(np.int64)
     kind, bucket = (np.full(len(keys), table.column(c)[0].as_py(), np.int32) for c in ("kind", "bucket"))
     return pa.table({"kind": kind, "bucket": bucket, "key": keys, "n": counts})
 
@@ -192,7 +169,7 @@ def _answered(asked: pa.Table, known: pa.Table) -> pa.Table:
         return pa.table({"chunk": pa.array([], pa.int64()), "kind": pa.array([], pa.int32()), "keys": pa.array([], pa.binary()), "answers": pa.array([], pa.binary())})
     index = pd.Index(known.column("key").to_numpy())
     values = known.column("value").to_numpy().astype(ANSWER[asked.column("kind")[0].as_py()])
-    out = [_packed(values[index.get_indexer(_unpacked(keys, rising=True))]) for keys in asked.column("keys").to_pylist()]
+    out = [packed(values[index.get_indexer(unpacked(keys, rising=True))]) for keys in asked.column("keys").to_pylist()]
     return pa.table({"chunk": asked.column("chunk"), "kind": asked.column("kind"), "keys": asked.column("keys"), "answers": pa.array(out, pa.binary())})
 
 
@@ -252,8 +229,8 @@ def _score_rows(texts: pa.Table, answers: pa.Table, ends: int, below: float) ->
     index, value = {}, {}
     for kind in (GRAM, WORD):
         mine = [i for i, k in enumerate(kinds) if k == kind]
-        index[kind] = pd.Index(_joined([_unpacked(keys[i], rising=True) for i in mine]))
-        value[kind] = _joined([_unpacked(values[i], ANSWER[kind]) for i in mine], float).astype(float)
+        index[kind] = pd.Index(joined([unpacked(keys[i], rising=True) for i in mine]))
+        value[kind] = joined([unpacked(values[i], ANSWER[kind]) for i in mine], float).astype(float)
     out = []
     for blob in texts.column("keys").to_pylist():
         for batch in pa.ipc.open_stream(blob):
@@ -299,7 +276,8 @@ def score_documents(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES, bucket_byte
     answers = requests.select("chunk", "kind", "bucket", "keys").groupBy("kind", "bucket").cogroup(values.groupBy("kind", "bucket"))
     answers = answers.applyInArrow(_answered, "chunk long, kind int, keys binary, answers binary")
     texts = asked.filter(F.col("kind") == TEXT).select("chunk", "keys")
-    scored = texts.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(lambda t, a: _score_rows(t, a, ends, below), "doc_id long, n_tokens long, n_known long, base_score double, score double")
+    chunks = max(spark.sparkContext.defaultParallelism, -(-size // chunk_bytes))  # a task for each, so that none holds many
+    scored = texts.repartition(chunks, "chunk").groupBy("chunk").cogroup(answers.repartition(chunks, "chunk").groupBy("chunk")).applyInArrow(lambda t, a: _score_rows(t, a, ends, below), "doc_id long, n_tokens long, n_known long, base_score double, score double")
     return scored.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")
 
 

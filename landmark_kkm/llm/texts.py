@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -87,3 +88,25 @@ def whole_groups(batches: Iterator[pa.RecordBatch], key: str, rows: int = 200_00
         held, count = rest.combine_chunks().to_batches(), rest.num_rows
     if count:
         yield pa.Table.from_batches(held)
+
+
+@cache
+def _codec() -> pa.Codec:
+    return pa.Codec("zstd", compression_level=1)
+
+
+def packed(values: np.ndarray, rising: bool = False) -> bytes:
+    """The values as bytes: the first bytes of all, then the second ones, and so on, compressed; for rising keys the steps between them."""
+    values = np.diff(values, prepend=np.zeros(1, values.dtype)) if rising else np.ascontiguousarray(values)
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes()
+    return len(planes).to_bytes(8, "little") + _codec().compress(planes, asbytes=True)
+
+
+def unpacked(data: bytes, kind=np.int64, rising: bool = False) -> np.ndarray:
+    planes = _codec().decompress(data[8:], int.from_bytes(data[:8], "little"), asbytes=True)
+    values = np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+    return np.cumsum(values) if rising else values
+
+
+def joined(parts: list[np.ndarray], kind=np.int64) -> np.ndarray:
+    return np.concatenate(parts) if parts else np.zeros(0, kind)
