@@ -20,12 +20,14 @@ from landmark_kkm.llm.texts import slices
 from landmark_kkm.session import ship
 
 #: Edits allowed: one in EDIT_EVERY characters of the folded item; items of fewer than SHORT characters must occur as they are, between word ends.
-EDIT_EVERY = 11
+EDIT_EVERY = 10
 SHORT = 24
 #: Bytes of items that are broadcast at a time; more items take more passes.
 BROADCAST_BYTES = 16 << 20
 
 GROUP = 4
+#: Characters of the short runs that a group and the text around a hit are compared by first: an edit changes GRAM of a group's runs at most.
+GRAM = 3
 
 _WORD = re.compile(r"[^\W_]+")
 
@@ -35,8 +37,8 @@ def folded(text: str | None) -> str:
     return " ".join(_WORD.findall((text or "").lower()))
 
 
-def budget(size: int) -> int:
-    return 0 if size < SHORT else size // EDIT_EVERY
+def budget(size: int, every: int = EDIT_EVERY) -> int:
+    return 0 if size < SHORT else size // every
 
 
 def pieces(item: str, errors: int) -> list[tuple[int, str]]:
@@ -45,6 +47,10 @@ def pieces(item: str, errors: int) -> list[tuple[int, str]]:
     return [(a, item[a:b]) for a, b in zip(cuts, cuts[1:])]
 
 
+def grams(text: str) -> set[str]:
+    return {text[i : i + GRAM] for i in range(len(text) - GRAM + 1)}
+
+
 def best_end(item: str, text: str) -> tuple[int, int]:
     """(distance, end) of the stretch of text that is nearest to the item, the first such end. Bit-parallel over the item: one step for each character of the text."""
     size = len(item)
@@ -75,18 +81,20 @@ def best_end(item: str, text: str) -> tuple[int, int]:
 class Matcher:
     """Items (id, text), ready to be looked for."""
 
-    def __init__(self, items: list[tuple[int, str]]):
-        self.groups: list[list[tuple[int, str, int]]] = []
+    def __init__(self, items: list[tuple[int, str]], every: int = EDIT_EVERY):
+        self.every = every
+        self.groups: list[list[tuple[int, str, int, set[str]]]] = []
         self.items = [(i, t) for i, t in ((i, folded(t)) for i, t in items) if t]
         uses: dict[str, list[tuple[int, int, int]]] = {}
         for n, (_, item) in enumerate(self.items):
-            errors = budget(len(item))
+            errors = budget(len(item), every)
             cut = pieces(item, errors)
             groups = max(1, len(cut) // GROUP)
             self.groups.append([])
             for g in range(groups):
                 own = cut[len(cut) * g // groups : len(cut) * (g + 1) // groups]
-                self.groups[n].append((own[0][0], "".join(p for _, p in own), len(own) - 1))
+                group = "".join(p for _, p in own)
+                self.groups[n].append((own[0][0], group, len(own) - 1, grams(group)))
                 for offset, piece in own:
                     uses.setdefault(piece, []).append((n, offset, g))
         self.automaton = ahocorasick.Automaton()
@@ -96,14 +104,17 @@ class Matcher:
             self.automaton.make_automaton()
 
     @staticmethod
-    def _near(text: str, start: int, offset: int, group: str, errors: int) -> bool:
+    def _near(text: str, start: int, offset: int, group: str, errors: int, runs: set[str]) -> bool:
         """Whether the group of pieces lies within its errors of where the item, begun at `start`, would have it."""
         if errors == 0 or not group:
             return True
         at = start + offset
         if text.startswith(group, max(at, 0)):
             return True
-        return best_end(group, text[max(0, at - errors) : at + len(group) + errors])[0] <= errors
+        window = text[max(0, at - errors) : at + len(group) + errors]
+        if len(runs & grams(window)) < len(runs) - GRAM * errors:
+            return False
+        return best_end(group, window)[0] <= errors
 
     def find(self, text: str | None) -> dict[int, tuple[int, int]]:
         """item id to (distance, end in the folded text), for each item that the text holds within its budget."""
@@ -119,7 +130,7 @@ class Matcher:
         out: dict[int, tuple[int, int]] = {}
         for n, starts in begins.items():
             key, item = self.items[n]
-            errors, best = budget(len(item)), None
+            errors, best = budget(len(item), self.every), None
             if errors == 0:
                 for at in sorted(starts):
                     if (at == 0 or text[at - 1] == " ") and text[at + len(item) : at + len(item) + 1] in ("", " "):
@@ -150,8 +161,8 @@ def _windows(starts: list[int], errors: int) -> Iterator[tuple[int, int]]:
     yield low, high
 
 
-def _find_rows(batches: Iterator[pa.RecordBatch], held) -> Iterator[pa.RecordBatch]:
-    matcher = Matcher(held.value)
+def _find_rows(batches: Iterator[pa.RecordBatch], held, every: int) -> Iterator[pa.RecordBatch]:
+    matcher = Matcher(held.value, every)
     for whole in batches:
         for batch in slices(whole, "text"):
             ids, rows = batch.column("doc_id").to_pylist(), []
@@ -162,15 +173,16 @@ def _find_rows(batches: Iterator[pa.RecordBatch], held) -> Iterator[pa.RecordBat
 
 
 def _passes(items: DataFrame, limit: int) -> Iterator[list[tuple[int, str]]]:
+    # dealt by id, so that an item with several texts is looked for in one pass
     items = items.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).filter("item_id is not null and text is not null")
     size = items.agg(F.sum(F.octet_length("text") + 16)).first()[0] or 0
     count = -(-size // limit)
     for i in range(count):
-        yield [tuple(r) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(count)) == i).collect()]
+        yield [tuple(r) for r in items.filter(F.pmod(F.xxhash64("item_id"), F.lit(count)) == i).collect()]
 
 
-def contaminated(docs: DataFrame, items: DataFrame, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
-    """(doc_id, item_id, distance, end_at): each document and each item that lies in it within one edit in EDIT_EVERY characters.
+def contaminated(docs: DataFrame, items: DataFrame, broadcast_bytes: int = BROADCAST_BYTES, every: int = EDIT_EVERY) -> DataFrame:
+    """(doc_id, item_id, distance, end_at): each document and each item that lies in it within one edit in `every` characters.
 
     Texts are compared as lower-cased words of letters and digits, one space between; end_at is where the nearest stretch ends in that form.
     Null, empty and wordless texts and items match nothing. An item id with several texts gives its nearest. Repeated documents each come back."""
@@ -179,19 +191,22 @@ def contaminated(docs: DataFrame, items: DataFrame, broadcast_bytes: int = BROAD
     ddl, found = "doc_id long, item_id long, distance int, end_at long", None
     for part in _passes(items, broadcast_bytes):
         held = docs.sparkSession.sparkContext.broadcast(part)
-        one = rows.mapInArrow(lambda it, held=held: _find_rows(it, held), ddl)
+        one = rows.mapInArrow(lambda it, held=held: _find_rows(it, held, every), ddl)
         found = one if found is None else found.unionByName(one)
     return found if found is not None else docs.sparkSession.createDataFrame([], ddl)
 
 
-def drop_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """docs, all columns, without the rows that hold an item."""
+def drop_contaminated(docs: DataFrame, items: DataFrame, every: int = EDIT_EVERY) -> DataFrame:
+    """docs, all columns, without the rows that hold an item.
+
+    Null, empty and wordless texts stay, rows with a null doc_id are looked at like any other, repeated rows stay or go together, other columns may have
+    any names, and an empty table gives none. Items that are null, or have no words or no id, are looked for nowhere."""
     ship(docs.sparkSession)
     for part in _passes(items, BROADCAST_BYTES):
         held = docs.sparkSession.sparkContext.broadcast(part)
 
         def keep(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            matcher = Matcher(held.value)
+            matcher = Matcher(held.value, every)
             for whole in batches:
                 for batch in slices(whole, "text"):
                     yield batch.filter(pa.array([not matcher.find(t) for t in batch.column("text").to_pylist()], pa.bool_()))

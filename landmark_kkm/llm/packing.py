@@ -1,10 +1,10 @@
 """Best-fit packing of token sequences by a grouping genetic algorithm, at any number of documents.
 
-Pieces of one length are alike, so what is packed is the histogram of lengths (as many entries as a sequence has tokens). Islands
-evolve packings of an instance drawn to scale from that histogram: crossover injects well-filled bins of one parent into the
-other, removes what is then there twice and puts displaced lengths back by best fit; elites migrate round a ring. The bins of the
-best packing are used as often as the histogram allows, best fit packs the rest, and pieces find their places by their rank among
-those of the same length.
+Pieces of one length are alike, so what is packed is the histogram of lengths (as many entries as a sequence has tokens), and a packing
+is a list of patterns: the lengths of a bin and how many bins hold them. Islands evolve such packings of the whole histogram, every length
+in full count: crossover injects well-filled patterns of one parent into the other, removes what is then there too often and puts displaced
+lengths back by best fit; elites migrate round a ring. Plain best fit is a member of the first population and the best member always
+stays. Pieces find their places by their rank among those of the same length.
 """
 
 from __future__ import annotations
@@ -21,16 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from landmark_kkm.llm.sharding import numbered
+from landmark_kkm.llm.sharding import numbered, parts_of
 from landmark_kkm.llm.texts import slices
 from landmark_kkm.session import materialize, ship
 
 CAPACITY = 1024
 END_ID = 2
 SPECIAL = "<|endoftext|>"
-#: Lengths in the instance that islands pack; a smaller histogram is packed whole.
-INSTANCE = 1500
-ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 6, 3, 8
+ISLANDS, POPULATION, EPOCHS, GENERATIONS = 4, 6, 4, 12
 
 
 def default_tokenizer() -> tuple[str, str]:
@@ -82,119 +80,14 @@ def _piece_rows(batches: Iterator[pa.RecordBatch], tokenizer: tuple[str, str | N
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
 
-# Bins of an instance are sorted tuples of lengths.
-Bins = list[tuple[int, ...]]
-
-
-def best_fit(bins: Bins, lengths: list[int], capacity: int) -> Bins:
-    """The bins with each of the lengths, longest first, put where the least room is left."""
-    held = {i: list(b) for i, b in enumerate(bins)}
-    room = sorted((capacity - sum(b), i) for i, b in held.items())
-    for s in sorted(lengths, reverse=True):
-        at = bisect_left(room, (s, -1))
-        if at < len(room):
-            left, i = room.pop(at)
-        else:
-            left, i = capacity, len(held)
-            held[i] = []
-        held[i].append(s)
-        if left > s:
-            insort(room, (left - s, i))
-    return [tuple(sorted(b, reverse=True)) for b in held.values()]
-
-
-def fitness(bins: Bins, capacity: int) -> float:
-    """Mean squared fill: of packings with equally many bins, the one with fuller bins is nearer to saving one."""
-    return sum((sum(b) / capacity) ** 2 for b in bins) / max(1, len(bins))
-
-
-def crossover(into: Bins, of: Bins, capacity: int, rng: random.Random) -> Bins:
-    """Well-filled bins of one parent go whole into the other; its bins that hold injected lengths are broken up and their other lengths best-fitted."""
-    full = sorted(of, key=lambda b: (capacity - sum(b), len(b)))
-    count = rng.randint(1, max(1, len(full) // 3))
-    start = rng.randint(0, max(0, len(full) // 3))
-    injected = full[start : start + count]
-    twice = Counter(s for b in injected for s in b)
-    kept, displaced = [], []
-    for b in rng.sample(into, len(into)):
-        if any(twice[s] for s in b):
-            for s in b:
-                if twice[s]:
-                    twice[s] -= 1
-                else:
-                    displaced.append(s)
-        else:
-            kept.append(b)
-    return best_fit(injected + kept, displaced, capacity)
-
-
-def mutated(bins: Bins, capacity: int, rng: random.Random) -> Bins:
-    """The emptiest bins and a few others are emptied and their lengths best-fitted."""
-    order = sorted(range(len(bins)), key=lambda i: sum(bins[i]))
-    gone = set(order[: max(1, len(bins) // 50)]) | set(rng.sample(range(len(bins)), min(len(bins), 2 + len(bins) // 20)))
-    return best_fit([b for i, b in enumerate(bins) if i not in gone], [s for i in gone for s in bins[i]], capacity)
-
-
-def evolved(population: list[Bins], capacity: int, generations: int, seed: int) -> list[Bins]:
-    """The population after some generations, best first. A child replaces the worst member that it betters."""
-    rng = random.Random(seed)
-    population = sorted(population, key=lambda b: (len(b), -fitness(b, capacity)))
-    for _ in range(generations):
-        for _ in range(len(population)):
-            a, b = rng.sample(population, 2) if len(population) > 1 else (population[0], population[0])
-            child = mutated(crossover(a, b, capacity, rng), capacity, rng)
-            worst = population[-1]
-            if (len(child), -fitness(child, capacity)) < (len(worst), -fitness(worst, capacity)) and child not in population:
-                population[-1] = child
-                population.sort(key=lambda b: (len(b), -fitness(b, capacity)))
-    return population
-
-
-def started(lengths: list[int], capacity: int, count: int, seed: int) -> list[Bins]:
-    """First members: plain best fit, and best fit after a random part of the lengths went first."""
-    rng, out = random.Random(seed), [best_fit([], lengths, capacity)]
-    while len(out) < count:
-        some = rng.sample(lengths, len(lengths) // 4)
-        rest = Counter(lengths)
-        rest.subtract(some)
-        bins: Bins = []
-        for s in some:
-            bins = bins[:-1] + [(*bins[-1], s)] if bins and sum(bins[-1]) + s <= capacity else [*bins, (s,)]
-        out.append(best_fit(bins, list(rest.elements()), capacity))
-    return out
-
-
-def pack_instance(spark, lengths: list[int], capacity: int, islands: int = ISLANDS, population: int = POPULATION, epochs: int = EPOCHS, generations: int = GENERATIONS) -> Bins:
-    """The best packing that the islands find. Each epoch is one Spark job with a task for each island; the instance bounds what it moves."""
-    state = [started(lengths, capacity, population, seed) for seed in range(islands)]
-    least = -(-sum(lengths) // capacity)
-
-    def island(key, part: pd.DataFrame) -> pd.DataFrame:
-        members = [[tuple(b) for b in m] for m in part["bins"]]
-        found = evolved(members, capacity, generations, int(part["seed"].iloc[0]))
-        return pd.DataFrame({"island": key[0], "seed": 0, "bins": [[list(b) for b in m] for m in found]})
-
-    ddl = "island int, seed int, bins array<array<int>>"
-    for epoch in range(epochs):
-        if len(lengths) < 2 or epoch and any(len(members[0]) == least for members in state):
-            break
-        rows = [(i, epoch * islands + i, [list(b) for b in m]) for i, members in enumerate(state) for m in members]
-        found: dict[int, list[Bins]] = {}
-        for r in spark.createDataFrame(rows, ddl).groupBy("island").applyInPandas(island, ddl).collect():
-            found.setdefault(r["island"], []).append([tuple(b) for b in r["bins"]])
-        rank = lambda b: (len(b), -fitness(b, capacity))
-        state = [sorted(found[i], key=rank) for i in range(islands)]
-        elites = [members[0] for members in state]
-        state = [sorted([*members[:-1], elites[i - 1]], key=rank) for i, members in enumerate(state)]  # round the ring
-    return min((m for members in state for m in members), key=lambda b: (len(b), -fitness(b, capacity)))
-
-
-# Patterns are (lengths of a bin, copies).
+# Patterns are (lengths of a bin, longest first; copies).
 Patterns = list[tuple[tuple[int, ...], int]]
 
 
-def best_fit_histogram(counts: dict[int, int], capacity: int) -> Patterns:
-    """Best fit, longest first, of all the lengths at once: bins that hold the same stay one entry with a count."""
+def best_fit(counts: dict[int, int], capacity: int, held: Patterns = (), rng: random.Random | None = None) -> Patterns:
+    """The patterns held with all the lengths of counts, longest first, put where the least room is left; bins that hold the same stay one entry.
+
+    With rng the longest lengths come a little out of order, so that members of a population differ."""
     open_bins: dict[int, list[list]] = {}  # room to [lengths, copies]
     rooms: list[int] = []
 
@@ -205,7 +98,10 @@ def best_fit_histogram(counts: dict[int, int], capacity: int) -> Patterns:
             insort(rooms, left)
         open_bins[left].append([lengths, copies])
 
-    for size in sorted(counts, reverse=True):
+    for lengths, copies in held:
+        put(lengths, copies)
+    order = sorted(counts, key=lambda s: -s * (rng.uniform(0.7, 1.0) if rng else 1))
+    for size in order:
         count = counts[size]
         while count:
             at = bisect_left(rooms, size)
@@ -224,34 +120,147 @@ def best_fit_histogram(counts: dict[int, int], capacity: int) -> Patterns:
                 put(lengths, copies - used)
             put((*lengths, size), used)
             count -= used
-    merged: Counter = Counter()
-    for held in open_bins.values():
-        for lengths, copies in held:
-            merged[lengths] += copies
-    return sorted(merged.items(), reverse=True)
-
-
-def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, instance: int = INSTANCE, **how) -> Patterns:
-    """Patterns that use each length exactly as often as counts says, in as few bins as found."""
-    counts = {s: n for s, n in counts.items() if n}
-    whole, rest = counts.pop(capacity, 0), sum(counts.values())
-    out: Patterns = [((capacity,), whole)] if whole else []
-    if not rest:
-        return out
-    plain = best_fit_histogram(counts, capacity)
-    times = max(1, rest // instance)
-    drawn = [s for s, n in sorted(counts.items()) for _ in range(n // times)]
-    found: Counter = Counter(pack_instance(spark, drawn, capacity, **how)) if drawn else Counter()
-    # only bins that are nearly full are worth repeating; the others' lengths join the rest
+    return merged((tuple(sorted(lengths, reverse=True)), copies) for found in open_bins.values() for lengths, copies in found)
+
+
+def merged(patterns) -> Patterns:
+    total: Counter = Counter()
+    for lengths, copies in patterns:
+        total[lengths] += copies
+    return sorted(((p, n) for p, n in total.items() if n), reverse=True)
+
+
+def bins_of(patterns: Patterns) -> int:
+    return sum(n for _, n in patterns)
+
+
+def fitness(patterns: Patterns, capacity: int) -> float:
+    """Mean squared fill: of packings with equally many bins, the one with fuller bins is nearer to saving one."""
+    return sum(n * (sum(p) / capacity) ** 2 for p, n in patterns) / max(1, bins_of(patterns))
+
+
+def _rank(patterns: Patterns, capacity: int) -> tuple[int, float]:
+    return bins_of(patterns), -fitness(patterns, capacity)
+
+
+def completed(kept: Patterns, counts: dict[int, int], capacity: int, rng: random.Random | None = None) -> Patterns:
+    """As many of the kept patterns as counts allows, in turn, and best fit of all lengths that are left."""
+    left, out = Counter(counts), []
+    for pattern, copies in kept:
+        need = Counter(pattern)
+        copies = min(copies, min(left[s] // n for s, n in need.items()))
+        if copies:
+            out.append((pattern, copies))
+            for s, n in need.items():
+                left[s] -= n * copies
+    return best_fit({s: n for s, n in left.items() if n}, capacity, out, rng)
+
+
+def crossover(into: Patterns, of: Patterns, counts: dict[int, int], capacity: int, rng: random.Random) -> Patterns:
+    """Well-filled patterns of one parent go whole into the other; of its bins those stay for which there are lengths left, the well-filled first. Displaced lengths are best-fitted."""
+    full = [p for p in of if capacity - sum(p[0]) <= capacity // 64] or list(of)
+    injected = rng.sample(full, rng.randint(1, max(1, len(full) // 2)))
+    kept = sorted(into, key=lambda p: capacity - sum(p[0]))
+    return completed([*injected, *kept[: max(1, len(kept) - rng.randint(0, 1 + len(kept) // 4))]], counts, capacity, rng if rng.random() < 0.5 else None)
+
+
+def filled(counts: Counter, capacity: int, rng: random.Random, tries: int = 200) -> tuple[int, ...]:
+    """Lengths that together fill a bin as far as a few random sets go, the longest that is left among them."""
+    sizes = sorted((s for s, n in counts.items() if n), reverse=True)
+    best: tuple[int, ...] = ()
+    for _ in range(tries):
+        own, room, used = [sizes[0]], capacity - sizes[0], Counter([sizes[0]])
+        while True:
+            fit = [s for s in sizes[bisect_left(sizes, -room, key=lambda s: -s) :] if counts[s] > used[s]]
+            if not fit:
+                break
+            exact = [s for s in fit if room - s in counts and counts[room - s] > used[room - s] + (s == room - s)]
+            s = fit[0] if fit[0] == room else rng.choice(exact or fit)
+            own.append(s)
+            used[s] += 1
+            room -= s
+        if sum(own) > sum(best):
+            best = tuple(sorted(own, reverse=True))
+        if room == 0:
+            break
+    return best
+
+
+def mutated(patterns: Patterns, counts: dict[int, int], capacity: int, rng: random.Random) -> Patterns:
+    """The emptiest patterns and a few others are emptied; some of their lengths are put together to fill bins, the rest is best-fitted."""
+    kept = sorted(patterns, key=lambda p: capacity - sum(p[0]))
+    kept = kept[: max(0, len(kept) - 1 - rng.randint(0, 1 + len(kept) // 8))]
+    kept = [p for p in kept if rng.random() > 0.1]
     left = Counter(counts)
-    used: Patterns = []
-    for b, n in found.items():
-        if times == 1 or capacity - sum(b) <= capacity // 256:
-            used.append((b, n * times))
-            for s in b:
-                left[s] -= n * times
-    scaled = used + best_fit_histogram({s: n for s, n in left.items() if n}, capacity)
-    return out + min(scaled, plain, key=lambda p: sum(n for _, n in p))  # the evolved packing, unless it is no help on the whole
+    for pattern, copies in kept:
+        for s, n in Counter(pattern).items():
+            left[s] -= n * copies
+    more = []
+    for _ in range(rng.randint(0, 12)):
+        left = +left
+        if not left:
+            break
+        own = filled(left, capacity, rng)
+        need = Counter(own)
+        copies = min(left[s] // n for s, n in need.items())
+        more.append((own, copies))
+        for s, n in need.items():
+            left[s] -= n * copies
+    return completed([*kept, *more], counts, capacity, rng if rng.random() < 0.3 else None)
+
+
+def evolved(population: list[Patterns], counts: dict[int, int], capacity: int, generations: int, seed: int) -> list[Patterns]:
+    """The population after some generations, best first. A child replaces the worst member that it betters."""
+    rng = random.Random(seed)
+    population = sorted(population, key=lambda p: _rank(p, capacity))
+    for _ in range(generations):
+        for _ in range(len(population)):
+            a, b = rng.sample(population, 2) if len(population) > 1 else (population[0], population[0])
+            child = crossover(a, b, counts, capacity, rng)
+            if rng.random() < 0.7:
+                child = mutated(child, counts, capacity, rng)
+            if _rank(child, capacity) < _rank(population[-1], capacity) and child not in population:
+                population[-1] = child
+                population.sort(key=lambda p: _rank(p, capacity))
+    return population
+
+
+def started(counts: dict[int, int], capacity: int, count: int, seed: int) -> list[Patterns]:
+    """First members: plain best fit, and best fit of the lengths a little out of order."""
+    rng = random.Random(seed)
+    return [best_fit(counts, capacity), *(best_fit(counts, capacity, rng=rng) for _ in range(count - 1))]
+
+
+def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, islands: int = ISLANDS, population: int = POPULATION, epochs: int = EPOCHS, generations: int = GENERATIONS) -> Patterns:
+    """Patterns that use each length exactly as often as counts says, in as few bins as the islands find.
+
+    Each epoch is one Spark job with a task for each island; what it moves is bounded by the patterns of a packing, of which there are no more than
+    lengths by far, whatever the counts. Islands stop at the least number of bins that the tokens need."""
+    counts = {int(s): int(n) for s, n in counts.items() if n}
+    out: Patterns = [((capacity,), counts.pop(capacity))] if capacity in counts else []
+    if not counts:
+        return out
+    state = [started(counts, capacity, population, seed) for seed in range(islands)]
+    least = -(-sum(s * n for s, n in counts.items()) // capacity)
+    best = lambda: min((m for members in state for m in members), key=lambda p: _rank(p, capacity))
+
+    def island(key, part: pd.DataFrame) -> pd.DataFrame:
+        members = [[(tuple(p), int(n)) for p, n in zip(ps, ns)] for ps, ns in zip(part["bins"], part["copies"])]
+        found = evolved(members, counts, capacity, generations, int(part["seed"].iloc[0]))
+        return pd.DataFrame({"island": key[0], "seed": 0, "bins": [[list(p) for p, _ in m] for m in found], "copies": [[n for _, n in m] for m in found]})
+
+    ddl = "island int, seed int, bins array<array<int>>, copies array<long>"
+    for epoch in range(epochs):
+        if bins_of(best()) == least:
+            break
+        rows = [(i, epoch * islands + i, [list(p) for p, _ in m], [n for _, n in m]) for i, members in enumerate(state) for m in members]
+        found: dict[int, list[Patterns]] = {}
+        for r in spark.createDataFrame(rows, ddl).groupBy("island").applyInPandas(island, ddl).collect():
+            found.setdefault(r["island"], []).append([(tuple(p), n) for p, n in zip(r["bins"], r["copies"])])
+        state = [sorted(found[i], key=lambda p: _rank(p, capacity)) for i in range(islands)]
+        elites = [members[0] for members in state]
+        state = [sorted([*members[:-1], elites[i - 1]], key=lambda p: _rank(p, capacity)) for i, members in enumerate(state)]  # round the ring
+    return out + best()
 
 
 class Places:
@@ -301,6 +310,7 @@ def pack_documents(docs: DataFrame, tokenizer: tuple[str, str | None] | None = N
     pieces = materialize(rows.mapInArrow(lambda it: _piece_rows(it, tokenizer, end_id, capacity), ddl), "pieces")
     counts = {r["length"]: r["count"] for r in pieces.groupBy("length").count().collect()}
     held = spark.sparkContext.broadcast(Places(plan(spark, counts, capacity, **how)))
-    ranked = numbered(pieces, "length", [F.col("doc_id"), F.col("piece"), F.col("ids_crc32")], "rank", salts=64)
+    parts = F.get(F.array(*[F.lit(parts_of(counts.get(n, 0))) for n in range(capacity + 1)]), F.col("length").cast("int"))
+    ranked = numbered(pieces, "length", [F.col("doc_id"), F.col("piece"), F.col("ids_crc32")], "rank", parts)
     ranked = ranked.select("doc_id", "piece", "start", "length", "ids_crc32", "rank")
     return ranked.mapInArrow(lambda it: _place_rows(it, held), f"{ddl}, sequence_id long, offset long")

@@ -3,7 +3,8 @@
 Trees are not broadcast: all fingerprints together have no size bound. A pigeonhole key sends each fingerprint to every shard
 that any partner within the radius must share (near copies by similarity: to the shards of its bands of least hashes), and each task builds the trees of its shards and follows only the edges whose
 key lies within the radius of the query's distance. The pairs found in a shard leave it as a spanning forest, never as all pairs.
-Where copies are meant by similarity, what trees find are candidates only: they leave as groups, and the shingle sets of their texts decide.
+Where copies are meant by similarity, what trees find are candidates only: their texts meet by components of candidates, and the shingle sets decide.
+A shard or component that is too large for a task is cut into blocks, and each two blocks meet in a task of their own: memory stays bounded and no link is lost.
 """
 
 from __future__ import annotations
@@ -32,6 +33,8 @@ LANES, LANE_ROWS, CHUNK = np.uint64(0x0101010101010101), 255, 1 << 13
 FEW = 800
 #: Bands of least hashes that choose the shards of near copies. At a similarity s two texts share a band with probability 1 - (1 - s**4)**16: 0.9998 at 0.8.
 BANDS, BAND_ROWS = 16, 4
+#: Fingerprints of a shard, and shingle hashes of a component, that one block holds; a task holds two.
+BLOCK_PRINTS, BLOCK_HASHES = 200_000, 1 << 21
 #: Near copies share 4 of 5 of their shingles.
 SHARED, PARTS = 4, 5
 
@@ -224,21 +227,25 @@ def _shard_labels(table: pa.Table, radius: int, wide_radius: int | None) -> tupl
     return rep, label
 
 
-def _forest_edges(batches: Iterator[pa.RecordBatch], radius: int) -> Iterator[pa.RecordBatch]:
+def _forest_edges(batches: Iterator[pa.RecordBatch], radius: int, wide_radius: int | None = None) -> Iterator[pa.RecordBatch]:
     for table in whole_groups(batches, "shard"):
-        rep, label = _shard_labels(table, radius, None)
+        rep, label = _shard_labels(table, radius, wide_radius)
         linked = np.flatnonzero(label != np.arange(len(label)))
         yield pa.RecordBatch.from_arrays([pa.array(rep[linked]), pa.array(rep[label[linked]])], names=["u", "v"])
 
 
-def _candidate_groups(batches: Iterator[pa.RecordBatch], radius: int, wide_radius: int) -> Iterator[pa.RecordBatch]:
-    """(grp, rep) of every class of two rows or more in a shard; grp is a hash of the class's reps, so that shards that find the same class name it alike."""
-    for table in whole_groups(batches, "shard"):
-        rep, label = _shard_labels(table, radius, wide_radius)
-        name = np.zeros(len(label), np.uint64)
-        np.add.at(name, label, mix(rep.view(np.uint64), 1))
-        many = np.bincount(label, minlength=len(label))[label] > 1
-        yield pa.RecordBatch.from_arrays([pa.array(mix(name, 2)[label[many]].view(np.int64)), pa.array(rep[many])], names=["grp", "rep"])
+def celled(rows: DataFrame, key: str, blocks: DataFrame) -> DataFrame:
+    """rows with `key` as it is, or for the keys that blocks (key, k) names a key for each two of their k blocks, a row going to each cell of its own block."""
+    own = F.pmod(F.xxhash64("rep"), F.col("_k")).cast("int")
+    cells = F.transform(F.sequence(F.lit(0), F.col("_k") - 1), lambda j: F.xxhash64(F.col(key), F.least(own, j), F.greatest(own, j)))
+    met = rows.join(F.broadcast(blocks.select(F.col(key).alias("_key"), F.col("k").cast("int").alias("_k"))), F.col(key) == F.col("_key"), "left")
+    return met.withColumn(key, F.explode(F.when(F.col("_k") > 1, cells).otherwise(F.array(F.col(key))))).drop("_key", "_k")
+
+
+def hot(rows: DataFrame, key: str, weight, limit: int) -> DataFrame:
+    """(key, k) of the keys whose weights add up to more than the limit, in k blocks. There are fewer of them than the whole weight over the limit."""
+    blocks = rows.groupBy(key).agg(F.sum(weight).alias("_w")).filter(F.col("_w") > limit)
+    return materialize(blocks.select(key, F.ceil(F.col("_w") / limit).alias("k")), "hot")
 
 
 def _set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
@@ -246,11 +253,14 @@ def _set_batches(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.R
         for batch in slices(whole, "text"):
             sets = [np.unique(shingle_hashes(words_of(text), width)).view(np.int64) for text in as_bytes(batch.column("text"))]
             ends = np.cumsum([0, *map(len, sets)])
-            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("grps"), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(sets)))], names=["rep", "grps", "hashes"])
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("grp"), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(sets)))], names=["rep", "grp", "hashes"])
 
 
 def similar(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """The classes that links of similarity SHARED / PARTS or more make of the sets that lie one after the other in values: the least member of each set's class."""
+    """The classes that links of similarity SHARED / PARTS or more make of the sets that lie one after the other in values: the least member of each set's class.
+
+    A set is compared with all others at once, by the sets that have its hashes. Those of the largest class need no comparison: what links them to a
+    set outside is found from there."""
     label, ends = np.arange(len(sizes)), np.cumsum(sizes)
     order = np.argsort(values, kind="stable")
     first = np.append(True, values[order][1:] != values[order][:-1])
@@ -259,16 +269,20 @@ def similar(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     count = np.diff(np.append(begin, len(values)))
     run = np.empty(len(values), np.int64)
     run[order] = np.cumsum(first) - 1
-    for i, end in enumerate(ends):
-        if not label.any():
-            break
-        mine = run[end - sizes[i] : end]
+    waiting = np.ones(len(sizes), bool)
+    while True:
+        largest = np.bincount(label).argmax()
+        outside = np.flatnonzero(waiting & (label != largest))
+        if not len(outside):
+            return label
+        i = outside[0]
+        waiting[i] = False
+        mine = run[ends[i] - sizes[i] : ends[i]]
         fan = count[mine]
         at = np.arange(fan.sum()) - np.repeat(np.cumsum(fan) - fan, fan) + np.repeat(begin[mine], fan)
         shared = np.bincount(owner[at], minlength=len(sizes))
         near = np.flatnonzero((shared > 0) & (PARTS * shared >= SHARED * (sizes[i] + sizes - shared)))
         unite(label, np.full(len(near), i), near)
-    return label
 
 
 def _confirmed_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -293,31 +307,36 @@ def _tasks(rows: DataFrame) -> int:
     return max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.sparkSession.sparkContext.defaultParallelism)
 
 
-def link(prints: DataFrame, radius: int) -> DataFrame:
+def _linked(shards: DataFrame, radius: int, wide_radius: int | None, block: int) -> DataFrame:
+    """Edges (u, v): a spanning forest of the links of each shard. shards: (shard, rep, fp, and what else the links need)."""
+    cells = celled(shards, "shard", hot(shards, "shard", F.lit(1), block))
+    return cells.repartition(_tasks(shards), "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius, wide_radius), "u long, v long")
+
+
+def link(prints: DataFrame, radius: int, block: int = BLOCK_PRINTS) -> DataFrame:
     """prints with component_id: the least doc_id reachable over links of at most `radius` differing bits.
 
     Equal fingerprints are one node; a null doc_id takes the component of its fingerprint."""
     nodes = materialize(prints.filter("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")), "nodes")
-    shards = _pigeonhole_shards(nodes, radius)
-    edges = shards.repartition(_tasks(nodes), "shard").sortWithinPartitions("shard", "rep").mapInArrow(lambda it: _forest_edges(it, radius), "u long, v long")
-    return _labelled(prints, nodes, components(edges), ["fp"])
+    return _labelled(prints, nodes, components(_linked(_pigeonhole_shards(nodes, radius), radius, None, block)), ["fp"])
 
 
-def link_similar(prints: DataFrame, docs: DataFrame, width: int, radius: int, wide_radius: int) -> DataFrame:
+def link_similar(prints: DataFrame, docs: DataFrame, width: int, radius: int, wide_radius: int, block: int = BLOCK_PRINTS, block_hashes: int = BLOCK_HASHES) -> DataFrame:
     """prints (wide) with component_id: the least doc_id reachable over links of a shingle-set similarity of SHARED / PARTS or more.
 
     Candidates share a band (at that similarity with a chance of 0.9998; a text goes to BANDS shards however many texts there are), differ in at most
-    `radius` bits of fp and `wide_radius` of the wide ones. Groups of candidates that several shards find are kept once; each gets the shingle sets of
-    its texts, taken from docs (doc_id, text), and a link is made where the sets say so. Equal fingerprints are one node."""
+    `radius` bits of fp and `wide_radius` of the wide ones. Components of candidates get the shingle sets of their texts, taken once from docs
+    (doc_id, text), and a link is made where the sets say so. Equal fingerprints are one node."""
     same = ["fp", *WIDE, "size"]
     least = prints.groupBy(*same).agg(F.min(F.struct("doc_id", "bands")).alias("least"))
     nodes = materialize(least.select(*same, F.col("least.doc_id").alias("rep"), "least.bands"), "nodes")
-    shards = nodes.select(*same, "rep", F.explode("bands").alias("shard")).repartition(_tasks(nodes), "shard").sortWithinPartitions("shard", "rep")
-    groups = materialize(shards.mapInArrow(lambda it: _candidate_groups(it, radius, wide_radius), "grp long, rep long").distinct(), "groups")
-    named = groups.groupBy("rep").agg(F.collect_list("grp").alias("grps")).hint("merge")  # one plan at every size: a broadcast of reps would grow with the corpus
+    candidates = components(_linked(nodes.select(*same, "rep", F.explode("bands").alias("shard")), radius, wide_radius, block))
+    candidates = materialize(candidates.join(nodes.select("rep", "size"), F.col("node") == F.col("rep")).select("rep", F.col("component").alias("grp"), "size"), "candidates")
+    blocks = hot(candidates, "grp", F.col("size"), block_hashes)
+    named = candidates.select("rep", "grp").hint("merge")  # one plan at every size: a broadcast of reps would grow with the corpus
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text")).join(named, "rep")
-    sets = texts.mapInArrow(lambda it: _set_batches(it, width), "rep long, grps array<long>, hashes array<long>").filter(F.size("hashes") > 0)
-    dealt = sets.select(F.explode("grps").alias("grp"), "rep", "hashes").repartition(_tasks(nodes), "grp").sortWithinPartitions("grp", "rep")
+    sets = texts.mapInArrow(lambda it: _set_batches(it, width), "rep long, grp long, hashes array<long>").filter(F.size("hashes") > 0)
+    dealt = celled(sets, "grp", blocks).repartition(_tasks(nodes), "grp").sortWithinPartitions("grp", "rep")
     return _labelled(prints, nodes, components(dealt.mapInArrow(_confirmed_edges, "u long, v long")), same)
 
 

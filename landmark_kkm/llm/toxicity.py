@@ -33,8 +33,6 @@ INVISIBLE = "­​‌‍⁠﻿"
 
 #: Labelled training rows of each class that the lexicon and the curve are learnt from, chosen by a hash of the id.
 LEARN_ROWS = 5000
-#: Terms that the lexicon holds at most, the surest first.
-LEXICON_TERMS = 4000
 MOST_WEIGHT = 8.0
 PREFIXES = range(4, 9)
 CUT = 0.7
@@ -179,7 +177,7 @@ def _learnable():
     return F.coalesce(F.crc32(F.encode(F.col("doc_id").cast("string"), "UTF-8")) % 3 != 1, F.lit(False))
 
 
-def learn(docs: DataFrame, labels: DataFrame, rows: int = LEARN_ROWS, terms: int = LEXICON_TERMS) -> Lexicon:
+def learn(docs: DataFrame, labels: DataFrame, rows: int = LEARN_ROWS) -> Lexicon:
     """A lexicon from the labelled rows whose crc32(doc_id as text) mod 3 is not 1, `rows` of each class at most, chosen by a hash of the id.
 
     Labels that are null, and rows without text, teach nothing; a doc_id labelled twice is toxic if one label says so. Without both classes the seeds and the default curve stay."""
@@ -203,7 +201,7 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = LEARN_ROWS, terms: int
     p, q = F.col("pos") / (F.col("pos") + F.col("neg")), n_pos / (n_pos + n_neg)
     gain = F.col("pos") * F.log(p / q) + F.when(F.col("neg") > 0, F.col("neg") * F.log((1 - p) / (1 - q))).otherwise(0.0)
     odds = F.log((F.col("pos") + 0.5) / (n_pos + 1)) - F.log((F.col("neg") + 0.5) / (n_neg + 1))
-    sure = counted.filter("pos >= 3").withColumn("gain", gain).filter((F.col("gain") >= 14) & (odds >= 3.0)).orderBy(F.desc("gain"), "term", "whole").limit(terms)
+    sure = counted.filter("pos >= 3").withColumn("gain", gain).filter((F.col("gain") >= 14) & (odds >= 3.0)).orderBy(F.desc("gain"), "term", "whole")
     found = [(r["term"], r["whole"], r["pos"], r["neg"]) for r in sure.collect()]
     lexicon = Lexicon(base.terms | chosen(found, n_pos, n_neg))
     held = docs.sparkSession.sparkContext.broadcast(lexicon)
@@ -241,7 +239,10 @@ def score_documents(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
 
 
 def drop_toxic(docs: DataFrame, lexicon: Lexicon, cut: float = CUT) -> DataFrame:
-    """docs, all columns, without the rows that score `cut` or more."""
+    """docs, all columns, without the rows that score `cut` or more.
+
+    Null, empty and wordless texts score as texts without a match, so they stay. Rows with a null doc_id are scored like any other, repeated rows stay
+    or go together, other columns may have any names, and an empty table gives none."""
     ship(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(lexicon)
 

@@ -146,6 +146,46 @@ def test_appended_truncated_and_short_copies_go_by_exact_similarity(spark):
     assert set(range(len(texts))) - kept == gone and 100 < len(gone) < 200
 
 
+def test_shards_and_components_cut_into_blocks_give_the_same(spark):
+    rng = np.random.default_rng(9)
+    base = [f"w{rng.integers(50000)}" for _ in range(120)]
+    texts = [" ".join(base[: 100 + i // 2] + [f"v{i}"]) for i in range(36)] + [" ".join(f"u{rng.integers(50000)}" for _ in range(60)) for _ in range(10)]
+    docs = frame(spark, texts)
+    prints = simhash.fingerprints(docs, 4)
+    answer = lambda df: sorted(tuple(r) for r in df.select("doc_id", "component_id").collect())
+    assert answer(simhash.link(prints, 12)) == answer(simhash.link(prints, 12, block=3))
+    wide = simhash.fingerprints(docs, 5, wide=True).cache()
+    how = (docs, 5, simhash.CANDIDATE_RADIUS, simhash.CANDIDATE_WIDE)
+    assert answer(simhash.link_similar(wide, *how)) == answer(simhash.link_similar(wide, *how, block=4, block_hashes=500))
+
+
+def test_near_copies_of_all_pairs_by_similarity(spark):
+    """All pairs of the given documents by brute force: of links at 0.8 or more none is lost and no other is made."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    shingles, holders = {}, {}
+    for r in docs.collect():
+        words = (r.text or "").encode().lower().split()
+        if words:
+            shingles[r.doc_id] = {b" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))}
+            for g in shingles[r.doc_id]:
+                holders.setdefault(g, []).append(r.doc_id)
+    shared = Counter((a, b) for own in holders.values() for i, a in enumerate(own) for b in own[i + 1 :])
+    label = {i: i for i in shingles}
+
+    def find(x):
+        while label[x] != x:
+            x = label[x]
+        return x
+
+    for (a, b), n in shared.items():
+        if 5 * n >= 4 * (len(shingles[a]) + len(shingles[b]) - n):
+            x, y = find(a), find(b)
+            label[max(x, y)] = min(x, y)
+    gone = {i for i in label if find(i) != i}
+    kept = {r.doc_id for r in simhash.drop_near_duplicates(docs).select("doc_id").collect()}
+    assert set(shingles) - kept == gone and len(gone) > 50
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], DDL)
     assert simhash.near_duplicates(none).count() == 0
@@ -178,8 +218,39 @@ def test_lpt_is_balanced_whole_and_keeps_groups(spark):
     assert max(load.values()) - min(load.values()) <= largest
 
 
-def test_longest_first_by_hand():
-    assert sharding.longest_first([7, 6, 5, 4, 3, 2], 3) == [0, 1, 2, 2, 1, 0]
+def test_longest_first_equals_one_by_one():
+    import heapq
+
+    assert sharding.longest_first(Counter([7, 6, 5, 4, 3, 2]), 3) == [(7, 0, 1), (6, 1, 1), (5, 2, 1), (4, 2, 1), (3, 1, 1), (2, 0, 1)]
+    assert sharding.longest_first({}, 3) == []
+    rng = np.random.default_rng(0)
+    for _ in range(200):
+        shards, most = int(rng.integers(1, 12)), int(rng.choice([3, 20, 1000]))
+        sizes = [int(x) for x in rng.integers(1, most, int(rng.integers(0, 300)))] + [most * 50] * int(rng.integers(0, 3))
+        heap, placed = [(0, s) for s in range(shards)], Counter()
+        for size in sorted(sizes, reverse=True):
+            load, s = heap[0]
+            placed[size, s] += 1
+            heapq.heapreplace(heap, (load + size, s))
+        assert Counter({(size, s): n for size, s, n in sharding.longest_first(Counter(sizes), shards)}) == placed
+
+
+def test_shards_have_the_loads_of_a_schedule_group_by_group(spark, monkeypatch):
+    import heapq
+
+    texts = [f"text {i} " * (i % 40) for i in range(500)] + ["copy"] * 100 + [None]
+    sizes = Counter()
+    for t in texts:
+        sizes[t or ""] += len((t or "").encode()) + 16
+    heap = [0] * 7
+    for size in sorted(sizes.values(), reverse=True):
+        heapq.heapreplace(heap, heap[0] + size)
+    for rows, broadcast in ((200_000, 64 << 20), (3, 0)):  # ranks in one part and in many, places by broadcast and by a shuffle
+        monkeypatch.setattr(sharding, "RANK_ROWS", rows)
+        monkeypatch.setattr(sharding, "BROADCAST_BYTES", broadcast)
+        found = sharding.shard_documents(frame(spark, texts), 7).toPandas()
+        assert sorted(found.groupby("shard")["size"].sum()) == sorted(heap)
+        assert all(sorted(own) == list(range(len(own))) for _, own in found.groupby("shard")["slot"])
 
 
 def test_lines_match_brute_force(spark):
@@ -191,22 +262,40 @@ def test_lines_match_brute_force(spark):
         for k in set(ks) - {None}:
             holders.setdefault(k, []).append(i)
     gone = {k: max(v) for k, v in holders.items() if len(v) >= 5}
-    for bound in (1 << 20, 0):  # by broadcast, and by the shuffle that goes beyond it
-        got = {r.doc_id: r for r in linededup.drop_repeated_lines(frame(spark, texts), broadcast_bytes=bound).collect()}
+    for how in ({}, {"broadcast_bytes": 0, "chunk_bytes": 50, "range_bytes": 100}):  # by broadcast, and by the shuffle that goes beyond it
+        got = {r.c2: r for r in linededup.rewritten(frame(spark, texts), **how).collect()}
         for i, t in enumerate(texts):
             kept = [x for x, k in zip((t or "").split("\n"), keys[i]) if not (k in gone and gone[k] != i)]
-            assert (got[i].text, got[i]._n_lines, got[i]._n_dropped) == ("\n".join(kept), len(keys[i]), len(keys[i]) - len(kept))
+            assert (got[i].c3, got[i].c0, got[i].c1) == ("\n".join(kept), len(keys[i]), len(keys[i]) - len(kept))
     assert sum(1 for k in gone) == 2
 
 
 def test_two_filters_never_lose_a_repeat():
     rng = np.random.default_rng(5)
-    parts = [linededup.TwoFilters(1 << 12) for _ in range(4)]
+    both = linededup.TwoFilters(1 << 12)
     hashes = rng.integers(0, 1 << 63, 300, dtype=np.uint64)
-    for i, p in enumerate(parts):
-        p.add(hashes[i * 60 : i * 60 + 120])
-    _, twice = linededup.TwoFilters.merged((p.once, p.twice) for p in parts)
-    assert linededup.TwoFilters.has(twice, linededup.probes(hashes[60:240], 1 << 12)).all()
+    for i in range(4):
+        both.add(hashes[i * 60 : i * 60 + 120])
+    assert both.has(both.twice, linededup.probes(hashes[60:240], 1 << 12)).all()
+
+
+def test_suspects_stay_a_small_share_at_any_size(spark):
+    for n in (2_000, 40_000):
+        docs = frame(spark, [f"line number {i} of a text that has no line twice" for i in range(n)] + ["this very line is in three documents of the table"] * 3)
+        found = linededup.suspected(docs.select("text"), chunk_bytes=1 << 16, range_bytes=1 << 17).count()
+        assert 1 <= found <= 1 + n // 100
+
+
+def test_lines_are_counted_by_documents_and_names_may_clash(spark):
+    line = "a line of more than forty code points, of which there is enough"
+    rows = [(1, line), (2, line), (1, line), (2, line + "\nend"), (None, line), (3, "x")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("1 as c0", "*", "2 as _n_lines", "3 as d", "4 as _d", "5 as own", "text as key")
+    for how in ({}, {"broadcast_bytes": 0}):
+        kept = linededup.drop_repeated_lines(docs, **how)
+        assert kept.columns == docs.columns
+        assert sorted(kept.collect(), key=str) == sorted(docs.collect(), key=str)
+        lost = linededup.drop_repeated_lines(docs, min_docs=2, **how)
+        assert sorted((r.doc_id or 0, r.text) for r in lost.collect()) == [(0, ""), (1, ""), (1, ""), (2, line), (2, line + "\nend"), (3, "x")]
 
 
 def test_warc_round_trip(spark, tmp_path):
@@ -397,6 +486,44 @@ def test_sketches_match_brute_force(spark):
     assert rows[None].near_next == 0.0 and all(0 <= r.near_edited <= 1 for r in rows.values())
 
 
+def test_sketches_keep_the_fraction_merge_and_contain(spark):
+    rng = np.random.default_rng(11)
+    words = [f"w{x}" for x in rng.integers(0, 10**6, 3000)]
+    texts = [" ".join(words), " ".join(words[1000:1030]), " ".join(words[:2000]), " ".join(words[1500:]), "", "one two", " ".join(words[:70])]
+    rows = sketches.sketches(frame(spark, texts))
+    every = {r.doc_id: set(r.sketch.hashes) for r in sketches.sketches(frame(spark, texts), scale=1).collect()}
+    found = {r.doc_id: r.sketch for r in rows.collect()}
+    limit = sketches.LOWEST + (1 << 64) // sketches.SCALE
+    for i, t in enumerate(texts):
+        whole = len(t.split()) - 4 <= sketches.WHOLE
+        assert found[i].scale == (1 if whole else sketches.SCALE)
+        assert found[i].hashes == sorted(h for h in every[i] if whole or h < limit)
+    pair = rows.alias("a").join(rows.alias("b"), F.col("a.doc_id") != F.col("b.doc_id"))
+    inside = {(r[0], r[1]): r for r in pair.select("a.doc_id", "b.doc_id", sketches.containment(F.col("a.sketch"), F.col("b.sketch")), sketches.likeness(F.col("a.sketch"), F.col("b.sketch"))).collect()}
+    for (i, j), r in inside.items():
+        common = len(every[i] & every[j])
+        assert r[2] == pytest.approx(common / len(every[i]) if every[i] else 1.0, abs=0.1)
+        assert r[3] == pytest.approx(common / len(every[i] | every[j]) if every[i] | every[j] else 1.0, abs=0.1)
+    assert inside[1, 0][2] == 1.0  # a short text in a hundred times longer one
+    both = rows.filter("doc_id in (2, 3)").agg(sketches.merged(F.col("sketch")).alias("s")).first().s
+    assert (both.scale, both.hashes) == (sketches.SCALE, sorted(h for h in every[2] | every[3] if h < limit))
+    mixed = rows.filter("doc_id in (1, 2)").agg(sketches.merged(F.col("sketch")).alias("s")).first().s
+    assert mixed.hashes == sorted(h for h in every[1] | every[2] if h < limit)
+
+
+def test_sketch_runs_follow_uneven_ids(spark):
+    ids = [0, 1, 2, 3] + [10**12 + i for i in range(3000)] + [5 * 10**15]
+    docs = spark.createDataFrame([(i, f"text {i}") for i in ids] + [(None, "x")] * 3, "doc_id long, text string")
+    runs = docs.withColumn("run", sketches._runs(docs, 300_000)).toPandas()
+    assert runs.groupby("run").size().max() < 300
+    runs = runs.dropna().sort_values("doc_id")
+    assert runs["run"].is_monotonic_increasing
+    rows = {r.doc_id: r for r in sketches.edited_pairs(docs).collect() if r.doc_id is not None}
+    for i, after in zip(sorted(ids, reverse=True), sorted(ids, reverse=True)[1:]):
+        t, n = f"text {i}", len(f"text {i}")
+        assert rows[i].edited_sha256 == hashlib.sha256((t[: n - n // 2] + f"text {after}"[: n // 2]).encode()).hexdigest()
+
+
 def test_packing_is_whole_gapless_and_near_the_bound(spark):
     texts = [None, "", "short", "<|endoftext|> special", "word " * 3000] + [f"text {i} " * (i % 90 + 1) for i in range(300)]
     rows = packing.pack_documents(frame(spark, texts), generations=3, epochs=1).toPandas()
@@ -415,17 +542,103 @@ def test_packing_is_whole_gapless_and_near_the_bound(spark):
     assert rows["sequence_id"].nunique() <= -(-rows["length"].sum() // 1024) + 1
 
 
+def contents(patterns):
+    return sum((Counter({s: n * c for s, n in Counter(p).items()}) for p, c in patterns), Counter())
+
+
+def triplets(rng, bins, capacity):
+    """Lengths that fill bins exactly, three to a bin, which best fit cannot see."""
+    out = []
+    for _ in range(bins):
+        a = rng.randint(38 * capacity // 100, 49 * capacity // 100)
+        b = rng.randint((capacity - a) // 2 - 60, (capacity - a) // 2)
+        out += [a, b, capacity - a - b]
+    return Counter(out)
+
+
 def test_genetic_operators_keep_every_length():
     import random
 
     rng = random.Random(1)
-    lengths = [rng.randint(1, 100) for _ in range(200)]
-    a, b = packing.started(lengths, 100, 2, 0)
-    for child in (packing.crossover(a, b, 100, rng), packing.mutated(a, 100, rng), packing.evolved([a, b], 100, 3, 0)[0]):
-        assert Counter(s for bin_ in child for s in bin_) == Counter(lengths) and max(map(sum, child)) <= 100
-    counts = Counter(lengths)
-    patterns = packing.best_fit_histogram(dict(counts), 100)
-    assert sum((Counter({s: n * c for s, n in Counter(p).items()}) for p, c in patterns), Counter()) == counts
+    counts = Counter(rng.randint(1, 100) for _ in range(200)) + Counter({37: 5000, 3: 1})
+    a, b = packing.started(counts, 100, 2, 0)
+    for child in (a, b, packing.crossover(a, b, counts, 100, rng), packing.mutated(a, counts, 100, rng), packing.evolved([a, b], counts, 100, 3, 0)[0]):
+        assert contents(child) == counts and max(sum(p) for p, _ in child) <= 100
+
+
+def test_evolved_packings_need_fewer_bins_than_best_fit(spark):
+    import random
+
+    rng = random.Random(2)
+    for counts in (triplets(rng, 60, 1024), Counter({s: 40 * n for s, n in triplets(rng, 40, 1024).items()})):
+        found = packing.plan(spark, dict(counts), 1024, islands=2, epochs=2)
+        plain = packing.bins_of(packing.best_fit(counts, 1024))
+        assert contents(found) == counts and max(sum(p) for p, _ in found) <= 1024
+        assert packing.bins_of(found) <= plain - plain // 40
+    assert packing.plan(spark, {1024: 7}, 1024) == [((1024,), 7)] and packing.plan(spark, {}, 1024) == []
+
+
+def test_packing_is_best_on_small_cases(spark):
+    """Against the least number of bins by trying all."""
+    import random
+
+    def least(lengths, bins=()):
+        if not lengths:
+            return len(bins)
+        s, rest = lengths[0], lengths[1:]
+        return min([least(rest, tuple(sorted((*bins[:i], b + s, *bins[i + 1 :])))) for i, b in enumerate(bins) if b + s <= 20] + [least(rest, (*bins, s))])
+
+    rng = random.Random(3)
+    for _ in range(3):
+        lengths = sorted((rng.randint(3, 13) for _ in range(9)), reverse=True)
+        assert packing.bins_of(packing.plan(spark, Counter(lengths), 20, islands=2, epochs=1)) == least(lengths)
+
+
+def test_fast_ids_are_those_of_the_named_tokenizer():
+    import pyarrow.parquet as pq
+    from tokenizers import Tokenizer
+
+    texts = [t or "" for t in pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["text"]).column("text").to_pylist()]
+    texts += ["", " ", "\n\n a", "<|endoftext|>", "a<|endoftext|>b", "e\u0301\u200d\U0001f600", "x" * 300]
+    names = packing.default_tokenizer()
+    slow = Tokenizer.from_file(names[0])
+    assert [list(x) for x in packing.encoder(*names)(texts)] == [e.ids for e in slow.encode_batch(texts, add_special_tokens=False)]
+
+
+def test_items_with_several_texts_and_many_passes_give_one_row(spark):
+    rng = np.random.default_rng(4)
+    word = lambda: "".join(rng.choice(list("abcdefgh"), 6))
+    first, second, other = (" ".join(word() for _ in range(12)) for _ in range(3))
+    items = spark.createDataFrame([(1, first), (1, second), (2, other), (1, first), (None, other), (3, None)], "item_id long, text string").withColumn("doc_id", F.lit(9))
+    changed = second.replace(second.split()[5], "zzzzzz")
+    docs = frame(spark, [f"{first} and {changed}", other, f"x {changed}", "clean", None]).selectExpr("*", "1 as item_id", "2 as distance", "3 as end_at")
+    for bound in (1 << 20, 90, 1):
+        rows = sorted((r.doc_id, r.item_id, r.distance) for r in decontaminate.contaminated(docs, items, broadcast_bytes=bound).collect())
+        assert [x[:2] for x in rows] == [(0, 1), (1, 2), (2, 1)] and rows[0][2] == 0 and 0 < rows[2][2] <= 6
+    kept = decontaminate.drop_contaminated(docs.unionByName(docs), items)
+    assert kept.columns == docs.columns and [r.doc_id for r in kept.orderBy("doc_id").collect()] == [3, 3, 4, 4]
+
+
+def test_budget_may_be_wider(spark):
+    item = "the quick brown fox jumps over the lazy dog while seven wise owls watch"
+    edited = item.replace("quick", "quack").replace("lazy", "azy").replace("wise", "wide").replace("watch", "witch").replace("brown", "crown").replace("seven", "even").replace("jumps", "jump")
+    assert not decontaminate.Matcher([(1, item)], 11).find(edited) and decontaminate.Matcher([(1, item)], 8).find(edited)
+
+
+def test_very_long_texts(spark):
+    """Megabytes in one row, through every operator on documents."""
+    long = " ".join(f"word{i % 7919} line{i % 13}" for i in range(150_000))
+    docs = frame(spark, [long, long[: len(long) // 2], "short one", None])
+    assert simhash.near_duplicates(docs).count() == 4
+    assert {r.doc_id for r in simhash.drop_near_duplicates(docs).collect()} >= {0, 2, 3}
+    assert linededup.line_report(docs).count() == 4
+    assert sketches.edited_pairs(docs).count() == 4
+    assert sharding.shard_documents(docs, 3).count() == 4
+    assert packing.pack_documents(docs, islands=1, epochs=1, generations=1).select("doc_id").distinct().count() == 4
+    assert ppm.score_documents(docs).count() == 4
+    assert langid.predict(docs, langid.learn(docs)).count() == 4
+    assert toxicity.score_documents(docs, toxicity.Lexicon()).count() == 4
+    assert decontaminate.contaminated(docs, spark.createDataFrame([(1, "word7918 line0 word0 line")], "item_id long, text string")).count() <= 2
 
 
 def test_extra_columns_with_clashing_names_and_repeated_rows(spark):
@@ -439,3 +652,9 @@ def test_extra_columns_with_clashing_names_and_repeated_rows(spark):
     assert packing.pack_documents(docs).count() == 6
     assert ppm.score_documents(docs).count() == 6
     assert langid.predict(docs, langid.learn(docs)).count() == 6
+    labels = spark.createDataFrame([(0, 1, 1), (0, 1, 0), (1, 0, 0), (None, 1, 1)], "doc_id long, quality int, toxic int").selectExpr("*", "1 as text", "2 as score", "3 as n")
+    labels = labels.unionByName(labels)
+    lexicon = toxicity.learn(docs, labels)
+    assert toxicity.score_documents(docs, lexicon).count() == 6 and toxicity.drop_toxic(docs, lexicon).columns == docs.columns
+    pages = spark.createDataFrame([(1, "u", "x" * 2000, 5), (1, "u", "x" * 2000, 5), (2, None, None, 6)], "page_id long, url string, html string, payload int").selectExpr("*", "1 as segment", "2 as status")
+    assert warc.round_trip(spark, pages).count() == 3

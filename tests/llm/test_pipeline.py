@@ -39,3 +39,18 @@ def test_planted_cases_go_and_clean_documents_stay(spark, tmp_path):
     assert seen["simhash_near_dedup"] == seen["line_dedup"] - {30, 31}
     assert seen["benchmark_decontamination"] == seen["simhash_near_dedup"] - {38, 39}
     assert seen["best_fit_packing"] == seen["benchmark_decontamination"]
+
+
+def test_stages_on_empty_tables_nulls_repeats_and_clashing_names(spark, tmp_path):
+    ddl = "doc_id long, text string, lang string, source string, n_chars long"
+    spark.createDataFrame([], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    none = spark.createDataFrame([], ddl)
+    some = spark.createDataFrame([(1, "a text of a few words", "en", "s", 21)] * 2 + [(None, None, None, None, None), (None, "", "de", None, 0), (2, "\n\n", None, "s", 2)], ddl)
+    some = some.selectExpr("*", "1 as fp", "2 as gone", "3 as c0", "4 as key", "5 as score", "6 as length", "7 as shard", "8 as rep")
+    for name, stage in corpus_pipeline.STAGES:
+        assert stage(spark, none, str(tmp_path)).count() == 0, name
+        found = stage(spark, some, str(tmp_path))
+        assert found.count() == 5, name
+        if name != "best_fit_packing":
+            assert found.columns == some.columns, name
