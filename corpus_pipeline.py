@@ -16,7 +16,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Long lines that five documents or more hold stay in one; n_chars is that of the text that is left."""
-    kept = linededup.drop_repeated_lines(spread(docs)).drop("_n_lines", "_n_dropped")
+    kept = linededup.drop_repeated_lines(spread(docs))
     return linededup.with_length(kept)
 
 
