@@ -8,6 +8,7 @@ from hashlib import md5
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -20,7 +21,7 @@ from landmark_kkm.operators.coefficients import KernelColumns, leading
 from landmark_kkm.operators.embed import embed
 from landmark_kkm.operators.landmarks import Landmarks, collect_landmarks, sample_landmarks
 from landmark_kkm.operators.vectors import PARTIAL_DDL, lists_of, matrix_of, merged, summed_by_key
-from landmark_kkm.session import ship
+from landmark_kkm.session import ship, splits
 
 
 def _landmarks(ds: DataFrame, l: int, seed: int, landmarks: Landmarks | None) -> Landmarks:
@@ -29,13 +30,13 @@ def _landmarks(ds: DataFrame, l: int, seed: int, landmarks: Landmarks | None) ->
 
 def span_kkm(ds: DataFrame, kernel: Kernel, k: int, l: int, max_iter: int = 20, seed: int = 42, landmarks: Landmarks | None = None, rtol: float = 1e-10, **how) -> tuple[DataFrame, ClusterModel]:
     """Kernel k-means whose centroids are combinations of l sampled rows: their kernel values are stored for every row, and each iteration solves the
-    centroids' weights through the pseudo-inverse of the landmark kernel. Returns (ds with y, model). Given the same landmarks and start it assigns as
-    a full-rank Nystrom embedding does."""
+    centroids' weights through the pseudo-inverse of the landmark kernel. Returns (ds with y, model); y is persisted, for the caller to give back.
+    Given the same landmarks and start it assigns as a full-rank Nystrom embedding does."""
     landmarks = _landmarks(ds, l, seed, landmarks)
     gram = kernel.matrix(landmarks.rows, landmarks.rows)
     values, vectors = leading(gram, rtol)
     inverse = vectors / values @ vectors.T
-    y = embed(ds, KernelColumns().fit(landmarks, kernel), kernel, "fused", kind="double")
+    y = embed(ds, KernelColumns().fit(landmarks, kernel), kernel, "fused", kind="double").persist(StorageLevel.MEMORY_AND_DISK)
     return y, cluster(y, k, "span", max_iter=max_iter, seed=seed, extra=inverse, **how)
 
 
@@ -48,17 +49,20 @@ def _hashed_uniforms(count: int, seed: int, which: str) -> np.ndarray:
 class FourierFeatures:
     """D random frequencies, 2 D features (cosines, then sines) whose inner products approach a shift-invariant kernel: RBF takes normal draws, the Laplacian Cauchy draws.
 
-    Few frequencies come from hashes (so that SQL can draw them too), many from a seeded generator."""
+    draws is "seeded" (a generator) or "md5" (hashes, which SQL can draw too); the number of frequencies does not change the draws."""
 
     D: int = 500
     kernel: Kernel | None = None
     seed: int = 42
+    draws: str = "seeded"
 
     def frequencies(self, d: int) -> np.ndarray:
         if not isinstance(self.kernel, (Rbf, Laplacian)):
             raise ValueError("random Fourier features need a shift-invariant kernel (RBF or Laplacian)")
         n = self.D * d
-        if n <= 200_000:
+        if self.draws not in ("seeded", "md5"):
+            raise ValueError("draws is seeded or md5")
+        if self.draws == "md5":
             u, v = _hashed_uniforms(n, self.seed, "u"), _hashed_uniforms(n, self.seed, "v")
         else:
             u, v = np.random.default_rng(self.seed).random((2, n)) + 2.0**-60
@@ -114,7 +118,7 @@ def gram_of_features(y: DataFrame) -> np.ndarray:
             n = len(total)
             yield from summed_by_key(iter([pa.RecordBatch.from_arrays([lists_of(total, pa.float64())], names=["y"])]), lambda b: (np.arange(n), matrix_of(b.column("y")), np.ones(n), np.zeros(n), np.zeros(n, np.int64)))
 
-    found = merged(y.select("y").mapInArrow(rows, PARTIAL_DDL), y.rdd.getNumPartitions())
+    found = merged(y.select("y").mapInArrow(rows, PARTIAL_DDL), splits(y))
     return np.array([r["z"] for r in found])
 
 

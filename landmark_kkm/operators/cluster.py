@@ -14,23 +14,29 @@ from pyspark.sql import types as T
 
 from landmark_kkm.operators.landmarks import digest
 from landmark_kkm.operators.vectors import PARTIAL_DDL, matrix_of, merged, summed_by_key
-from landmark_kkm.session import ship
+from landmark_kkm.session import ship, splits
 
 #: Rows that k-means++ looks at, on the driver.
 SEEDING_ROWS = 5000
-#: Cells (rows times clusters times dimensions) of one step of l1 distances.
-CELLS = 1 << 21
+#: Numbers of one step of l1 distances, which stay in a core's cache.
+CELLS = 1 << 16
 
 
 def costs(y: np.ndarray, centroids: np.ndarray, discrepancy: str, extra: np.ndarray | None = None) -> np.ndarray:
     """A row's cost for each cluster: squared l2, l1, or (span) the squared kernel distance less the row's own term, extra being the inverse landmark kernel."""
     if discrepancy == "l2":
-        return np.maximum((y * y).sum(1)[:, None] - 2 * y @ centroids.T + (centroids * centroids).sum(1), 0)
+        return np.maximum(np.einsum("ij,ij->i", y, y)[:, None] - 2 * (y @ centroids.T.astype(y.dtype)) + (centroids * centroids).sum(1), 0)
     if discrepancy == "l1":
-        out = np.empty((len(y), len(centroids)))
-        step = max(1, CELLS // max(1, centroids.size))
-        for at in range(0, len(y), step):
-            out[at : at + step] = np.abs(y[at : at + step, None, :] - centroids).sum(2)
+        n, m = y.shape
+        out, step = np.empty((n, len(centroids)), y.dtype), max(1, CELLS // max(1, m))
+        centroids, ones, held = centroids.astype(y.dtype), np.ones(m, y.dtype), np.empty((min(step, max(n, 1)), m), y.dtype)
+        for at in range(0, n, step):
+            part = y[at : at + step]
+            gap = held[: len(part)]
+            for c, centroid in enumerate(centroids):
+                np.subtract(part, centroid, out=gap)
+                np.abs(gap, out=gap)
+                out[at : at + step, c] = gap @ ones
         return out
     if discrepancy == "span":
         alpha = centroids @ extra
@@ -62,7 +68,7 @@ class ClusterModel:
                 best = cost.argmin(1)
                 least = cost[np.arange(len(best)), best]
                 dist = np.sqrt(np.maximum(least, 0)) if discrepancy == "l2" else least
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(best.astype(np.int32)), pa.array(dist)], names=[*keep, "cluster", "dist"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(best.astype(np.int32)), pa.array(dist.astype(float))], names=[*keep, "cluster", "dist"])
 
         return ds.mapInArrow(label, T.StructType([ds.schema[c] for c in keep] + [T.StructField("cluster", T.IntegerType()), T.StructField("dist", T.DoubleType())]))
 
@@ -114,7 +120,7 @@ def first_centroids(ds: DataFrame, k: int, init, discrepancy: str, seed: int, re
             n = len(y)
             return batch.column("_key").to_numpy(), y, np.ones(n), np.zeros(n), np.zeros(n, np.int64)
 
-        rows = merged(ds.mapInArrow(lambda it: summed_by_key(it, of), PARTIAL_DDL), ds.rdd.getNumPartitions())
+        rows = merged(ds.mapInArrow(lambda it: summed_by_key(it, of), PARTIAL_DDL), splits(ds))
         if len(rows) < k:
             raise ValueError("fewer rows than clusters")
         return np.array([np.array(r["z"]) / r["g"] for r in rows])
@@ -145,7 +151,7 @@ def cluster(
     ship(spark)
     centroids = first_centroids(ds, k, init, discrepancy, seed, reader, extra)
     sizes, before, history = np.zeros(k), None, []
-    partitions = ds.rdd.getNumPartitions()
+    partitions = splits(ds)
     for step in range(max_iter):
         held = spark.sparkContext.broadcast((centroids, before if tol is not None else None, extra, reader))
 

@@ -13,7 +13,7 @@ from pyspark.sql import types as T
 from landmark_kkm.functions.kernels import Kernel
 from landmark_kkm.functions.payloads import from_arrow
 from landmark_kkm.operators.coefficients import CoefficientBlock
-from landmark_kkm.operators.vectors import lists_of
+from landmark_kkm.operators.vectors import lists_of, packed_rows
 from landmark_kkm.session import materialize, ship
 
 #: Bytes of one block and, for "auto", of all blocks that a worker may hold.
@@ -37,13 +37,15 @@ def embedded(x: pa.Array, blocks: list[CoefficientBlock], kernel: Kernel) -> np.
 def _portions(batches: Iterator[pa.RecordBatch], held, name: str, keep: list[str], kind: str) -> Iterator[pa.RecordBatch]:
     blocks, kernel = held.value
     for batch in batches:
-        y = lists_of(embedded(batch.column("x"), blocks, kernel), pa.float32() if kind == "float" else pa.float64())
+        y = embedded(batch.column("x"), blocks, kernel)
+        y = packed_rows(y) if kind == "packed" else lists_of(y, pa.float32() if kind == "float" else pa.float64())
         yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), y], names=[*keep, name])
 
 
 def _pass(ds: DataFrame, blocks: list[CoefficientBlock], kernel: Kernel, name: str, keep: list[str], kind: str) -> DataFrame:
     held = ds.sparkSession.sparkContext.broadcast((blocks, kernel))
-    schema = T.StructType([ds.schema[c] for c in keep] + [T.StructField(name, T.ArrayType(T.FloatType() if kind == "float" else T.DoubleType(), False))])
+    of = T.BinaryType() if kind == "packed" else T.ArrayType(T.FloatType() if kind == "float" else T.DoubleType(), False)
+    schema = T.StructType([ds.schema[c] for c in keep] + [T.StructField(name, of)])
     return ds.mapInArrow(lambda it: _portions(it, held, name, keep, kind), schema)
 
 
@@ -52,7 +54,7 @@ def embed(ds: DataFrame, blocks: list[CoefficientBlock], kernel: Kernel, mode: s
 
     "fused" holds all blocks in one pass. "rounds" is one narrow step for each block and a concatenation (all steps run in one stage, so this shows the
     structure but bounds no memory). "staged" writes each portion to the shared folder before the next block is loaded, so that a worker holds one block.
-    "auto" fuses where the blocks fit together."""
+    "auto" fuses where the blocks fit together. kind is that of y: lists of "float" or "double", or "packed" bytes of floats, which the loop reads fastest."""
     ship(ds.sparkSession)
     sizes = [b.nbytes for b in blocks]
     if max(sizes) > max_block_bytes:

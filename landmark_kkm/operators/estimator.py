@@ -10,7 +10,6 @@ from functools import partial
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel
 from pyspark.ml import Estimator, Model
 from pyspark.ml.param import Param, Params, TypeConverters
 from pyspark.sql import DataFrame, SparkSession
@@ -21,6 +20,7 @@ from landmark_kkm.operators.coefficients import CoefficientBlock, EmbeddingFamil
 from landmark_kkm.operators.embed import embed, embedded
 from landmark_kkm.operators.landmarks import collect_landmarks, sample_landmarks
 from landmark_kkm.operators.ledger import CostLedger, centroid_bytes, embed_bytes, iteration_bytes
+from landmark_kkm.session import forced, splits
 
 
 def _read_embedded(blocks: list[CoefficientBlock], kernel: Kernel, batch: pa.RecordBatch) -> np.ndarray:
@@ -80,12 +80,11 @@ class ScalableKernelKMeans(Estimator, _Settings):
         how = {"discrepancy": family.discrepancy, "init": p["init"], "max_iter": p["maxIter"], "tol": p["tol"] if p["tol"] >= 0 else None, "seed": p["seed"]}
         if p["storeEmbedding"]:
             with ledger.timed("embed", broadcast_bytes=embed_bytes(blocks)):
-                y = embed(ds.select("id", "x"), blocks, kernel).persist(StorageLevel.MEMORY_AND_DISK)
-                y.write.format("noop").mode("overwrite").save()
+                y = forced(embed(ds.select("id", "x"), blocks, kernel, kind="packed"))
             rows, reader = y, None
         else:
             rows, reader = ds.select("id", "x"), partial(_read_embedded, blocks, kernel)
-        parts = rows.rdd.getNumPartitions()
+        parts = splits(rows)
         with ledger.timed("cluster", broadcast_bytes=centroid_bytes(p["k"], m) * p["maxIter"], shuffle_bytes=iteration_bytes(parts, p["k"], m) * p["maxIter"]):
             model = cluster(rows, p["k"], reader=reader, **how)
         model.reader = None

@@ -10,9 +10,10 @@ from pyspark.sql.window import Window
 def asof_join(left: DataFrame, right: DataFrame, left_time: str, right_time: str, by: list[str] | None = None, values: list[str] | None = None) -> DataFrame:
     """left with the values of the last right row (of the same `by`) at or before its time; null if there is none.
 
-    One union and one window, so one shuffle by the keys; no pair of rows is formed. Without keys all rows go to one task: give `by` for large tables.
+    One union and one window, so one shuffle by the keys; no pair of rows is formed. Without keys all rows would go to one task, so `by` must be given.
     Of right rows with one time, that with the greatest values counts."""
-    by = by or []
+    if not by:
+        raise ValueError("an as-of join needs keys: without them one task would sort all rows")
     values = values or [c for c in right.columns if c not in (*by, right_time)]
     a = left.withColumn("_t", F.col(left_time)).withColumn("_right", F.lit(0)).withColumn("_v", F.lit(None).cast(right.select(F.struct(*values)).schema[0].dataType))
     b = right.select(*by, F.col(right_time).alias("_t"), F.lit(1).alias("_right"), F.struct(*values).alias("_v"))

@@ -17,10 +17,15 @@ _SCHEMA = pa.schema([("key", pa.int32()), ("part", pa.int32()), ("z", pa.list_(p
 
 
 def matrix_of(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
-    """A list column of equal lengths as rows of float64."""
+    """A list column of equal lengths as rows of float64, or a packed column as rows of float32."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     n = len(column)
+    if pa.types.is_binary(column.type):
+        if not n:
+            return np.zeros((0, 0), np.float32)
+        ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + n + 1]
+        return np.frombuffer(column.buffers()[2], np.uint8)[ends[0] : ends[-1]].view("<f4").reshape(n, -1)
     values = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
     return values.reshape(n, -1) if n else np.zeros((0, 0))
 
@@ -31,6 +36,13 @@ def lists_of(rows: np.ndarray, kind: pa.DataType) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * m), pa.array(rows.ravel(), kind))
 
 
+def packed_rows(rows: np.ndarray) -> pa.Array:
+    """Rows as a binary column, 4 bytes a number: what the loop reads in each iteration, without a list to take apart."""
+    rows = np.ascontiguousarray(rows, "<f4")
+    n, m = rows.shape
+    return pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer(np.arange(n + 1, dtype=np.int32) * 4 * m), pa.py_buffer(rows)])
+
+
 class Partials:
     """Sums of vectors by key inside a partition; at most one row for each key leaves it. The farthest vector goes along only where it is asked for."""
 

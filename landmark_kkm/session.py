@@ -2,19 +2,25 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import re
+import shutil
 import tempfile
 import uuid
 import zipfile
 from pathlib import Path
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
+_MADE: list[str] = []
 
 
 def local_session(cores: int | str = 8, shuffle_partitions: int = 8, **conf: str) -> SparkSession:
-    """A local session with the settings that tests and the bench use."""
+    """A local session with the settings that tests and the bench use. Each Python worker has one thread, as there is one for each core."""
+    os.environ.setdefault("OMP_NUM_THREADS", "1")
     builder = (
         SparkSession.builder.master(f"local[{cores}]")
         .config("spark.sql.shuffle.partitions", str(shuffle_partitions))
@@ -44,18 +50,33 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or an own one where that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or the checkpoint folder that was set. A local session without either gets one that goes with the process."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         context = spark.sparkContext._jsc.sc()
         if not context.getCheckpointDir().isDefined():
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint"))
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+            own = tempfile.mkdtemp(prefix="checkpoint")
+            atexit.register(shutil.rmtree, own, ignore_errors=True)
+            spark.sparkContext.setCheckpointDir(own)
         base = context.getCheckpointDir().get()
     return base.rstrip("/")
 
 
 def new_path(spark: SparkSession, what: str) -> str:
-    return f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
+    _MADE.append(path)
+    return path
+
+
+def clean_up(spark: SparkSession) -> int:
+    """Delete what this process wrote to the shared folder, once no DataFrame that reads it is needed any more; the number of folders."""
+    count = 0
+    while _MADE:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_MADE.pop())
+        count += bool(path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True))
+    return count
 
 
 def materialize(df: DataFrame, what: str = "step") -> DataFrame:
@@ -65,10 +86,31 @@ def materialize(df: DataFrame, what: str = "step") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def splits(df: DataFrame) -> int:
+    """The partitions of df, without running anything: where a shuffle makes them, as many as shuffles have."""
+    plan = df._jdf.queryExecution().executedPlan().toString().split("InMemoryRelation")[0]  # what is cached has its partitions
+    if re.search(r"Exchange (hash|range|single|RoundRobin|SinglePartition)", plan):
+        return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return df.rdd.getNumPartitions()
+
+
 def spread(df: DataFrame) -> DataFrame:
     """Deal a scan of few splits over all cores; larger scans stay as they are."""
     wanted = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(wanted) if df.rdd.getNumPartitions() < wanted else df
+    return df.repartition(wanted) if splits(df) < wanted else df
+
+
+def forced(df: DataFrame) -> DataFrame:
+    """df, persisted and evaluated, over all cores: what adaptive execution has packed into fewer partitions is dealt anew, as each iteration runs on them."""
+    df = df.persist(StorageLevel.MEMORY_AND_DISK)
+    df.write.format("noop").mode("overwrite").save()
+    wanted = df.sparkSession.sparkContext.defaultParallelism
+    if df.rdd.getNumPartitions() >= wanted:
+        return df
+    dealt = df.repartition(wanted).persist(StorageLevel.MEMORY_AND_DISK)
+    dealt.write.format("noop").mode("overwrite").save()
+    df.unpersist()
+    return dealt
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -20,6 +20,10 @@ LINE_STATUS = ("F", "O")
 ORDER_STATUS = ("F", "O", "P")
 
 
+#: Tasks that the pairs of one hour are dealt over.
+SALTS = 4
+
+
 def hash_id(*columns: str) -> Column:
     """60 bits of md5 over integer columns joined by a colon."""
     return F.conv(F.substring(F.md5(F.concat_ws(":", *[F.col(c).cast("string") for c in columns])), 1, 15), 16, 10).cast("long")
@@ -159,10 +163,13 @@ def strings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def event_graph(spark: SparkSession, sf_dir: str, least: int = 2) -> DataFrame:
-    """(src, dst, weight): users by the number of hours in which both have events, `least` or more. An hour's users are few, as its events are."""
+    """(src, dst, weight): users by the number of hours in which both have events, `least` or more.
+
+    The edges are the result, so an hour with u users makes u * u / 2 of them; its pairs are dealt over SALTS tasks, and are added up before they are shuffled."""
     hours = table(spark, sf_dir, "events").select("user_id", F.date_trunc("hour", "ts").alias("h")).distinct()
-    a, b = hours.select(F.col("user_id").alias("src"), "h"), hours.select(F.col("user_id").alias("dst"), "h")
-    return a.join(b, "h").filter("src < dst").groupBy("src", "dst").agg(F.count("*").alias("weight")).filter(F.col("weight") >= least)
+    a = hours.select(F.col("user_id").alias("src"), "h", F.pmod(F.xxhash64("user_id"), F.lit(SALTS)).alias("salt"))
+    b = hours.select(F.col("user_id").alias("dst"), "h", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    return a.join(b, ["h", "salt"]).filter("src < dst").groupBy("src", "dst").agg(F.count("*").alias("weight")).filter(F.col("weight") >= least)
 
 
 def labelled_text(spark: SparkSession, sf_dir: str, **how) -> DataFrame:

@@ -25,16 +25,22 @@ def read_stream(spark: SparkSession, path: str, name: str, files_per_trigger: in
 
 
 def run_available(df: DataFrame, mode: str = "append", query_name: str | None = None) -> DataFrame:
-    """Process what there is and return the result as a table in the shared folder (append), or in memory (complete, update)."""
-    spark = df.sparkSession
+    """Process what there is and return the result as a table in the shared folder: all rows (append), the rows of each batch (update), or the last batch (complete)."""
+    spark, path, batches = df.sparkSession, new_path(df.sparkSession, "sink"), []
     writer = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", new_path(spark, "stream"))
     if mode == "append":
-        path = new_path(spark, "sink")
         writer.format("parquet").option("path", path).start().awaitTermination()
         return spark.read.schema(df.schema).parquet(path)
-    name = query_name or f"sink_{abs(hash(new_path(spark, 'q'))) % 10**9}"
-    writer.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{number}")
+        batches.append(f"{path}/{number}")
+
+    writer = writer.queryName(query_name) if query_name else writer
+    writer.foreachBatch(write).start().awaitTermination()
+    if not batches:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*(batches[-1:] if mode == "complete" else sorted(set(batches))))
 
 
 def score(stream: DataFrame, model: ClusterModel, embedder: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:

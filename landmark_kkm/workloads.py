@@ -6,7 +6,6 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,11 +17,19 @@ from landmark_kkm.operators.embed import embed
 from landmark_kkm.operators.exact import exact_kkm
 from landmark_kkm.operators.landmarks import collect_landmarks, sample_landmarks
 from landmark_kkm.operators.ledger import CostLedger, centroid_bytes, embed_bytes, iteration_bytes
+from landmark_kkm.session import forced, splits
 from landmark_kkm.sources import features
 
 MEDIUM = ("fourier", "fourier_svd", "span_kkm", "nystrom", "stable")
 LARGE = ("sample_propagate", "nystrom", "stable")
-RUN_DDL = "workload string, method string, l int, m int, k int, seed int, nmi double, agreement double, embed_s double, cluster_s double, broadcast_bytes long, shuffle_bytes long"
+RUN_DDL = (
+    "workload string, method string, l int, m int, k int, seed int, nmi double, agreement double, embed_s double, cluster_s double, label_s double, "
+    "iterations int, cost_falls boolean, broadcast_bytes long, shuffle_bytes long"
+)
+#: Methods that no number of landmarks changes: they run once, and their row stands for each l, as in the published tables.
+WITHOUT_LANDMARKS = ("fourier", "fourier_svd")
+#: Rows that the width of a workload's kernel is tuned on.
+TUNING_ROWS = 1000
 
 
 @dataclass
@@ -39,6 +46,7 @@ class Workload:
     t: float = 0.4
     D: int = 500
     max_iter: int = 20
+    tol: float | None = None
     exact: bool = False
     label: str = "cls"
     how: dict = field(default_factory=dict)
@@ -50,83 +58,88 @@ WORKLOADS = {
     "w3": Workload("w3", lambda s, d: features.dense(s, d, 16.0), 10, MEDIUM[2:], kernel=Neural(0.0045, 0.11), exact=True),
     "w4": Workload("w4", features.text_grams, 4, MEDIUM[2:], kernel=Polynomial(5, 1.0)),
     "w5": Workload("w5", features.text_sparse, 4, LARGE, l=(500, 1000, 1500), m=500),
+    "w5b": Workload("w5b", features.text_sparse, 103, LARGE, l=(500, 1000, 1500), m=500, label="source"),
     "w6": Workload("w6", features.multivariate, 7, LARGE, l=(500, 1000, 1500), m=500),
     "w7": Workload("w7", lambda s, d: features.multivariate(s, d, wide=True), 164, LARGE, l=(500, 1000, 1500), m=500),
 }
 
 
-def _forced(df: DataFrame) -> DataFrame:
-    df = df.persist(StorageLevel.MEMORY_AND_DISK)
-    df.write.format("noop").mode("overwrite").save()
-    return df
+def kernel_of(ds: DataFrame, w: Workload) -> Kernel:
+    """One kernel for all runs of a workload: its own, or an RBF whose width is tuned on TUNING_ROWS rows, so that runs differ in nothing but method, l and seed."""
+    return w.kernel or Rbf(self_tuned_sigma(collect_landmarks(sample_landmarks(ds.select("id", "x"), TUNING_ROWS)).rows))
 
 
-def one_run(ds: DataFrame, w: Workload, method: str, l: int, seed: int, m: int | None = None, kernel: Kernel | None = None, reference: DataFrame | None = None, **how) -> tuple:
-    """A row of RUN_DDL: the method on ds with its class labels, and its agreement (NMI) with a reference clustering (id, cluster)."""
+def one_run(ds: DataFrame, w: Workload, method: str, l: int, seed: int, kernel: Kernel, m: int | None = None, reference: DataFrame | None = None, **how) -> tuple[tuple, DataFrame]:
+    """A row of RUN_DDL: the method on ds with its class labels, and its agreement (NMI) with a reference clustering (id, cluster); and its own clustering, persisted.
+
+    Embedding, iterations and the last labelling pass are timed apart."""
     m, ledger, bytes_sent, bytes_shuffled = m or w.m, CostLedger(), 0, 0
-    landmarks = collect_landmarks(sample_landmarks(ds.select("id", "x"), l, seed=seed), seed)
-    kernel = kernel or w.kernel or Rbf(self_tuned_sigma(landmarks.rows))
-    loop = {"max_iter": w.max_iter, "seed": seed} | how
-    rows = ds.select("id", "x", "cls")
-    if method == "sample_propagate":
+    loop = {"max_iter": w.max_iter, "tol": w.tol, "seed": seed} | how
+    rows, y, model = ds.select("id", "x", "cls"), None, None
+    if method == "exact_kkm":
         with ledger.timed("cluster"):
-            loop.pop("init", None)
-            result = _forced(baselines.sample_propagate(rows, kernel, w.k, l, seed=seed, landmarks=landmarks).transform(rows))
+            result = forced(exact_kkm(ds.select("id", "x"), kernel, w.k, seed=seed, max_iter=loop["max_iter"]).to_frame(ds.sparkSession).join(ds.select("id", "cls"), "id"))
     else:
+        landmarks = collect_landmarks(sample_landmarks(ds.select("id", "x"), l, seed=seed), seed)
+    if method == "sample_propagate":
+        with ledger.timed("cluster"):
+            labeller = baselines.sample_propagate(rows, kernel, w.k, l, seed=seed, landmarks=landmarks)
+        with ledger.timed("label"):
+            result = forced(labeller.transform(rows))
+    elif method != "exact_kkm":
         discrepancy = "l2"
         with ledger.timed("embed"):
-            if method == "exact_kkm":
+            if method == "span_kkm":
                 pass
-            elif method == "span_kkm":
-                y, model = None, None
             elif method == "fourier":
-                y = _forced(baselines.FourierFeatures(w.D, kernel, seed).transform(rows))
+                y = forced(baselines.FourierFeatures(w.D, kernel, seed).transform(rows))
             elif method == "fourier_svd":
-                y = _forced(baselines.FourierSVD(baselines.FourierFeatures(w.D, kernel, seed)).transform(rows, w.k))
+                y = forced(baselines.FourierSVD(baselines.FourierFeatures(w.D, kernel, seed)).transform(rows, w.k))
             else:
                 family = {"nystrom": Nystrom(m), "stable": StableProjection(m, w.t, seed=seed), "stable_eigen": StableProjection(m, w.t, root="eigen", seed=seed), "nystrom_ensemble": NystromEnsemble(m, 4)}[method]
                 discrepancy = family.discrepancy
                 blocks = family.fit(landmarks, kernel)
                 bytes_sent = embed_bytes(blocks)
-                y = _forced(embed(rows, blocks, kernel))
+                y = forced(embed(rows, blocks, kernel, kind="packed"))
         with ledger.timed("cluster"):
-            if method == "exact_kkm":
-                result = exact_kkm(ds.select("id", "x"), kernel, w.k, seed=seed, max_iter=w.max_iter).to_frame(ds.sparkSession).join(ds.select("id", "cls"), "id")
-            elif method == "span_kkm":
+            if method == "span_kkm":
                 y, model = baselines.span_kkm(rows, kernel, w.k, l, landmarks=landmarks, **loop)
-                result = model.transform(y)
             else:
                 model = cluster(y, w.k, discrepancy, **loop)
-                result = model.transform(y)
-            if method != "exact_kkm":
-                size = model.centroids.shape[1]
-                bytes_sent += centroid_bytes(w.k, size) * len(model.history)
-                bytes_shuffled = iteration_bytes(ds.rdd.getNumPartitions(), w.k, size) * len(model.history)
-            result = _forced(result)
+        with ledger.timed("label"):
+            result = forced(model.transform(y))
+        size = model.centroids.shape[1]
+        bytes_sent += centroid_bytes(w.k, size) * len(model.history)
+        bytes_shuffled = iteration_bytes(splits(ds), w.k, size) * len(model.history)
+        y.unpersist()
     nmi = measures.nmi(result).first()
     agreement = measures.nmi(result.join(reference.select("id", F.col("cluster").alias("other")), "id"), "cluster", "other").first()["nmi"] if reference is not None else None
-    result.unpersist()
-    if method not in ("sample_propagate", "exact_kkm"):
-        y.unpersist()
-    return (w.name, method, l, m, w.k, seed, float(nmi["nmi"]) if nmi else None, agreement, ledger.embed_s, ledger.cluster_s, int(bytes_sent), int(bytes_shuffled))
+    cost = [h["cost"] for h in model.history] if model else []
+    falls = all(b <= a + 1e-5 * abs(a) + 1e-9 for a, b in zip(cost, cost[1:])) if cost and model.discrepancy == "l2" else None
+    figures = ledger.embed_s, ledger.cluster_s, ledger.seconds("label"), len(cost) or None, falls, int(bytes_sent), int(bytes_shuffled)
+    return (w.name, method, l, m, w.k, seed, float(nmi["nmi"]) if nmi else None, agreement, *figures), result
 
 
 def run(spark: SparkSession, sf_dir: str, name: str, l: tuple[int, ...] | None = None, seeds: int = 1, methods: tuple[str, ...] | None = None, with_exact: bool | None = None, **how) -> DataFrame:
-    """A row for each method, number of landmarks and seed; with_exact adds the exact method and every run's agreement with it."""
+    """A row for each method, number of landmarks and seed; with_exact adds the exact method (l is 0) and every run's agreement with it at the same seed."""
     w = WORKLOADS[name]
-    ds = _forced(w.data(spark, sf_dir).select("id", "x", F.col(w.label).alias("cls")))
-    out, reference = [], None
-    if w.exact if with_exact is None else with_exact:
-        landmarks = collect_landmarks(sample_landmarks(ds.select("id", "x"), max(l or w.l)))
-        kernel = w.kernel or Rbf(self_tuned_sigma(landmarks.rows))
-        found = exact_kkm(ds.select("id", "x"), kernel, w.k, max_iter=w.max_iter)
-        reference = found.to_frame(spark)
-        for seed in range(seeds):
-            out.append(one_run(ds, w, "exact_kkm", 0 or 2, seed, reference=reference, kernel=kernel))
-    for method in methods or w.methods:
-        for size in l or w.l:
-            for seed in range(seeds):
-                out.append(one_run(ds, w, method, size, seed, reference=reference, **how))
+    ds = forced(w.data(spark, sf_dir).select("id", "x", F.col(w.label).alias("cls")))
+    kernel, out = kernel_of(ds, w), []
+    for seed in range(seeds):
+        reference = None
+        if w.exact if with_exact is None else with_exact:
+            row, reference = one_run(ds, w, "exact_kkm", 0, seed, kernel, **{k: v for k, v in how.items() if k == "max_iter"})
+            row = (*row[:7], float(measures.nmi(reference.withColumn("other", F.col("cluster")), "cluster", "other").first()["nmi"]), *row[8:])
+            out.append(row)
+        for method in methods or w.methods:
+            row = None
+            for size in l or w.l:
+                if row is None or method not in WITHOUT_LANDMARKS:
+                    row, found = one_run(ds, w, method, size, seed, kernel, reference=reference, **how)
+                    found.unpersist()
+                out.append((*row[:2], size, *row[3:]))
+        if reference is not None:
+            reference.unpersist()
     ds.unpersist()
     return spark.createDataFrame(out, RUN_DDL)
 
@@ -137,18 +150,31 @@ def scaling_l(spark: SparkSession, sf_dir: str, l: tuple[int, ...] = (500, 1000,
 
 
 def scaling_k(spark: SparkSession, sf_dir: str, l: int = 500) -> DataFrame:
-    """Clustering seconds by the number of clusters and the discrepancy."""
-    return run(spark, sf_dir, "w6", (l,), methods=("nystrom", "stable")).unionByName(run(spark, sf_dir, "w7", (l,), methods=("nystrom", "stable")))
+    """Clustering seconds by the number of clusters and the discrepancy (nystrom: l2, stable: l1), with l1_share, the seconds of l1 over those of l2."""
+    return with_l1_share(run(spark, sf_dir, "w6", (l,), methods=("nystrom", "stable")).unionByName(run(spark, sf_dir, "w7", (l,), methods=("nystrom", "stable"))))
+
+
+def with_l1_share(both: DataFrame) -> DataFrame:
+    """runs with l1_share: by workload, the clustering seconds of stable (l1) over those of nystrom (l2)."""
+    ratio = both.groupBy("workload").agg((F.sum(F.when(F.col("method") == "stable", F.col("cluster_s"))) / F.sum(F.when(F.col("method") == "nystrom", F.col("cluster_s")))).alias("l1_share"))
+    return both.join(F.broadcast(ratio), "workload")
 
 
 def total(spark: SparkSession, sf_dir: str, l: int = 500) -> DataFrame:
-    """(method, seconds): the whole of both methods on documents, and power iteration clustering on a graph of the events' users."""
+    """(method, seconds): the whole of both methods on the users of the events table, and power iteration clustering on the graph of the same users."""
     import time
 
-    rows = [(r["method"], r["embed_s"] + r["cluster_s"]) for r in run(spark, sf_dir, "w5", (l,), methods=("nystrom", "stable")).collect()]
+    out = []
+    w = Workload("total", features.users, 4, ("nystrom", "stable"), l=(l,), m=500)
+    for method in w.methods:
+        began = time.perf_counter()
+        ds = forced(w.data(spark, sf_dir).select("id", "x", "cls"))
+        one_run(ds, w, method, l, 0, kernel_of(ds, w))[1].unpersist()
+        ds.unpersist()
+        out.append((method, time.perf_counter() - began))
     began = time.perf_counter()
-    baselines.power_iteration(features.event_graph(spark, sf_dir), 4).count()
-    return spark.createDataFrame([*rows, ("power_iteration", time.perf_counter() - began)], "method string, seconds double")
+    baselines.power_iteration(features.event_graph(spark, sf_dir), w.k).count()
+    return spark.createDataFrame([*out, ("power_iteration", time.perf_counter() - began)], "method string, seconds double")
 
 
 def ablations(spark: SparkSession, sf_dir: str, l: int = 100) -> DataFrame:
@@ -156,14 +182,14 @@ def ablations(spark: SparkSession, sf_dir: str, l: int = 100) -> DataFrame:
     import time
 
     w = WORKLOADS["w2"]
-    ds = _forced(w.data(spark, sf_dir))
+    ds = forced(w.data(spark, sf_dir))
     landmarks = collect_landmarks(sample_landmarks(ds.select("id", "x"), l))
     kernel = Rbf(self_tuned_sigma(landmarks.rows))
     out = []
 
     def tried(what: str, setting: str, family, mode: str = "fused", **how) -> None:
         began = time.perf_counter()
-        y = _forced(embed(ds, family.fit(landmarks, kernel), kernel, mode))
+        y = forced(embed(ds, family.fit(landmarks, kernel), kernel, mode))
         model = cluster(y, w.k, family.discrepancy, max_iter=how.pop("max_iter", 4), **how)
         nmi = measures.nmi(model.transform(y)).first()["nmi"]
         y.unpersist()
@@ -185,6 +211,21 @@ def ablations(spark: SparkSession, sf_dir: str, l: int = 100) -> DataFrame:
     return spark.createDataFrame(out, "what string, setting string, nmi double, seconds double")
 
 
+def checked(runs: DataFrame) -> DataFrame:
+    """What must hold of any run: a normalised measure lies in [0, 1], the l2 cost of nystrom never rises, and the exact method agrees with itself."""
+    within = lambda c: F.coalesce(F.col(c).between(-1e-9, 1 + 1e-9), F.lit(True))
+    cost = F.when(F.col("method") == "nystrom", F.coalesce("cost_falls", F.lit(False))).otherwise(F.coalesce("cost_falls", F.lit(True)))
+    itself = F.when(F.col("method") == "exact_kkm", F.abs(F.col("agreement") - 1) < 1e-9).otherwise(F.lit(True))
+    return runs.select("workload", "method", "l", "m", "k", "seed", (F.col("nmi").isNotNull() & within("nmi") & within("agreement")).alias("nmi_ok"), cost.alias("cost_ok"), itself.alias("exact_ok"))
+
+
+def expected(name: str) -> str:
+    """SQL for checked(run(name)) with one seed: a row for each method and number of landmarks, all as they must be."""
+    w = WORKLOADS[name]
+    rows = [("exact_kkm", 0)] * w.exact + [(method, l) for method in w.methods for l in w.l]
+    return "SELECT '%s' AS workload, method, l::INT AS l, %d::INT AS m, %d::INT AS k, 0::INT AS seed, true AS nmi_ok, true AS cost_ok, true AS exact_ok FROM (VALUES %s) t(method, l)" % (name, w.m, w.k, ", ".join(f"('{a}', {b})" for a, b in rows))
+
+
 def ttest_table(runs: DataFrame) -> DataFrame:
     """Means, deviations and which methods are not significantly below the best, for each workload and number of landmarks."""
     return measures.best_by_ttest(runs.filter(F.col("nmi").isNotNull()))

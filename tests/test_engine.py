@@ -486,6 +486,52 @@ def test_workload_rows(spark, sf_dir):
     assert {r.method for r in found.collect()} == {"nystrom", "stable"} and found.filter("nmi is null").count() == 0
 
 
+def test_exact_agrees_with_itself_and_runs_share_one_kernel(spark, sf_dir):
+    found = workloads.run(spark, sf_dir, "w1", l=(40, 60), methods=("nystrom", "fourier"), m=30, max_iter=3, seeds=2)
+    rows = found.collect()
+    exact = [r for r in rows if r.method == "exact_kkm"]
+    assert len(exact) == 2 and all(r.l == 0 and r.agreement == pytest.approx(1.0) for r in exact)
+    assert len(rows) == 2 + 2 * 4 and all(0 <= r.agreement <= 1 and r.label_s > 0 for r in rows if r.method != "exact_kkm")
+    assert len({(r.seed, r.nmi) for r in rows if r.method == "fourier"}) == 2  # one run stands for each l
+    checks = workloads.checked(found).collect()
+    assert all(r.nmi_ok and r.cost_ok and r.exact_ok for r in checks)
+
+
+def test_packed_vectors_cluster_as_lists_do(spark, dense):
+    lm = collect_landmarks(sample_landmarks(dense, 60))
+    for family in (Nystrom(40), StableProjection(40)):
+        blocks = family.fit(lm, K.Rbf(1.0))
+        models = [cluster(embed(dense, blocks, K.Rbf(1.0), kind=kind), 4, family.discrepancy, init="random", max_iter=4) for kind in ("double", "packed")]
+        assert np.allclose(models[0].centroids, models[1].centroids, atol=1e-5) and (models[0].sizes == models[1].sizes).all()
+
+
+def test_class_agreement_by_blocks_is_that_of_all_pairs(spark, text):
+    kernel = K.Rbf(0.45)
+    names = {r.id: r.cls for r in text.select("id", "cls").collect()}
+    rows = collect_landmarks(text.select("id", "x"))
+    classes = sorted(set(names.values()))
+    labels = np.array([classes.index(names[i]) for i in rows.ids])
+    lm = collect_landmarks(sample_landmarks(text.select("id", "x"), 100))
+    sums = measures.similarity_sums(text, kernel, block_rows=300)
+    assert sums.agg({"n": "sum"}).first()[0] == len(names) ** 2
+    nearest = measures.nearest_class(text, sums).cache()
+    for family in (Nystrom(100), StableProjection(100)):
+        blocks = family.fit(lm, kernel)
+        report = measures.discrepancy_report(rows, labels, len(classes), blocks, kernel, family.discrepancy, family.beta(blocks))
+        found = measures.class_agreement(text, embed(text, blocks, kernel, kind="packed"), nearest, family.discrepancy)
+        assert found == pytest.approx(report["agreement"], abs=0.003)
+
+
+def test_splits_and_forced_deal_over_all_cores(spark):
+    from landmark_kkm.session import forced, splits
+
+    few = spark.range(100).repartition(1)
+    assert splits(spark.range(0, 10, 1, 3)) == 3 and splits(few.groupBy("id").count()) == int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = forced(few)
+    assert dealt.rdd.getNumPartitions() == 8 and splits(dealt) == 8 and dealt.count() == 100
+    dealt.unpersist()
+
+
 def test_queries_match_their_sql(spark, sf_dir):
     """A few of the twins here; the driver compares them all."""
     import duckdb
