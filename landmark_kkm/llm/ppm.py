@@ -276,7 +276,7 @@ def score_documents(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES, bucket_byte
     answers = requests.select("chunk", "kind", "bucket", "keys").groupBy("kind", "bucket").cogroup(values.groupBy("kind", "bucket"))
     answers = answers.applyInArrow(_answered, "chunk long, kind int, keys binary, answers binary")
     texts = asked.filter(F.col("kind") == TEXT).select("chunk", "keys")
-    chunks = max(spark.sparkContext.defaultParallelism, -(-size // chunk_bytes))  # a task for each, so that none holds many
+    chunks = 4 * max(spark.sparkContext.defaultParallelism, -(-size // chunk_bytes))  # more tasks than chunks, so that few hold more than one
     scored = texts.repartition(chunks, "chunk").groupBy("chunk").cogroup(answers.repartition(chunks, "chunk").groupBy("chunk")).applyInArrow(lambda t, a: _score_rows(t, a, ends, below), "doc_id long, n_tokens long, n_known long, base_score double, score double")
     return scored.select("doc_id", held_out().alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")
 
