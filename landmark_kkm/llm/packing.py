@@ -244,10 +244,11 @@ def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, islands: int =
     least = -(-sum(s * n for s, n in counts.items()) // capacity)
     best = lambda: min((m for members in state for m in members), key=lambda p: _rank(p, capacity))
 
-    def island(key, part: pd.DataFrame) -> pd.DataFrame:
-        members = [[(tuple(p), int(n)) for p, n in zip(ps, ns)] for ps, ns in zip(part["bins"], part["copies"])]
-        found = evolved(members, counts, capacity, generations, int(part["seed"].iloc[0]))
-        return pd.DataFrame({"island": key[0], "seed": 0, "bins": [[list(p) for p, _ in m] for m in found], "copies": [[n for _, n in m] for m in found]})
+    def evolve(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for number, part in pd.concat([*parts, pd.DataFrame({"island": []})]).groupby("island"):
+            members = [[(tuple(p), int(n)) for p, n in zip(ps, ns)] for ps, ns in zip(part["bins"], part["copies"])]
+            found = evolved(members, counts, capacity, generations, int(part["seed"].iloc[0]))
+            yield pd.DataFrame({"island": int(number), "seed": 0, "bins": [[list(p) for p, _ in m] for m in found], "copies": [[n for _, n in m] for m in found]})
 
     ddl = "island int, seed int, bins array<array<int>>, copies array<long>"
     for epoch in range(epochs):
@@ -255,7 +256,7 @@ def plan(spark, counts: dict[int, int], capacity: int = CAPACITY, islands: int =
             break
         rows = [(i, epoch * islands + i, [list(p) for p, _ in m], [n for _, n in m]) for i, members in enumerate(state) for m in members]
         found: dict[int, list[Patterns]] = {}
-        for r in spark.createDataFrame(rows, ddl).groupBy("island").applyInPandas(island, ddl).collect():
+        for r in spark.createDataFrame(rows, ddl).repartitionById(islands, "island").mapInPandas(evolve, ddl).collect():
             found.setdefault(r["island"], []).append([(tuple(p), n) for p, n in zip(r["bins"], r["copies"])])
         state = [sorted(found[i], key=lambda p: _rank(p, capacity)) for i in range(islands)]
         elites = [members[0] for members in state]
