@@ -251,9 +251,11 @@ def self_tuned_sigma(sample: Payload, neighbor: int = 7, stat: str = "mean") ->
 
 
 def local_scales(rows: Payload, sample: Payload, neighbor: int = 7) -> np.ndarray:
-    """Distance of each row to its neighbor-th nearest sample row that lies elsewhere."""
-    d = np.sqrt(squared_distances(rows, sample))
-    d = np.sort(np.where(d <= 1e-9, np.inf, d), axis=1)
+    """Distance of each row to its neighbor-th nearest sample row that lies elsewhere; 1 if the sample has too few. Squared distances that are within
+    rounding of the vectors' own length count as none, as a row and its copy in the sample are the same place."""
+    d2 = squared_distances(rows, sample)
+    same = d2 <= 1e-12 * (rows.norms()[:, None] + sample.norms()[None, :])
+    d = np.sort(np.sqrt(np.where(same, np.inf, d2)), axis=1)
     near = d[:, min(neighbor, d.shape[1]) - 1]
     return np.where(np.isfinite(near) & (near > 0), near, 1.0)
 

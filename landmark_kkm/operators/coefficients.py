@@ -171,24 +171,28 @@ class KernelColumns(EmbeddingFamily):
         return [CoefficientBlock(0, landmarks, np.eye(len(landmarks)))]
 
 
-def fit_on_executors(spark: SparkSession, family: Nystrom, landmarks: Landmarks, kernel: Kernel, q: int = 1) -> list[CoefficientBlock]:
-    """Nystrom blocks computed by one task each, side by side, rather than on the driver."""
+def fit_on_executors(spark: SparkSession, family: Nystrom | StableProjection, landmarks: Landmarks, kernel: Kernel, q: int = 1) -> list[CoefficientBlock]:
+    """Nystrom blocks computed by one task each, side by side, rather than on the driver; a stable projection has one block (q is 1)."""
     from landmark_kkm.session import ship
 
+    stable = isinstance(family, StableProjection)
+    if stable and q != 1:
+        raise ValueError("a stable projection has one block")
     ship(spark)
     parts = landmarks.blocks(q)
     held = spark.sparkContext.broadcast((parts, kernel, family))
 
     def one(key, _: pd.DataFrame) -> pd.DataFrame:
         blocks, kind, how = held.value
-        found = how.block(blocks[key[0]], kind, key[0])
+        found = how.fit(blocks[0], kind)[0] if stable else how.block(blocks[key[0]], kind, key[0])
         return pd.DataFrame({"block": key[0], "row": range(len(found.R)), "coef": list(found.R)})
 
     rows = spark.range(q).selectExpr("cast(id as int) block").groupBy("block").applyInPandas(one, "block int, row int, coef array<double>").toPandas()
     out = []
     for b in range(q):
         R = np.array(rows[rows["block"] == b].sort_values("row")["coef"].tolist()) * (1 / sqrt(q))
-        out.append(CoefficientBlock(b, parts[b], R, len(parts[b]) - len(R)))
+        dropped = family.inverse_root(kernel.matrix(landmarks.rows, landmarks.rows))[1] if stable else len(parts[b]) - len(R)
+        out.append(CoefficientBlock(b, parts[b], R, dropped))
     return out
 
 

@@ -10,12 +10,13 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from landmark_kkm import workloads
+from landmark_kkm.dataset import scale_features
 from landmark_kkm.functions import columns as C
 from landmark_kkm.functions.columns import rounded
-from landmark_kkm.functions.kernels import HistogramIntersection, Jaccard, Kernel, Laplacian, Linear, Neural, Polynomial, Rbf, cosine, self_tuned_sigma
+from landmark_kkm.functions.kernels import Custom, HistogramIntersection, Jaccard, Kernel, Laplacian, Linear, LocalRbf, Neural, Polynomial, Precomputed, Rbf, Spectrum, cosine, self_tuned_sigma
 from landmark_kkm.operators import baselines, measures, properties, relational
 from landmark_kkm.operators.cluster import cluster
-from landmark_kkm.operators.coefficients import KernelColumns, Nystrom, NystromEnsemble, StableProjection, centred
+from landmark_kkm.operators.coefficients import KernelColumns, Nystrom, NystromEnsemble, StableProjection, centred, fit_on_executors
 from landmark_kkm.operators.embed import embed
 from landmark_kkm.operators.estimator import ScalableKernelKMeans
 from landmark_kkm.operators.exact import exact_kkm, exact_step
@@ -58,6 +59,12 @@ _SQ = "pow(list_distance({a}, {b}), 2)"
 
 # --- kernels -----------------------------------------------------------------------------------------------------------------
 
+
+def _largest_gap(a, b):
+    """exp of less the greatest difference in any feature."""
+    return np.exp(-np.array([np.abs(b - x).max(1) for x in a]))
+
+
 _KERNELS: dict[str, tuple[Kernel, str]] = {
     "rbf": (Rbf(1.0), "exp(-pow(list_distance(x, lx), 2) / 2e0)"),
     "linear": (Linear(), "list_dot_product(x, lx)"),
@@ -65,16 +72,21 @@ _KERNELS: dict[str, tuple[Kernel, str]] = {
     "poly": (Polynomial(5, 1.0), "pow(list_dot_product(x, lx) + 1e0, 5)"),
     "neural": (Neural(0.0045, 0.11), "tanh(45e-4 * list_dot_product(x, lx) + 11e-2)"),
     "laplacian": (Laplacian(8.0), "exp(-list_sum(list_transform(list_zip(x, lx), lambda z: abs(z[1] - z[2]))) / 8e0)"),
+    "custom": (Custom(_largest_gap), "exp(-list_max(list_transform(list_zip(x, lx), lambda z: abs(z[1] - z[2]))))"),
 }
 
 
+def _against(ds: DataFrame, kernel: Kernel, l: int = 20, digits: int = 6) -> DataFrame:
+    """(id, landmark, value): the kernel of each row against l landmarks."""
+    lm = _landmarks(ds, l)
+    y = embed(ds.select("id", "x"), KernelColumns().fit(lm, kernel), kernel, "fused", kind="double")
+    ids = F.array(*[F.lit(int(i)).cast("long") for i in lm.ids])
+    return y.select("id", F.posexplode("y").alias("p", "v")).select("id", F.get(ids, F.col("p")).alias("landmark"), rounded(F.col("v"), digits).alias("value"))
+
+
 def _kernel_query(kernel: Kernel):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        ds = _dense(spark, sf_dir)
-        lm = _landmarks(ds, 20)
-        y = embed(ds.select("id", "x"), KernelColumns().fit(lm, kernel), kernel, "fused", kind="double")
-        ids = F.array(*[F.lit(int(i)).cast("long") for i in lm.ids])
-        return y.select("id", F.posexplode("y").alias("p", "v")).select("id", F.get(ids, F.col("p")).alias("landmark"), rounded(F.col("v")).alias("value"))
+        return _against(_dense(spark, sf_dir), kernel)
 
     return run
 
@@ -91,10 +103,7 @@ for _name, (_kernel, _sql) in _KERNELS.items():
 )
 def q_kernel_jaccard(spark, sf_dir):
     ds = features.link_sets(spark, sf_dir)
-    lm = _landmarks(ds, 20)
-    y = embed(ds, KernelColumns().fit(lm, Jaccard()), Jaccard(), "fused", kind="double")
-    ids = F.array(*[F.lit(int(i)).cast("long") for i in lm.ids])
-    return y.select("id", F.posexplode("y").alias("p", "v")).select("id", F.get(ids, F.col("p")).alias("landmark"), rounded(F.col("v")).alias("value"))
+    return _against(ds, Jaccard())
 
 
 _SPENT_SQL = """SELECT o_custkey AS id, p_brand, sum(l_extendedprice * (1 - l_discount)) AS spent
@@ -109,10 +118,55 @@ _SPENT_SQL = """SELECT o_custkey AS id, p_brand, sum(l_extendedprice * (1 - l_di
 )
 def q_kernel_hist(spark, sf_dir):
     ds = features.behaviour(spark, sf_dir).select("id", "x")
-    lm = _landmarks(ds, 20)
-    y = embed(ds, KernelColumns().fit(lm, HistogramIntersection()), HistogramIntersection(), "fused", kind="double")
-    ids = F.array(*[F.lit(int(i)).cast("long") for i in lm.ids])
-    return y.select("id", F.posexplode("y").alias("p", "v")).select("id", F.get(ids, F.col("p")).alias("landmark"), rounded(F.col("v"), 4).alias("value"))
+    return _against(ds, HistogramIntersection(), digits=4)
+
+
+@query(
+    "q_kernel_spectrum",
+    """WITH s AS (SELECT conv_id * 1000 + turn AS id, coalesce(text, '') AS x FROM conversations), l AS (SELECT id AS lid FROM s ORDER BY md5(id || ':42'), id LIMIT 20),
+    g AS (SELECT id, g, count(*) AS n FROM (SELECT id, unnest(list_transform(range(1, len(x) - 1), lambda p: substr(x, p, 3))) AS g FROM s) GROUP BY ALL)
+    SELECT s.id, lid AS landmark, coalesce(sum(a.n * b.n), 0)::DOUBLE AS value FROM s CROSS JOIN l LEFT JOIN (g a JOIN g b ON a.g = b.g) ON a.id = s.id AND b.id = lid GROUP BY ALL""",
+)
+def q_kernel_spectrum(spark, sf_dir):
+    return _against(features.strings(spark, sf_dir), Spectrum(3))
+
+
+@query(
+    "q_kernel_precomputed",
+    """WITH h AS (SELECT DISTINCT user_id, date_trunc('hour', ts) AS h FROM events), u AS (SELECT DISTINCT user_id AS id FROM events), l AS (SELECT id AS lid FROM u ORDER BY md5(id || ':42'), id LIMIT 20),
+    e AS (SELECT a.user_id AS i, b.user_id AS j, count(*) AS w FROM h a JOIN h b USING (h) WHERE a.user_id <> b.user_id GROUP BY ALL HAVING count(*) >= 2)
+    SELECT id, lid AS landmark, coalesce(w, 0)::DOUBLE AS value FROM u CROSS JOIN l LEFT JOIN e ON i = id AND j = lid""",
+)
+def q_kernel_precomputed(spark, sf_dir):
+    return _against(features.neighbours(spark, sf_dir), Precomputed())
+
+
+@query(
+    "q_kernel_local",
+    f"""WITH s AS {_lm(100)}, e AS (SELECT vec_id AS id, embedding::DOUBLE[] AS x FROM embeddings),
+    r AS (SELECT id, list_distance(x, lx) AS d FROM e, s WHERE x <> lx QUALIFY row_number() OVER (PARTITION BY id ORDER BY d) = 7), l AS {_lm(20)}
+    SELECT e.id, lid AS landmark, {_ROUND.format('exp(-pow(list_distance(x, lx), 2) / (a.d * b.d))')} AS value FROM e JOIN r a ON a.id = e.id, l JOIN r b ON b.id = lid""",
+)
+def q_kernel_local(spark, sf_dir):
+    return _against(properties.with_local_scale(_dense(spark, sf_dir), 7, 100), LocalRbf())
+
+
+_CELLS = "e AS (SELECT vec_id AS id, p, v FROM (SELECT vec_id, unnest(embedding::DOUBLE[]) AS v, generate_subscripts(embedding, 1) AS p FROM embeddings))"
+_SCALED = {
+    "factor": "v * 16",
+    "unit": "v / sqrt(sum(v * v) OVER (PARTITION BY id))",
+    "zscore": "(v - avg(v) OVER (PARTITION BY p)) / stddev_pop(v) OVER (PARTITION BY p)",
+    "minmax": "(v - min(v) OVER (PARTITION BY p)) / (max(v) OVER (PARTITION BY p) - min(v) OVER (PARTITION BY p))",
+}
+
+
+@query("q_scale_features", f"WITH {_CELLS} " + " UNION ALL ".join(f"SELECT '{how}' AS how, id, (p - 1)::INTEGER AS p, {_ROUND.format(sql)} AS value FROM e" for how, sql in _SCALED.items()))
+def q_scale_features(spark, sf_dir):
+    out = None
+    for how in _SCALED:
+        one = scale_features(_dense(spark, sf_dir).select("id", "x"), how, 16.0).select(F.lit(how).alias("how"), "id", F.posexplode("x").alias("p", "value")).withColumn("value", rounded(F.col("value")))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 _PAIRS = f"WITH s AS {_lm(200)}, d AS (SELECT a.lid AS i, list_distance(a.lx, b.lx) AS d FROM s a JOIN s b ON a.lid <> b.lid)"
@@ -293,6 +347,21 @@ def q_family_checks(spark, sf_dir):
     return spark.createDataFrame(rows, "family string, linear boolean, kernelized boolean, blocks boolean")
 
 
+@query("q_fit_on_executors", "SELECT family, true AS as_on_the_driver FROM (VALUES ('nystrom'), ('stable'), ('stable_eigen'), ('ensemble')) t(family)")
+def q_fit_on_executors(spark, sf_dir):
+    """The embeddings of the landmarks from coefficients that tasks work out, against those of the driver (inner products, as signs of eigenvectors are free)."""
+    lm, kernel, rows = _landmarks(_dense(spark, sf_dir), 80), Rbf(1.0), []
+    gram = lambda blocks: (y := np.hstack([b.apply(b.landmarks.rows if len(blocks) == 1 else lm.rows, kernel) for b in blocks])) @ y.T
+    for name, family, q, here in (
+        ("nystrom", Nystrom(80), 1, Nystrom(80)),
+        ("stable", StableProjection(50), 1, StableProjection(50)),
+        ("stable_eigen", StableProjection(50, root="eigen"), 1, StableProjection(50, root="eigen")),
+        ("ensemble", Nystrom(20), 4, NystromEnsemble(80, 4)),
+    ):
+        rows.append((name, bool(np.allclose(gram(fit_on_executors(spark, family, lm, kernel, q)), gram(here.fit(lm, kernel)), atol=1e-6))))
+    return spark.createDataFrame(rows, "family string, as_on_the_driver boolean")
+
+
 @query("q_reconstruct_pairs", f"WITH l AS {_lm(30)} SELECT a.lid AS i, b.lid AS j, {_ROUND.format('exp(-pow(list_distance(a.lx, b.lx), 2) / 2e0)')} AS value FROM l a, l b")
 def q_reconstruct_pairs(spark, sf_dir):
     ds = _dense(spark, sf_dir).select("id", "x")
@@ -361,6 +430,17 @@ query("q_partials_merge", _lloyd_sql(2, _L1))(_lloyd_query(2, "l1"))
 query("q_no_combiner", _lloyd_sql(1, _L2))(_lloyd_query(1, "l2", combine=False))
 
 
+@query(
+    "q_lloyd_weighted_step",
+    f"""WITH a AS (SELECT vec_id AS i, embedding::DOUBLE[] AS x, (1 + vec_id % 3)::DOUBLE AS w, pos::INTEGER AS c FROM embeddings, {_lm(_K)} QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY list_distance(embedding::DOUBLE[], lx), pos) = 1)
+    SELECT c AS cluster, (p - 1)::INTEGER AS p, {_ROUND.format('sum(w * v) / sum(w)')} AS value FROM (SELECT c, w, unnest(x) AS v, generate_subscripts(x, 1) AS p FROM a) GROUP BY c, p""",
+)
+def q_lloyd_weighted_step(spark, sf_dir):
+    y = _dense(spark, sf_dir).select("id", F.col("x").alias("y"), (1 + F.pmod("id", F.lit(3))).cast("double").alias("w"))
+    model = cluster(y, _K, "l2", init="random", max_iter=1, weight_col="w")
+    return spark.createDataFrame([r[:3] for r in _centroids(model)], "cluster int, p int, value double")
+
+
 @query("q_lloyd_native_step", _lloyd_sql(1, _L2))
 def q_lloyd_native_step(spark, sf_dir):
     ds = _dense(spark, sf_dir).select("id", "x")
@@ -531,7 +611,7 @@ def q_features_events(spark, sf_dir):
     return features.users(spark, sf_dir).select("id", "cls", C.total(F.slice("x", 1, n - 25)).alias("events"), F.get("x", n - 13).alias("noon"), rounded(F.get("x", n - 1)).alias("value"))
 
 
-@query("q_features_text")
+@query("q_features_text", "SELECT doc_id AS id, lang AS cls, 1e0 AS length FROM documents")
 def q_features_text(spark, sf_dir):
     return features.text_grams(spark, sf_dir).select("id", "cls", rounded(C.dot(F.col("x"), F.col("x"))).alias("length"))
 
@@ -541,6 +621,13 @@ def q_features_text_sparse(spark, sf_dir):
     return features.text_sparse(spark, sf_dir).select("id", "cls", F.size("x.idx").alias("entries"))
 
 
+@query("q_features_text_lengths", "SELECT doc_id AS id, CASE WHEN regexp_matches(text, '[\\p{L}\\p{N}]') THEN 1e0 ELSE 0e0 END AS length, source FROM documents")
+def q_features_text_lengths(spark, sf_dir):
+    """The squared length of each document's sparse vector: 1, or 0 for a text without words."""
+    length = F.aggregate("x.val", F.lit(0.0), lambda a, v: a + v.cast("double") * v.cast("double"))
+    return features.text_sparse(spark, sf_dir).select("id", rounded(length, 4).alias("length"), "source")
+
+
 @query("q_features_graph", "WITH h AS (SELECT DISTINCT user_id, date_trunc('hour', ts) AS h FROM events) SELECT a.user_id AS src, b.user_id AS dst, count(*)::BIGINT AS weight FROM h a JOIN h b ON a.h = b.h AND a.user_id < b.user_id GROUP BY ALL HAVING count(*) >= 2")
 def q_features_graph(spark, sf_dir):
     return features.event_graph(spark, sf_dir)
@@ -718,6 +805,33 @@ def q_stream_scoring(spark, sf_dir):
     return streams.run_available(streams.score(stream, model)).withColumn("dist", rounded(F.col("dist")))
 
 
+@query("q_stream_dedup", "SELECT event_id, user_id, event_type FROM events")
+def q_stream_dedup(spark, sf_dir):
+    """Two streams that bring each event twice over; one of each stays."""
+    both = streams.read_stream(spark, sf_dir, "events").unionByName(streams.read_stream(spark, sf_dir, "events"))
+    return streams.run_available(streams.deduplicated(both, "ts", ["event_id"])).select("event_id", "user_id", "event_type")
+
+
+@query("q_stream_static_join", "SELECT event_id, c_mktsegment AS segment FROM events LEFT JOIN customer ON user_id = c_custkey")
+def q_stream_static_join(spark, sf_dir):
+    known = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), F.col("c_mktsegment").alias("segment"))
+    return streams.run_available(streams.with_table(streams.read_stream(spark, sf_dir, "events"), known, ["user_id"])).select("event_id", "segment")
+
+
+_NEW = "ts > (SELECT max(ts) FROM events) - INTERVAL 1 DAY"
+
+
+@query("q_stream_late", f"SELECT count(*) FILTER ({_NEW})::BIGINT AS kept, count(*) FILTER (NOT {_NEW})::BIGINT AS dropped FROM events")
+def q_stream_late(spark, sf_dir):
+    """The newest events come first and the others after them, a day or more behind the watermark: how many are kept, and how many reported as dropped."""
+    events = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    last = F.lit(events.agg(F.max("ts")).first()[0])
+    half, day = last - F.expr("INTERVAL 12 HOURS"), last - F.expr("INTERVAL 1 DAY")
+    parts = [events.filter(F.col("ts") > half), events.filter((F.col("ts") <= half) & (F.col("ts") > day)), events.filter(F.col("ts") <= day)]
+    found, dropped = streams.run_reported(streams.deduplicated(streams.replayed(parts), "ts", ["event_id"], "1 day"))
+    return found.agg(F.count("*").alias("kept")).withColumn("dropped", F.lit(dropped).cast("long"))
+
+
 @query("q_stream_histograms", "SELECT user_id, count(*)::BIGINT AS events FROM events GROUP BY user_id")
 def q_stream_histograms(spark, sf_dir):
     kinds = sorted(r[0] for r in table(spark, sf_dir, "events").select("event_type").distinct().collect())

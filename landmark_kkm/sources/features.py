@@ -139,7 +139,8 @@ def text_grams(spark: SparkSession, sf_dir: str, size: int = 512, n: int = 3) ->
 def text_sparse(spark: SparkSession, sf_dir: str, bits: int = 16) -> DataFrame:
     """documents as TF-IDF of words hashed to 2^bits buckets, sparse and of unit length; the class is lang, and source goes along.
 
-    Counts by document and word are aggregated before they are shuffled; the inverse document frequencies are joined by bucket."""
+    Counts by document and word are aggregated before they are shuffled; the inverse document frequencies (2^bits at most) are joined by bucket.
+    A document without words has a vector without entries."""
     docs = table(spark, sf_dir, "documents", parallel=True)
     words = F.filter(F.split(F.lower(F.coalesce("text", F.lit(""))), "[^\\p{L}\\p{N}]+"), lambda w: w != "")
     cells = docs.select(F.col("doc_id").alias("id"), F.explode(words).alias("w")).select("id", F.pmod(F.crc32(F.encode("w", "UTF-8")), F.lit(1 << bits)).cast("int").alias("b")).groupBy("id", "b").agg(F.count("*").alias("tf"))
@@ -148,7 +149,9 @@ def text_sparse(spark: SparkSession, sf_dir: str, bits: int = 16) -> DataFrame:
     weighed = cells.join(F.broadcast(idf), "b").withColumn("v", F.col("tf") * F.col("idf"))
     rows = weighed.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("b", "v"))).alias("c"), F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("len"))
     x = F.struct(F.lit(1 << bits).alias("size"), F.transform("c", lambda c: c["b"]).alias("idx"), F.transform("c", lambda c: (c["v"] / F.col("len")).cast("float")).alias("val"))
-    return rows.select("id", x.alias("x")).join(docs.select(F.col("doc_id").alias("id"), F.col("lang").alias("cls"), "source"), "id")
+    none = F.struct(F.lit(1 << bits).alias("size"), F.array().cast("array<int>").alias("idx"), F.array().cast("array<float>").alias("val"))
+    known = docs.select(F.col("doc_id").alias("id"), F.col("lang").alias("cls"), "source").join(rows.select("id", x.alias("x")), "id", "left")
+    return known.select("id", F.coalesce("x", none).alias("x"), "cls", "source")
 
 
 def link_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -157,6 +160,16 @@ def link_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.select(F.col("page_id").alias("id"), F.array_sort(F.array_distinct(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), 1))).alias("x"))
 
 
+def neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Users with the map of the users they share hours with to the number of those hours, and their own id under -1: similarities for the precomputed kernel."""
+    edges = event_graph(spark, sf_dir)
+    both = edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
+    cells = both.groupBy(F.col("src").alias("id")).agg(F.collect_list(F.struct("dst", F.col("weight").cast("double").alias("weight"))).alias("c"))
+    own = F.array(F.struct(F.lit(-1).cast("long").alias("dst"), F.col("id").cast("double").alias("weight")))
+    ids = table(spark, sf_dir, "events").select(F.col("user_id").cast("long").alias("id")).distinct()
+    return ids.join(cells, "id", "left").select("id", F.map_from_entries(F.concat(own, F.coalesce("c", F.slice(own, 2, 1)))).alias("x"))
+
+
 def strings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Conversation turns as strings; the class is the role."""
     return table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.col("text").alias("x"), F.col("role").alias("cls"))

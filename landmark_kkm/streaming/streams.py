@@ -43,6 +43,36 @@ def run_available(df: DataFrame, mode: str = "append", query_name: str | None =
     return spark.read.schema(df.schema).parquet(*(batches[-1:] if mode == "complete" else sorted(set(batches))))
 
 
+def run_reported(df: DataFrame) -> tuple[DataFrame, int]:
+    """What run_available gives in append mode, and the number of rows that came behind the watermark and were dropped.
+
+    The number is that of the stateful operators' own progress, gathered batch by batch, as a query keeps only its last reports. Operators that add up
+    rows before they shuffle them (windows, sessions) report partial sums, not rows; duplicates are reported row by row."""
+    spark, path, started, dropped = df.sparkSession, new_path(df.sparkSession, "sink"), [], {}
+
+    def note() -> None:
+        for progress in started[0].recentProgress if started else ():
+            dropped[progress["batchId"]] = max(dropped.get(progress["batchId"], 0), sum(s["numRowsDroppedByWatermark"] for s in progress["stateOperators"]))
+
+    def write(batch: DataFrame, number: int) -> None:
+        note()
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    started.append(df.writeStream.trigger(availableNow=True).option("checkpointLocation", new_path(spark, "stream")).foreachBatch(write).start())
+    started[0].awaitTermination()
+    note()
+    found = spark.read.schema(df.schema).parquet(path).drop("batch") if dropped else spark.createDataFrame([], df.schema)
+    return found.select(*df.columns), sum(dropped.values())
+
+
+def replayed(parts: list[DataFrame], files_per_trigger: int = 1) -> DataFrame:
+    """A stream of the given tables of one schema, one after the other: rows that arrive in another order than their times."""
+    spark, path = parts[0].sparkSession, new_path(parts[0].sparkSession, "replay")
+    for part in parts:
+        part.write.mode("append").parquet(path)
+    return spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+
+
 def score(stream: DataFrame, model: ClusterModel, embedder: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """Rows (id, x or y, ...) with cluster and dist; stateless, so it scales as a batch does."""
     ship(stream.sparkSession)
@@ -50,7 +80,7 @@ def score(stream: DataFrame, model: ClusterModel, embedder: Callable[[DataFrame]
 
 
 def windowed_mix(stream: DataFrame, time: str, kind: str, width: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
-    """Counts of kinds in tumbling (or, with slide, sliding) windows; rows behind the watermark are dropped, and counted in the query's progress."""
+    """Counts of kinds in tumbling (or, with slide, sliding) windows; rows behind the watermark are dropped (run_reported counts them)."""
     window = F.window(time, width, slide) if slide else F.window(time, width)
     return stream.withWatermark(time, late).groupBy(window.alias("w"), kind).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), kind, "n")
 

@@ -189,6 +189,29 @@ def test_executor_fit_equals_driver_fit(spark, dense):
     here = NystromEnsemble(20, 2).fit(lm, K.Rbf(1.0))
     assert all(np.allclose(a.R, b.R, atol=1e-8) for a, b in zip(there, here))
     assert to_frame(spark, here).count() == 20 and len(block_bytes(here)) == 2
+    stable = StableProjection(15)
+    assert np.allclose(fit_on_executors(spark, stable, lm, K.Rbf(1.0))[0].R, stable.fit(lm, K.Rbf(1.0))[0].R, atol=1e-6)
+    with pytest.raises(ValueError):
+        fit_on_executors(spark, stable, lm, K.Rbf(1.0), 2)
+
+
+def test_local_scale_leaves_out_the_row_itself_and_its_copies():
+    x = np.random.default_rng(3).normal(size=(20, 8)) * 1000
+    x[1] = x[0]
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(2))
+    d[d == 0] = np.inf
+    assert np.allclose(K.local_scales(Dense(x), Dense(x), 2), np.sort(d, axis=1)[:, 1])
+
+
+def test_late_rows_are_counted_and_texts_without_words_are_kept(spark, sf_dir, tmp_path):
+    rows = lambda *at: spark.createDataFrame([(i, t) for i, t in at], "k long, t string").withColumn("t", F.col("t").cast("timestamp"))
+    parts = [rows((1, "2024-01-10 00:00:00")), rows((2, "2024-01-09 23:30:00")), rows((3, "2024-01-01 00:00:00"), (4, "2024-01-02 00:00:00"), (1, "2024-01-09 23:59:00"))]
+    found, dropped = streams.run_reported(streams.deduplicated(streams.replayed(parts), "t", ["k"], "1 hour"))
+    assert sorted(r.k for r in found.collect()) == [1, 2] and dropped == 2
+    docs = spark.createDataFrame([(1, "one two two", "en", "a"), (2, "  ", "en", "b"), (3, None, None, "c")], "doc_id long, text string, lang string, source string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    sparse = {r.id: r for r in features.text_sparse(spark, str(tmp_path)).collect()}
+    assert {i: len(r.x.idx) for i, r in sparse.items()} == {1: 2, 2: 0, 3: 0} and sparse[3].cls is None
 
 
 def test_embeddings_separate_rings_and_lloyd_does_not(rings):
