@@ -418,6 +418,18 @@ def test_toxicity_learns_folds_and_excepts(spark):
     assert kept.columns == docs.columns and kept.count() == 60
 
 
+def test_toxicity_tells_held_out_labels_apart(spark):
+    """Area under the curve, recall and false alarms on labelled rows that taught nothing."""
+    read = lambda name: spark.read.parquet(f"/root/testdata/sf0.1/{name}.parquet")
+    docs, labels = read("documents"), read("labels")
+    rows = toxicity.score_documents(docs, toxicity.learn(docs, labels)).filter("held_out").join(labels, "doc_id").select("score", "predicted", "toxic").dropna().toPandas()
+    toxic = rows["toxic"].to_numpy() == 1
+    rank = rows["score"].rank().to_numpy()
+    area = (rank[toxic].sum() - toxic.sum() * (toxic.sum() + 1) / 2) / (toxic.sum() * (~toxic).sum())
+    assert len(rows) > 1000 and area > 0.93
+    assert rows["predicted"][toxic].mean() > 0.85 and rows["predicted"][~toxic].mean() < 0.01
+
+
 def test_decontamination_matches_brute_force(spark):
     rng = np.random.default_rng(6)
     word = lambda: "".join(rng.choice(list("abcdefgh"), rng.integers(2, 8)))
