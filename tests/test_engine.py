@@ -596,3 +596,26 @@ def test_stable_norms_and_pairs(spark, dense):
     assert found[3, 3] == pytest.approx(1) and found[0, 1] == pytest.approx(np.exp(-((x[0] - x[1]) ** 2).sum() / 2))
     local = numpy_rows(with_local_scale(dense, sample=500), "x")
     assert local.shape == (500, 65) and (local[:, -1] > 0).all()
+
+
+def test_exact_method_takes_more_rows_than_a_kept_kernel(spark):
+    n = 20_100
+    ds = spark.range(n).select("id", F.array(F.pmod("id", F.lit(3)).cast("double"), (F.col("id") / n).cast("double")).alias("x"))
+    found = exact.exact_kkm(ds, K.Rbf(1.0), 3, init=lambda ids: ids % 3, max_iter=2)
+    assert len(found.labels) == n and (found.labels == found.ids % 3).all() and found.history[-1]["changed"] == 0
+
+
+def test_exact_iterations_by_changed_columns_are_those_of_the_whole_matrix(spark, dense):
+    rows = dense.select("id", "x")
+    lm, kernel = collect_landmarks(rows), K.Rbf(1.0)
+    weight = 1.0 + lm.ids % 3
+    gram = kernel.matrix(lm.rows, lm.rows)
+    labels, history = exact.solve(gram, np.ones(len(lm.ids)), 5, lm.ids % 5, 8, weight=weight)
+    weighted = rows.withColumn("w", (1 + F.pmod("id", F.lit(3))).cast("double"))
+    for storage in ("persist", "recompute"):
+        found = exact.exact_kkm(weighted, kernel, 5, init=lambda ids: ids % 5, max_iter=8, kernel_storage=storage, weight_col="w")
+        assert (found.labels == labels).all()
+        assert np.allclose([h["cost"] for h in found.history], [h["cost"] for h in history], atol=1e-9)
+    one, d = exact.step(gram, np.ones(len(lm.ids)), lm.ids % 5, 5)
+    got = {r.id: (r.cluster, r.dist2) for r in exact.exact_step(rows, kernel, 5, lambda ids: ids % 5).collect()}
+    assert all(got[i] == (c, pytest.approx(m)) for i, c, m in zip(lm.ids.tolist(), one.tolist(), d.min(1).tolist()))
