@@ -8,7 +8,7 @@ from landmark_kkm import dataset, workloads
 from landmark_kkm.functions import columns as C
 from landmark_kkm.functions import kernels as K
 from landmark_kkm.functions.payloads import Dense, Objects, Sparse, from_arrow
-from landmark_kkm.operators import baselines, exact, measures, relational
+from landmark_kkm.operators import baselines, exact, measures, relational, shared
 from landmark_kkm.operators.cluster import ClusterModel, cluster, costs, lloyd
 from landmark_kkm.operators.coefficients import Nystrom, NystromEnsemble, StableProjection, block_bytes, centred, fit_on_executors, reconstruct, to_frame
 from landmark_kkm.operators.embed import embed
@@ -619,3 +619,46 @@ def test_exact_iterations_by_changed_columns_are_those_of_the_whole_matrix(spark
     one, d = exact.step(gram, np.ones(len(lm.ids)), lm.ids % 5, 5)
     got = {r.id: (r.cluster, r.dist2) for r in exact.exact_step(rows, kernel, 5, lambda ids: ids % 5).collect()}
     assert all(got[i] == (c, pytest.approx(m)) for i, c, m in zip(lm.ids.tolist(), one.tolist(), d.min(1).tolist()))
+
+
+def _bits(spark, rows: dict[int, list[int]]):
+    of = lambda hours: bytes(np.packbits(np.isin(np.arange(16), hours)).tolist())
+    return spark.createDataFrame([(i, bytearray(of(h))) for i, h in rows.items()], "id long, x binary")
+
+
+def test_links_by_shared_bits_lose_no_pair_and_count_equal_rows(spark):
+    # 5 and 6 are equal, 7 reaches them through 8 only; 9 and 10 are equal but have one bit; 11 is alone
+    found = shared.links(_bits(spark, {5: [0, 1, 2], 6: [0, 1, 2], 7: [4, 5], 8: [1, 2, 4, 5], 9: [9], 10: [9], 11: [12, 13]})).collect()
+    assert {tuple(r) for r in found} == {(5, 5, 2, 5), (6, 5, 2, 5), (7, 5, 1, 2), (8, 5, 3, 6), (9, 9, 0, 0), (10, 10, 0, 0), (11, 11, 0, 0)}
+
+
+def test_links_of_many_copies_make_no_row_for_a_pair(spark):
+    found = shared.links(_bits(spark, {i: [i % 4, 4 + i % 4, 8] for i in range(30_000)}))
+    assert found.agg(F.count_distinct("component"), F.min("links"), F.max("links"), F.min("weight")).first()[:] == (4, 7499, 7499, 3 * 7499)
+
+
+def test_graphs_from_bits_are_those_of_the_edges(spark, sf_dir):
+    edges, hours = features.event_graph(spark, sf_dir), features.user_hours(spark, sf_dir)
+    both = edges.unionByName(edges.selectExpr("dst AS src", "src AS dst", "weight")).groupBy("src").agg(F.count("*"), F.sum("weight")).collect()
+    assert {tuple(r) for r in shared.links(hours).select("id", "links", "weight").collect()} == {tuple(r) for r in both}
+    by_edges, by_bits = exact.spectral_cluster(edges, 4, init="partition"), shared.spectral_cluster(hours, 4, init="partition")
+    assert (by_edges.ids == by_bits.ids).all() and (by_edges.labels == by_bits.labels).all()
+    assert shared.power_iteration(hours, 4).agg(F.count("*"), F.count_distinct("cluster")).first()[:] == (150, 4)
+
+
+def test_neighbours_of_landmarks_are_those_of_the_graph(spark, sf_dir):
+    of = [3, 10, 77]
+    found = features.neighbours(spark, sf_dir, spark.createDataFrame([(i,) for i in of], "id long"))
+    want = {}
+    for a, b, w in features.event_graph(spark, sf_dir).collect():
+        for i, j in ((a, b), (b, a)):
+            if j in of:
+                want.setdefault(i, {})[j] = float(w)
+    assert {r.id: {k: v for k, v in r.x.items() if k != -1} for r in found.collect() if len(r.x) > 1} == want
+
+
+def test_class_sums_copy_no_row_for_a_block(spark, text):
+    found = measures.similarity_sums(text, K.Rbf(0.45), block_rows=100)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroups" not in plan and "Generate explode(sequence" not in plan
+    assert found.count() == text.count() * text.select("cls").distinct().count()
