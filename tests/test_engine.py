@@ -662,3 +662,14 @@ def test_class_sums_copy_no_row_for_a_block(spark, text):
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "FlatMapCoGroups" not in plan and "Generate explode(sequence" not in plan
     assert found.count() == text.count() * text.select("cls").distinct().count()
+
+
+def test_exact_method_takes_any_number_of_rows(spark, dense, monkeypatch):
+    many = spark.range(500_001).select("id", F.array(F.col("id") / 8).alias("x"))
+    ids, rows, _ = exact._collected(many, exact.MAX_ROWS, 42, None)
+    assert len(ids) == 500_001 and rows.rows.dtype == np.float32 and (rows.take(np.arange(9)).rows[:, 0] == ids[:9] / 8).all()
+    whole = exact.exact_kkm(dense.select("id", "x"), K.Neural(), 4, max_iter=3, kernel_storage="recompute")
+    monkeypatch.setattr(exact, "PIECE", 100)
+    parts = exact.exact_kkm(dense.select("id", "x"), K.Neural(), 4, max_iter=3, kernel_storage="recompute")
+    assert (whole.ids == parts.ids).all() and (whole.labels == parts.labels).all()
+    assert np.allclose([h["cost"] for h in whole.history], [h["cost"] for h in parts.history])
