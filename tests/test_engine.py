@@ -673,3 +673,41 @@ def test_exact_method_takes_any_number_of_rows(spark, dense, monkeypatch):
     parts = exact.exact_kkm(dense.select("id", "x"), K.Neural(), 4, max_iter=3, kernel_storage="recompute")
     assert (whole.ids == parts.ids).all() and (whole.labels == parts.labels).all()
     assert np.allclose([h["cost"] for h in whole.history], [h["cost"] for h in parts.history])
+
+
+def test_sparse_products_take_memory_by_their_entries():
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    rows = lambda n, each: Sparse(1 << 16, np.arange(n + 1) * each, np.concatenate([np.append(0, 1 + rng.choice((1 << 16) - 1, each - 1, replace=False)) for _ in range(n)]), rng.random(n * each))
+    left, right = rows(300, 150), rows(1000, 150)
+    tracemalloc.start()
+    found = left.dot(right)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    laid = np.zeros((300, 1 << 16))
+    laid[np.repeat(np.arange(300), 150), left.idx] = left.val
+    wanted = [(laid[:, right.idx[a:b]] * right.val[a:b]).sum(1) for a, b in zip(right.start[:-1], right.start[1:])]
+    assert np.allclose(found, np.stack(wanted, 1)) and peak < 128 << 20
+    twice = Sparse(5, np.array([0, 0, 3, 3]), np.array([4, 1, 4]), np.array([1.0, 2.0, 3.0]))  # rows without entries, and a feature twice in a row
+    assert twice.dot(twice).tolist() == [[0, 0, 0], [0, 20, 0], [0, 0, 0]] and twice.dot(twice.take([0])).tolist() == [[0], [0], [0]]
+
+
+def test_workload_gives_its_broadcasts_back(spark, sf_dir, monkeypatch):
+    from pyspark import Broadcast
+
+    from landmark_kkm import session
+
+    before, destroyed, destroy = session.held(), [], Broadcast.destroy
+    monkeypatch.setattr(Broadcast, "destroy", lambda self, blocking=False: (destroyed.append(self.value), destroy(self, blocking)))
+    workloads.run(spark, sf_dir, "w5", (20, 30), max_iter=1).collect()
+    models = [v for v in destroyed if isinstance(v, tuple) and (isinstance(v[0], list) or hasattr(v[0], "start"))]
+    assert session.held() == before and len(models) == 6  # landmarks and coefficients of each run
+
+
+def test_sparse_text_does_not_shuffle_words(spark, sf_dir):
+    found = features.text_sparse(spark, sf_dir)
+    texts = dict(table(spark, sf_dir, "documents").select("doc_id", "text").collect())
+    assert choices.exchanges(found.select("id", "x")) <= 1  # that which deals a small file over the cores
+    row = found.filter("size(x.idx) > 20").first()
+    assert list(row.x.idx) == sorted(set(row.x.idx)) and len(row.x.idx) <= len(texts[row.id].split()) * 3
