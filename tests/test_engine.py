@@ -8,7 +8,7 @@ from landmark_kkm import dataset, workloads
 from landmark_kkm.functions import columns as C
 from landmark_kkm.functions import kernels as K
 from landmark_kkm.functions.payloads import Dense, Objects, Sparse, from_arrow
-from landmark_kkm.operators import baselines, exact, measures, relational, shared
+from landmark_kkm.operators import baselines, exact, measures, relational, shared, vectors
 from landmark_kkm.operators.cluster import ClusterModel, cluster, costs, lloyd
 from landmark_kkm.operators.coefficients import Nystrom, NystromEnsemble, StableProjection, block_bytes, centred, fit_on_executors, reconstruct, to_frame
 from landmark_kkm.operators.embed import embed
@@ -711,3 +711,21 @@ def test_sparse_text_does_not_shuffle_words(spark, sf_dir):
     assert choices.exchanges(found.select("id", "x")) <= 1  # that which deals a small file over the cores
     row = found.filter("size(x.idx) > 20").first()
     assert list(row.x.idx) == sorted(set(row.x.idx)) and len(row.x.idx) <= len(texts[row.id].split()) * 3
+
+
+def test_loop_sends_vectors_only(spark, monkeypatch):
+    from landmark_kkm.operators import cluster as loop
+
+    rows = spark.range(60).select("id", F.array(F.col("id") % 7 / 1.0, F.col("id") % 5 / 1.0).alias("y"), (F.col("id") % 2 + 1.0).alias("w"), F.lit("c").alias("cls"))
+    seen, merged = [], loop.merged
+    monkeypatch.setattr(loop, "merged", lambda partials, n: (seen.append(partials._jdf.queryExecution().analyzed().toString()), merged(partials, n))[1])
+    plain, weighted = (cluster(rows, 3, init="random", max_iter=3, weight_col=w) for w in (None, "w"))
+    assert plain.sizes.sum() == 60 and weighted.sizes.sum() == 90
+    assert all("Project [y#" in plan for plan in seen) and len(seen) == 6
+    y = np.random.default_rng(5).random((1000, 3)).astype(np.float32)  # more rows of a key than are added up at a time
+    held = vectors.Partials(far=True)
+    keys, w = np.arange(1000) % 2, np.arange(1000) / 7
+    held.add(keys, y, w, y[:, 0], np.ones(1000, bool))
+    for k, row in held.held.items():
+        at = keys == k
+        assert np.allclose(row[0], w[at] @ y[at].astype(float)) and (row[5] == y[at][y[at][:, 0].argmax()]).all()
