@@ -729,3 +729,24 @@ def test_loop_sends_vectors_only(spark, monkeypatch):
     for k, row in held.held.items():
         at = keys == k
         assert np.allclose(row[0], w[at] @ y[at].astype(float)) and (row[5] == y[at][y[at][:, 0].argmax()]).all()
+
+
+def test_embedding_takes_memory_by_its_result(monkeypatch):
+    import sys
+    import tracemalloc
+
+    import pyarrow as pa
+
+    module = sys.modules["landmark_kkm.operators.embed"]
+    rng = np.random.default_rng(4)
+    lists = lambda v, n: pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * 200), pa.array(v))
+    x = pa.StructArray.from_arrays([pa.array(np.full(8000, 1 << 16, np.int32)), lists(rng.integers(0, 1 << 16, 8000 * 200).astype(np.int32), 8000), lists(rng.random(8000 * 200).astype(np.float32), 8000)], ["size", "idx", "val"])
+    lm = Landmarks(np.arange(50), from_arrow(x.slice(0, 50)))
+    blocks = Nystrom(40).fit(lm, K.Rbf(5.0))
+    wanted = blocks[0].apply(from_arrow(x.slice(7000, 300)), K.Rbf(5.0))
+    monkeypatch.setattr(module, "CELLS", 50 * 400)
+    tracemalloc.start()
+    y = module.embedded(x, blocks, K.Rbf(5.0), np.float32)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.allclose(y[7000:7300], wanted, atol=1e-5) and peak < 24 << 20  # 8,000 rows taken apart at once are 25.6 MB
