@@ -750,3 +750,18 @@ def test_embedding_takes_memory_by_its_result(monkeypatch):
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert np.allclose(y[7000:7300], wanted, atol=1e-5) and peak < 24 << 20  # 8,000 rows taken apart at once are 25.6 MB
+
+
+def test_few_partial_sums_come_without_a_shuffle(spark, dense, monkeypatch):
+    from landmark_kkm.operators import cluster as loop
+
+    rows, seen, merged = dense.select("id", F.col("x").alias("y")), [], loop.merged
+    monkeypatch.setattr(loop, "merged", lambda partials, n: (seen.append(n), merged(partials, n))[1])
+    found = []
+    for most in (vectors.GATHERED, 0):
+        monkeypatch.setattr(vectors, "GATHERED", most)
+        found.append([cluster(rows, 5, empty=empty, max_iter=3, tol=0.0) for empty in ("keep", "reseed_farthest")])
+    assert all(n == 0 for n in seen[: len(seen) // 2]) and all(n > 0 for n in seen[len(seen) // 2 :])
+    for a, b in zip(*found):
+        assert np.allclose(a.centroids, b.centroids) and (a.sizes == b.sizes).all() and [h["changed"] for h in a.history] == [h["changed"] for h in b.history]
+    assert vectors.levels(300, 1 << 20) == 300 and vectors.merged(rows.limit(0).mapInArrow(lambda it: vectors.summed_by_key(it, None), vectors.PARTIAL_DDL), 0) == []
