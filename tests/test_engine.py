@@ -765,3 +765,38 @@ def test_few_partial_sums_come_without_a_shuffle(spark, dense, monkeypatch):
     for a, b in zip(*found):
         assert np.allclose(a.centroids, b.centroids) and (a.sizes == b.sizes).all() and [h["changed"] for h in a.history] == [h["changed"] for h in b.history]
     assert vectors.levels(300, 1 << 20) == 300 and vectors.merged(rows.limit(0).mapInArrow(lambda it: vectors.summed_by_key(it, None), vectors.PARTIAL_DDL), 0) == []
+
+
+def test_sparse_products_by_table_and_by_search_are_equal(monkeypatch):
+    from landmark_kkm.functions import payloads
+
+    rng = np.random.default_rng(6)
+    rows = lambda n, of: Sparse(of, np.arange(n + 1) * 9, np.concatenate([rng.choice(of, 9, replace=False) for _ in range(n)]), rng.random(n * 9))
+    left, right = rows(70, 200), rows(40, 90)
+    by_table, searched = left.dot(right), []
+    search = np.searchsorted
+    monkeypatch.setattr(np, "searchsorted", lambda *a: (searched.append(1), search(*a))[1])
+    assert (left.dot(right) == by_table).all() and not searched
+    monkeypatch.setattr(payloads, "TABLE", 0)
+    assert (left.dot(right) == by_table).all() and searched and by_table.any()
+
+
+def test_forced_leaves_no_core_waiting_for_the_last_partitions(spark):
+    from landmark_kkm.session import ROUNDS, forced
+
+    for n, wanted in ((11, 8), (8, 8), (23, 16), (8 * ROUNDS + 1, 8 * ROUNDS + 1)):
+        found = forced(spark.range(0, 500, 1, n))
+        assert found.rdd.getNumPartitions() == wanted and found.agg(F.sum("id"), F.count("*")).first()[:] == (500 * 499 // 2, 500)
+        found.unpersist()
+
+
+def test_kept_text_is_split_once_and_given_back(spark, sf_dir):
+    from landmark_kkm import session
+
+    since, before = session.held(), spark.sparkContext._jsc.getPersistentRDDs().size()
+    found = features.text_sparse(spark, sf_dir, kept=True)
+    assert "InMemoryRelation" in found._jdf.queryExecution().executedPlan().toString() and session.held() == since + 1
+    same = lambda df: {r.id: (r.cls, r.source, list(r.x.idx), list(r.x.val)) for r in df.collect()}
+    assert same(found) == same(features.text_sparse(spark, sf_dir))
+    session.release(since)
+    assert session.held() == since and spark.sparkContext._jsc.getPersistentRDDs().size() == before
