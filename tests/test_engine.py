@@ -800,3 +800,26 @@ def test_kept_text_is_split_once_and_given_back(spark, sf_dir):
     assert same(found) == same(features.text_sparse(spark, sf_dir))
     session.release(since)
     assert session.held() == since and spark.sparkContext._jsc.getPersistentRDDs().size() == before
+
+
+def test_starts_sort_few_rows_and_are_those_of_the_whole_sort(spark, monkeypatch):
+    from landmark_kkm.operators import cluster as loop
+    from landmark_kkm.operators.landmarks import digest
+
+    rows = spark.range(0, 4000, 1, 8).select("id", F.array(F.col("id") / 8, F.col("id") % 5 / 1.0).alias("y")).cache()
+    whole = rows.withColumn("_digest", digest(seed=3)).orderBy("_digest", "id").limit(7).collect()
+    sorted_rows, order = [], type(rows).orderBy
+    monkeypatch.setattr(type(rows), "orderBy", lambda self, *c: (sorted_rows.append(self.count()), order(self, *c))[1])
+    assert (loop.first_centroids(rows, 7, "random", "l2", 3) == np.array([r.y for r in whole])).all()
+    monkeypatch.setattr(loop, "SEEDING_ROWS", 50)
+    assert loop.first_centroids(rows, 7, "kmeans++", "l2", 3).shape == (7, 2) and max(sorted_rows) < 200
+    with pytest.raises(ValueError, match="need"):
+        loop.first_centroids(rows.limit(5), 7, "random", "l2", 3)
+    rows.unpersist()
+
+
+def test_methods_of_a_run_share_their_landmarks(spark, sf_dir, monkeypatch):
+    sizes, draw = [], workloads.sample_landmarks
+    monkeypatch.setattr(workloads, "sample_landmarks", lambda ds, l, **how: (sizes.append(l), draw(ds, l, **how))[1])
+    runs = workloads.run(spark, sf_dir, "w5", (20, 30), max_iter=1).collect()
+    assert sorted(sizes) == [20, 30, workloads.TUNING_ROWS] and len(runs) == 6
