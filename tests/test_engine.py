@@ -16,6 +16,7 @@ from landmark_kkm.operators.estimator import KernelKMeansModel, ScalableKernelKM
 from landmark_kkm.operators.landmarks import Landmarks, collect_landmarks, sample_landmarks
 from landmark_kkm.operators.ledger import CostLedger, exact_bytes, iteration_bytes
 from landmark_kkm.plans import choices
+from landmark_kkm.queries import QUERIES
 from landmark_kkm.sources import features, synthetic
 from landmark_kkm.sources.tables import from_libsvm, read, register_views, table, to_ml_vector, write
 from landmark_kkm.streaming import streams
@@ -646,6 +647,24 @@ def test_graphs_from_bits_are_those_of_the_edges(spark, sf_dir):
     assert shared.power_iteration(hours, 4).agg(F.count("*"), F.count_distinct("cluster")).first()[:] == (150, 4)
 
 
+def test_the_spectral_query_moves_rows_from_its_start(spark, tmp_path):
+    # two groups of users, the bulk of whose hours lie in different halves of a week: with a shift of 1 every user stays where the start put them
+    rng, rows = np.random.default_rng(1), []
+    for user in range(80):
+        hours = np.append(rng.choice(84, 30, False) + 84 * (user % 2), rng.choice(168, 4, False))
+        rows += [(user, f"2024-01-{1 + h // 24:02d} {h % 24:02d}:05:00") for h in hours.tolist()]
+    spark.createDataFrame(rows, "user_id long, ts string").selectExpr("user_id", "to_timestamp(ts) AS ts").write.parquet(f"{tmp_path}/events.parquet")
+    users = features.user_hours(spark, str(tmp_path))
+    stuck = shared.spectral_cluster(users, 2, init="partition")
+    assert [h["changed"] for h in stuck.history] == [0]
+    found = shared.spectral_cluster(users, 2, shift=0.0, init="partition", max_iter=1000, patience=10)
+    assert len({*zip((found.ids % 2).tolist(), found.labels.tolist())}) == 2
+    clusters = {r.id: r.cluster for r in QUERIES["q_spectral"](spark, str(tmp_path)).collect()}
+    start = dict(zip(stuck.ids.tolist(), (np.arange(80) % 4).tolist()))
+    groups = [{clusters[u] for u in range(g, 80, 2)} for g in (0, 1)]
+    assert clusters != start and not groups[0] & groups[1]
+
+
 def test_neighbours_of_landmarks_are_those_of_the_graph(spark, sf_dir):
     of = [3, 10, 77]
     found = features.neighbours(spark, sf_dir, spark.createDataFrame([(i,) for i in of], "id long"))
