@@ -546,6 +546,33 @@ def test_class_agreement_by_blocks_is_that_of_all_pairs(spark, text):
         assert found == pytest.approx(report["agreement"], abs=0.003)
 
 
+def test_nearest_classes_and_agreements_of_one_pass_are_those_of_all_pairs(spark, text):
+    kernel = K.Rbf(0.45)
+    slow = measures.nearest_class(text, measures.similarity_sums(text, kernel)).cache()
+    want = {r.id: r.nearest for r in slow.collect()}
+    for how in ({}, {"most_rows": 300}, {"least_rows": 100, "centre": np.full(512, 0.04)}):
+        found = measures.nearest_class_rbf(text, kernel, **how).collect()
+        assert len(found) == len(want) and {r.id: r.nearest for r in found} == want
+    lm = [collect_landmarks(sample_landmarks(text.select("id", "x"), l)) for l in (50, 100)]
+    ways = [(f.fit(m, kernel), f) for m in lm for f in (Nystrom(100), StableProjection(100))]
+    shares = measures.agreements(text, slow, kernel, [(b, f.discrepancy) for b, f in ways])
+    for share, (blocks, family) in zip(shares, ways):
+        assert share == pytest.approx(measures.class_agreement(text, embed(text, blocks, kernel, kind="packed"), slow, family.discrepancy), abs=0.002)
+
+
+@pytest.mark.parametrize("at, sigma, apart", [(3000.0, 2e-4, 4e-4), (0.0, 0.5, 1e-5)])
+def test_rows_that_rounding_could_move_are_evaluated_anew(spark, at, sigma, apart):
+    # far from the centre, float32 takes all rows for the same place; else classes that lie almost on each other leave many rows in doubt
+    rng = np.random.default_rng(0)
+    x = at + rng.normal(0, sigma, (400, 2))
+    rows = [(i, (x[i % 400] + apart * (i // 400)).tolist(), "ab"[i // 400]) for i in range(800)]
+    ds = spark.createDataFrame(rows, "id long, x array<double>, cls string").cache()
+    kernel = K.Rbf(sigma)
+    want = {r.id: r.nearest for r in measures.nearest_class(ds, measures.similarity_sums(ds, kernel)).collect()}
+    assert len({*want.values()}) == 2
+    assert {r.id: r.nearest for r in measures.nearest_class_rbf(ds, kernel, most_rows=400).collect()} == want
+
+
 def test_splits_and_forced_deal_over_all_cores(spark):
     from landmark_kkm.session import forced, splits
 
